@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import chunk_dedup, fingerprints, jaccard_join, sharding, toxicity, url_trust
+from . import chunk_dedup, fingerprints, jaccard_join, packing, sharding, toxicity, url_trust
 from .common import read
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -32,6 +32,17 @@ def op7_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_trust.url_filter(read(spark, sf_dir, "pages")).drop("trust", "distrust")
 
 
+def tokenizer() -> str:
+    """Where the public word tokenizer's file is."""
+    import public_tokenizers
+
+    return str(public_tokenizers.path("word_bpe_49k.json"))
+
+
+def op9_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return packing.pack(read(spark, sf_dir, "documents"), tokenizer())
+
+
 def op10_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.shard(read(spark, sf_dir, "documents"))
 
