@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import chunk_dedup, fingerprints, html_extract, jaccard_join, packing, sharding, toxicity, url_trust
+from . import chunk_dedup, fingerprints, html_extract, jaccard_join, mixing, packing, sharding, toxicity, url_trust
 from .common import read
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -36,6 +36,10 @@ def op7_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_trust.url_filter(read(spark, sf_dir, "pages")).drop("trust", "distrust")
 
 
+def op8_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mixing.mix_documents(read(spark, sf_dir, "documents"), read(spark, sf_dir, "labels"))
+
+
 def tokenizer() -> str:
     """Where the public word tokenizer's file is."""
     import public_tokenizers
