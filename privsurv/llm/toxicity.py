@@ -35,7 +35,7 @@ FOLDS = 5
 
 @dataclass
 class Model:
-    weights: np.ndarray  # SLOTS x 2^BITS
+    weights: np.ndarray  # kinds of features x table slots
     trans: np.ndarray  # 2 x 2 log potentials
     start: float
     bias: float
@@ -111,6 +111,14 @@ def marginals(m: Model, e: np.ndarray, first: np.ndarray) -> tuple[np.ndarray, n
     return odds / (1 + odds), forward, backward
 
 
+def _probabilities(m: Model, f: np.ndarray, first: np.ndarray) -> np.ndarray:
+    out = np.zeros(f.shape[1])
+    for a, b in S.batches(np.diff(first).tolist(), 100_000):
+        own = slice(first[a], first[b])
+        out[own] = marginals(m, emissions(m, f[:, own]), first[a : b + 1] - first[a])[0]
+    return out
+
+
 def _log_odds(f: np.ndarray, first: np.ndarray, toxic: np.ndarray) -> np.ndarray:
     """Best log ratio, over the word and its beginnings, of document frequencies in toxic and clean documents."""
     doc = np.repeat(np.arange(len(first) - 1), np.diff(first))
@@ -206,23 +214,25 @@ def fit(texts: list[str], toxic: np.ndarray, epochs: int = 4, seed: int = 3) ->
     """Trains on texts with document labels."""
     if not len(texts) or toxic.all() or not toxic.any():
         return Model(np.zeros((SLOTS, 1)), np.zeros((2, 2)), 0.0, -9.0, np.array([-50.0, 0.0, 0.0]))
+    held = np.random.default_rng(seed).random(len(texts)) < 0.25
+    if not (toxic & held).any() or not (toxic & ~held).any():
+        held = np.zeros(len(texts), dtype=bool)
+    order = np.argsort(held, kind="stable")  # those held back come last
+    texts, toxic, held = [texts[i] for i in order], toxic[order], held[order]
     fs, sizes = [], []
     for t in texts:
         parts = [S.words([p]) for p in S.pieces(S.lower(t).encode("utf-8", "surrogatepass"))]
         fs += [features(p) for p in parts]
         sizes.append(sum(len(p.starts) for p in parts))
     f, first = np.concatenate(fs, axis=1), np.concatenate(([0], np.cumsum(sizes)))
-    held = np.random.default_rng(seed).random(len(texts)) < 0.25
-    if not (toxic & held).any() or not (toxic & ~held).any():
-        held = np.zeros(len(texts), dtype=bool)
-    take = np.flatnonzero(~held)
-    index = np.concatenate([np.arange(first[i], first[i + 1]) for i in take])
-    f1, first1, t1 = f[:, index], np.concatenate(([0], np.cumsum(np.diff(first)[take]))), toxic[take]
-    y = _label(_log_odds(f1, first1, t1), first1, t1, 2.0)
+    del fs
+    some = int((~held).sum())
+    first1, toxic1 = first[: some + 1], toxic[:some]
+    f1 = f[:, : first1[-1]]
+    y = _label(_log_odds(f1, first1, toxic1), first1, toxic1, 2.0)
     m = _train(f1, first1, y, epochs, seed)
-    p, *_ = marginals(m, emissions(m, f1), first1)
-    m = _train(f1, first1, _label(p, first1, t1, 0.5), epochs, seed + 1)
-    p, *_ = marginals(m, emissions(m, f), first)
+    m = _train(f1, first1, _label(_probabilities(m, f1, first1), first1, toxic1, 0.5), epochs, seed + 1)
+    p = _probabilities(m, f, first)
     use = held if held.any() else np.ones(len(texts), dtype=bool)
     m.doc = _logistic(summary(p, first)[use], toxic[use].astype(float))
     m.weights = m.weights.astype(np.float32)
@@ -274,7 +284,7 @@ def fold(column: str = "doc_id"):
     return F.crc32(F.encode(F.col(column).cast("string"), "UTF-8")) % FOLDS
 
 
-def train_on(docs: DataFrame, labels: DataFrame, per_class: tuple[int, int] = (1500, 4000), seed: int = 3, held_out: bool = True) -> Model:
+def train_on(docs: DataFrame, labels: DataFrame, per_class: tuple[int, int] = (1000, 2500), seed: int = 3, held_out: bool = True) -> Model:
     """Fits on a bounded sample: at most ``per_class`` toxic and clean labelled documents, none of them held out."""
     spark = docs.sparkSession
     known = labels.where("doc_id is not null and toxic is not null").groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
