@@ -1,18 +1,71 @@
-"""Corpus pipeline: toxicity, exact deduplication, near-duplicate join, mixing, packing."""
+"""Corpus pipeline: toxicity, exact deduplication, near-duplicate join, mixing, packing.
+
+Each stage takes and returns a table; all but the last return the columns of documents and keep any others.  A stage works on all rows
+it is given.  Null and empty texts pass the filters (one of them, since they are equal); an empty table passes through all stages.
+"""
 
 from __future__ import annotations
 
 from collections.abc import Callable
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from privsurv.llm import chunk_dedup, jaccard_join, mixing, packing, queries, toxicity
+from privsurv.llm.common import cut, read
 
 Stage = Callable[[SparkSession, DataFrame, str], DataFrame]
-STAGES: list[tuple[str, Stage]] = []
+
+
+def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that score 0.5 or more go.  The field learns from labelled documents that aren't held out."""
+    held = spark.sparkContext.broadcast(toxicity.train_on(read(spark, sf_dir, "documents"), read(spark, sf_dir, "labels")))
+
+    @F.pandas_udf("double")
+    def score(text: pd.Series) -> pd.Series:
+        return pd.Series(toxicity.score(held.value, text.fillna("").tolist())[0])
+
+    return docs.withColumn("__score", score(F.col("text").cast("string"))).where("__score < 0.5").drop("__score")
+
+
+def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Of equal texts the row with the smallest id stays."""
+    kept = chunk_dedup.exact_dedup(docs).where("kept").select(F.col("doc_id").alias("__id"), F.col("text_sha256").alias("__sha"))
+    named = docs.withColumn("__own", F.sha2(chunk_dedup.normalised(), 256))
+    return named.join(kept, named["doc_id"].eqNullSafe(kept["__id"]) & (named["__own"] == kept["__sha"]), "left_semi").drop("__own")
+
+
+def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Of documents linked by similarity 0.8 or more, directly or not, the one with the smallest id stays."""
+    kept = jaccard_join.jaccard_join(docs).where(F.col("doc_id").eqNullSafe(F.col("class_id"))).select(F.col("doc_id").alias("__id"))
+    return docs.join(kept, docs["doc_id"].eqNullSafe(kept["__id"]), "left_semi")
+
+
+def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Repeats documents so that domains' tokens come near their target shares.  The budget is the least at which no
+    domain has to shrink, and rates are at least one: every document stays."""
+    labelled = mixing.domains(read(spark, sf_dir, "labels"))
+    found, _ = mixing.fit_mix(docs, labelled, mixing.WEIGHTS, budget="grow", least=1.0)
+    judged = docs.withColumn("__j", mixing.judged(docs, found.classifier))
+    rated = judged.withColumn("__rate", mixing.rate_column(found, "__j.p"))
+    times = mixing.copies(F.col("__rate"), 6, "doc_id")
+    return rated.withColumn("__copy", F.explode(F.sequence(F.lit(1), F.greatest(F.lit(1), times)))).drop("__j", "__rate", "__copy")
+
+
+def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return packing.pack(docs, queries.tokenizer())
+
+
+STAGES: list[tuple[str, Stage]] = [("toxicity", drop_toxic), ("exact_dedup", drop_copies), ("jaccard_join", drop_near_copies), ("mixing", mix), ("packing", pack)]
+#: Classifiers and sampled joins have no SQL; the stages are tested against brute force.
 ORACLE_SQL: str | None = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    for _, stage in STAGES:
+    docs = read(spark, sf_dir, "documents")
+    for name, stage in STAGES:
         docs = stage(spark, docs, sf_dir)
+        if name != STAGES[-1][0]:
+            docs = cut(docs, f"stage-{name}")
     return docs

@@ -192,8 +192,9 @@ def solve(table: DataFrame, k: int, targets, least: float = 0.0, steps: int = 40
     return history, size, want, totals(1)
 
 
-def fit_mix(docs: DataFrame, labelled: DataFrame, weights: dict[str, float], budget: float | None = None, least: float = 0.0, c: Classifier | None = None) -> tuple[Mix, DataFrame]:
-    """``weights``: wanted share of tokens per domain (unnamed domains share the rest by size). ``budget``: tokens in all, as many as now if None."""
+def fit_mix(docs: DataFrame, labelled: DataFrame, weights: dict[str, float], budget: float | str | None = None, least: float = 0.0, c: Classifier | None = None) -> tuple[Mix, DataFrame]:
+    """``weights``: wanted share of tokens per domain (unnamed domains share the rest by size). ``budget``: tokens in all, as
+    many as now if None, or ``grow``: the fewest at which no domain must shrink."""
     c = c or fit_classifier(docs, labelled)
     table = cut(docs.select("doc_id", judged(docs, c).alias("j")).select("doc_id", "j.n", "j.p"), "mix-posteriors")
 
@@ -203,20 +204,22 @@ def fit_mix(docs: DataFrame, labelled: DataFrame, weights: dict[str, float], bud
         left = max(0.0, 1 - np.nansum(share))
         share[rest] = left * have[rest] / max(have[rest].sum(), 1e-12)
         share = share / max(share.sum(), 1e-12)
+        if budget == "grow":
+            return share * max((h / s for h, s in zip(have, share, strict=True) if s > 0 and h > 0), default=0.0)
         return share * (have.sum() if budget is None else budget)
 
     history, size, want, reached = solve(table, len(c.names), targets, least)
     return Mix(c, history, size, least, want, reached), table
 
 
-def rate_column(mix: Mix) -> Column:
-    """Rate of a row from its posterior column ``p``."""
+def rate_column(mix: Mix, name: str = "p") -> Column:
+    """Rate of a row from its posterior column."""
 
     @F.pandas_udf("double")
     def run(p: pd.Series) -> pd.Series:
         return pd.Series(rates(np.stack(p.to_numpy()), mix.history, mix.size, mix.least)[1] if len(p) else np.zeros(0))
 
-    return run(F.col("p"))
+    return run(F.col(name))
 
 
 def copies(rate: Column, seed: int, *names: str) -> Column:
