@@ -17,6 +17,7 @@ table gives no rows; other columns are ignored.
 from __future__ import annotations
 
 import bisect
+import unicodedata
 import zlib
 from collections import defaultdict
 from collections.abc import Iterator
@@ -27,6 +28,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from . import shingles as S
 from .common import cells, cut
 
 LIMIT = 4096
@@ -43,40 +45,134 @@ def _tokenizer(path: str):
     return Tokenizer.from_file(path)
 
 
-class _Ids(dict):
-    """Ids of one chunk without blanks, as packed unsigned 32-bit numbers; forgets all beyond ``most``."""
+#: What a byte is to the tokenizer's pre-tokenizer: 0 white space, 1 letter (also all above 127), 2 digit, 3 other.
+KINDS = np.full(256, 3, dtype=np.int8)
+KINDS[[9, 10, 11, 12, 13, 32]] = 0
+KINDS[[*range(65, 91), *range(97, 123), *range(128, 256)]] = 1
+KINDS[48:58] = 2
 
-    def __init__(self, path: str, most: int = 400_000):
-        super().__init__()
-        self.path, self.most = path, most
 
-    def learn(self, chunks: set[str]) -> None:
-        if len(self) + len(chunks) > self.most:
-            self.clear()
-        new = [c for c in chunks if c not in self]
-        for c, e in zip(new, _tokenizer(self.path).encode_batch(new, add_special_tokens=False), strict=True):
-            self[c] = np.asarray(e.ids, dtype="<u4").tobytes()
+@cache
+def _plain(char: str) -> bool:
+    """A letter that normalisation leaves alone, or ASCII: only such texts are split by bytes."""
+    return char < "\x80" or unicodedata.category(char)[0] == "L" and not unicodedata.combining(char) and unicodedata.normalize("NFC", char) == char
+
+
+class Encoder:
+    """Ids of texts, each distinct word encoded once by the tokenizer and then found by its hash.
+
+    Words are the pre-tokenizer's: runs of letters, single digits, runs of other signs.  Chunks with an apostrophe or a bar
+    (contractions, special tokens) stay whole, and texts with characters that aren't plain go to the tokenizer as they are.
+    Forgets everything when it holds more than ``most`` words.
+    """
+
+    def __init__(self, path: str, most: int = 1_000_000):
+        self.path, self.most = path, most
+        self.forget()
+
+    def forget(self) -> None:
+        self.keys = np.zeros(0, dtype=np.uint64)
+        self.at = self.many = np.zeros(0, dtype=np.int64)
+        self.pool = np.zeros(0, dtype=np.uint32)
+
+    def learn(self, keys: np.ndarray, names: list[str]) -> None:
+        """Encodes words, joined by blanks, in a few calls; tokens are told apart by their places."""
+        if len(self.keys) + len(keys) > self.most:
+            self.forget()
+        found, many = [], []
+        for a in range(0, len(names), 20_000):
+            some = names[a : a + 20_000]
+            e = _tokenizer(self.path).encode(" ".join(some), add_special_tokens=False)
+            starts = np.cumsum([0, *[len(n) + 1 for n in some]])
+            owner = np.searchsorted(starts, np.asarray([o[0] for o in e.offsets], dtype=np.int64), side="right") - 1
+            found.append(np.asarray(e.ids, dtype=np.uint32))
+            many.append(np.bincount(owner, minlength=len(some)))
+        many_ = np.concatenate(many)
+        at = len(self.pool) + np.cumsum(many_) - many_
+        order = np.argsort(all_ := np.concatenate((self.keys, keys)))
+        self.keys, self.at, self.many = all_[order], np.concatenate((self.at, at))[order], np.concatenate((self.many, many_))[order]
+        self.pool = np.concatenate((self.pool, *found))
+
+    def block(self, raws: list[bytes]) -> list[np.ndarray]:
+        """Ids of each of some short texts."""
+        w = split(raws)
+        if not len(w.starts):
+            return [np.zeros(0, dtype=np.uint32) for _ in raws]
+        keys, first, back = np.unique(w.hashes, return_index=True, return_inverse=True)
+        at = np.minimum(np.searchsorted(self.keys, keys), max(0, len(self.keys) - 1))
+        new = self.keys[at] != keys if len(self.keys) else np.ones(len(keys), dtype=bool)
+        if new.any():
+            if len(self.keys) + int(new.sum()) > self.most:
+                self.forget()
+                new[:] = True
+            raw = w.raw.tobytes()
+            self.learn(keys[new], [raw[w.starts[i] : w.ends[i]].decode("utf-8") for i in first[new].tolist()])
+            at = np.searchsorted(self.keys, keys)
+        many, begin = self.many[at][back], self.at[at][back]
+        ends = np.cumsum(many)
+        out = self.pool[np.repeat(begin - (ends - many), many) + np.arange(int(ends[-1]))]
+        bounds = np.concatenate(([0], ends))[w.first]
+        return [out[a:b] for a, b in zip(bounds[:-1].tolist(), bounds[1:].tolist(), strict=True)]
+
+    def encode(self, texts: list[str]) -> list[bytes]:
+        """Packed unsigned 32-bit ids with the end token."""
+        end = np.asarray([END], dtype="<u4")
+        out: list[bytes] = [b""] * len(texts)
+        plain = []
+        for i, t in enumerate(texts):
+            if t.isascii() or all(map(_plain, set(t))):
+                plain.append(i)
+            else:
+                ids = _tokenizer(self.path).encode(t, add_special_tokens=False).ids
+                out[i] = np.asarray([*ids, END], dtype="<u4").tobytes()
+        raws = [texts[i].encode("utf-8") for i in plain]
+        for a, b in S.batches([len(r) for r in raws]):
+            if b - a == 1 and len(raws[a]) > S.BLOCK:
+                ids = [np.concatenate([self.block([p])[0] for p in at_blanks(raws[a])])]
+            else:
+                ids = self.block(raws[a:b])
+            for i, x in zip(plain[a:b], ids, strict=True):
+                out[i] = np.concatenate((x, end)).astype("<u4").tobytes()
+        return out
+
+
+def at_blanks(raw: bytes) -> Iterator[bytes]:
+    """Cuts a long text at white space into parts of about a block."""
+    at = 0
+    while len(raw) - at > S.BLOCK:
+        end = at + S.BLOCK
+        while end < len(raw) and KINDS[raw[end]]:
+            end += 1
+        yield raw[at:end]
+        at = end
+    yield raw[at:]
+
+
+def split(raws: list[bytes]) -> S.Words:
+    joined = np.frombuffer(b"\n".join(raws) + b"\n", dtype=np.uint8)
+    kind = KINDS[joined]
+    whole = np.flatnonzero((joined == 39) | (joined == 124))
+    if len(whole):
+        chunk = np.cumsum(kind == 0)
+        kind[np.isin(chunk, np.unique(chunk[whole])) & (kind != 0)] = 4
+    edge = np.ones(len(joined) + 1, dtype=bool)
+    edge[1:-1] = (kind[1:] != kind[:-1]) | (kind[1:] == 2)
+    at = np.flatnonzero(edge)
+    keep = kind[at[:-1]] != 0
+    starts, ends = at[:-1][keep], at[1:][keep]
+    up, _ = S.powers(len(joined) + 1)
+    prefix = np.zeros(len(joined) + 1, dtype=S.U)
+    np.cumsum(S._value[joined] * up[: len(joined)], out=prefix[1:])
+    return S.Words(joined, starts, ends, np.searchsorted(starts, np.cumsum([0, *[len(r) + 1 for r in raws]])), prefix)
 
 
 @cache
-def _ids(path: str) -> _Ids:
-    return _Ids(path)
+def _encoder(path: str) -> Encoder:
+    return Encoder(path)
 
 
 def encode(texts: list[str], path: str) -> list[bytes]:
-    """Packed ids with the end token.  The tokenizer never joins across blanks and newlines, so chunks between them are encoded once."""
-    split = [t.replace("\n", " ").split(" ") for t in texts]
-    known = _ids(path)
-    out, end = [], np.asarray([END], dtype="<u4").tobytes()
-    for chunks in split:
-        parts = []
-        for a in range(0, len(chunks), 100_000):
-            some = chunks[a : a + 100_000]
-            if not known.keys() >= (names := set(some)):
-                known.learn(names)
-            parts.append(b"".join(map(known.__getitem__, some)))
-        out.append(b"".join(parts) + end)
-    return out
+    return _encoder(path).encode(texts)
 
 
 def pieces(docs: DataFrame, path: str, limit: int = LIMIT) -> DataFrame:
@@ -85,7 +181,8 @@ def pieces(docs: DataFrame, path: str, limit: int = LIMIT) -> DataFrame:
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for x in frames:
             rows = []
-            for key, raw in zip(x["doc_id"], (r for t in x["text"].fillna("") for r in encode([t], path)), strict=True):
+            texts = x["text"].fillna("").tolist()
+            for key, raw in zip(x["doc_id"], (r for a, b in S.batches([len(t) for t in texts]) for r in encode(texts[a:b], path)), strict=True):
                 key = None if pd.isna(key) else int(key)
                 for k, a in enumerate(range(0, len(raw), 4 * limit)):
                     part = raw[a : a + 4 * limit]
