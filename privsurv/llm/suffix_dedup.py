@@ -26,6 +26,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -64,40 +65,63 @@ def _least(x: np.ndarray, width: int) -> np.ndarray:
     return np.minimum(after[: n - width + 1], before[width - 1 : n])
 
 
-def segments(raw: bytes, width: int = WIDTH, gram: int = GRAM) -> Iterator[tuple[np.ndarray, ...]]:
-    """Anchors' hashes, segments' hashes, first windows, numbers of windows, distances of the anchors from them."""
-    for at in range(0, len(raw) - width + 1, STEP):
-        x = np.frombuffer(raw[at : at + STEP + width - 1], dtype=np.uint8)
-        b = Bytes(x)
-        place = np.arange(len(x) - gram + 1)
-        g = b.span(place, place + gram)
-        # Equal in the upper bits: the first place wins, and that is so in every copy.
-        key = (g & S.U(2**64 - 2**20)) | place.astype(S.U)
-        anchor = (_least(key, width - gram + 1) & S.U(2**20 - 1)).astype(np.int64)
-        edge = np.flatnonzero(np.concatenate(([True], anchor[1:] != anchor[:-1])))
-        n = np.diff(np.append(edge, len(anchor)))
-        a = anchor[edge]
-        yield g[a], b.span(edge, edge + n + width - 1), edge + at, n, a - edge
+def segments(raws: list[bytes], width: int = WIDTH, gram: int = GRAM) -> tuple[np.ndarray, ...]:
+    """Owners, anchors' hashes, segments' hashes, first windows, numbers of windows, distances of the anchors from them.
+
+    ``raws``: some texts, in all within a step; longer ones are given in overlapping steps.
+    """
+    x = np.frombuffer(b"".join(raws), dtype=np.uint8)
+    sizes = np.array([len(r) for r in raws], dtype=np.int64)
+    if len(x) < width:
+        return tuple(np.zeros(0, dtype=k) for k in (np.int64, S.U, S.U, np.int64, np.int64, np.int64))
+    first = np.cumsum(sizes) - sizes
+    b = Bytes(x)
+    place = np.arange(len(x) - gram + 1)
+    # Equal in the upper bits: the first place wins, and that is so in every copy.
+    key = (b.span(place, place + gram) & S.U(2**64 - 2**20)) | place.astype(S.U)
+    anchor = (_least(key, width - gram + 1) & S.U(2**20 - 1)).astype(np.int64)
+    many = np.maximum(sizes - width + 1, 0)
+    owner = np.repeat(np.arange(len(raws)), many)
+    window = np.repeat(first, many) + np.arange(len(owner)) - np.repeat(np.cumsum(many) - many, many)
+    if not len(window):
+        return tuple(np.zeros(0, dtype=k) for k in (np.int64, S.U, S.U, np.int64, np.int64, np.int64))
+    a = anchor[window]
+    edge = np.flatnonzero(np.concatenate(([True], (a[1:] != a[:-1]) | (owner[1:] != owner[:-1]))))
+    n = np.diff(np.append(edge, len(a)))
+    a, begin, owner = a[edge], window[edge], owner[edge]
+    return owner, b.span(a, a + gram), b.span(begin, begin + n + width - 1), begin - first[owner], n, a - begin
 
 
 def anchors(docs: DataFrame, width: int, gram: int) -> DataFrame:
     """gram, seg, doc_id, dh, n_win, delta, at (first windows of equal segments): one row per document and distinct segment."""
-
-    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for x in frames:
-            texts = [t.encode("utf-8", "surrogatepass") for t in x["text"]]
-            for lo, hi in S.batches([len(t) for t in texts], 4 << 20):
-                rows = []
-                for i in range(lo, hi):
-                    for g, s, at, n, d in segments(texts[i], width, gram) if len(texts[i]) >= width else ():
-                        _, first, back = np.unique(s, return_index=True, return_inverse=True)
-                        order = np.argsort(back, kind="stable")
-                        lists = np.split(at[order], np.cumsum(np.bincount(back))[:-1])
-                        rows.append(pd.DataFrame({"gram": g[first].view(np.int64), "seg": s[first].view(np.int64), "doc_id": x["doc_id"].iloc[i], "dh": x["dh"].iloc[i], "n_win": n[first].astype(np.int32), "delta": d[first].astype(np.int32), "at": lists}).astype({"doc_id": "Int64"}))
-                if rows:
-                    yield pd.concat(rows)
-
-    return docs.mapInPandas(run, "gram long, seg long, doc_id long, dh long, n_win int, delta int, at array<long>")
+    kind = pa.schema([("gram", pa.int64()), ("seg", pa.int64()), ("doc_id", pa.int64()), ("dh", pa.int64()), ("n_win", pa.int32()), ("delta", pa.int32()), ("at", pa.list_(pa.int64()))])
+
+    def rows(batch: pa.RecordBatch, owner, g, s, at, n, d) -> pa.RecordBatch:
+        order = np.lexsort((at, s, owner))
+        owner, g, s, at, n, d = (v[order] for v in (owner, g, s, at, n, d))
+        new = np.flatnonzero(np.concatenate(([True], (owner[1:] != owner[:-1]) | (s[1:] != s[:-1]))))
+        lists = pa.ListArray.from_arrays(pa.array(np.append(new, len(at)).astype(np.int32)), pa.array(at))
+        ids = batch.column(0).take(pa.array(owner[new])), batch.column(1).take(pa.array(owner[new]))
+        return pa.RecordBatch.from_arrays([pa.array(g[new].view(np.int64)), pa.array(s[new].view(np.int64)), *ids, pa.array(n[new].astype(np.int32)), pa.array(d[new].astype(np.int32)), lists], schema=kind)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            texts = batch.column(2).cast(pa.binary()).to_pylist()
+            for lo, hi in S.batches([len(t) for t in texts], STEP):
+                if len(texts[lo]) > STEP:
+                    raw = texts[lo]
+                    steps = []
+                    for at in range(0, len(raw) - width + 1, STEP):
+                        part = segments([raw[at : at + STEP + width - 1]], width, gram)
+                        steps.append((part[0] + lo, *part[1:3], part[3] + at, *part[4:]))
+                    found = [np.concatenate(v) for v in zip(*steps, strict=True)]
+                else:
+                    own = segments(texts[lo:hi], width, gram)
+                    found = [own[0] + lo, *own[1:]]
+                if len(found[0]):
+                    yield rows(batch, *found)
+
+    return docs.select("doc_id", "dh", "text").mapInArrow(run, "gram long, seg long, doc_id long, dh long, n_win int, delta int, at array<long>")
 
 
 def _fetched(docs: DataFrame, wanted: DataFrame, width: int) -> DataFrame:
@@ -327,7 +351,7 @@ def merged(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
 def remove_repeats(docs: DataFrame, width: int = WIDTH, gram: int = GRAM, most: int = MOST, keep_text: bool = False) -> DataFrame:
     """One row per document: doc_id, n_bytes, n_removed, n_spans, kept_sha256, and with ``keep_text`` spans and kept bytes."""
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), whole().alias("text"))
-    docs = docs.withColumn("dh", F.xxhash64("text"))
+    docs = docs.select("doc_id", "text", F.xxhash64("text").alias("dh"))
     found = _spans(cut(anchors(docs, width, gram), "repeat-places"), docs, width, gram, most)
     lists = found.groupBy("doc_id", "dh").agg(F.collect_set(F.struct("begin", "end")).alias("spans"))
     lists = cut(lists, "repeat-spans")
