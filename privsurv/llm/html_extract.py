@@ -451,7 +451,7 @@ def extract_pages(pages: DataFrame, net: Net | None = None) -> DataFrame:
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for x in frames:
             htmls = x["html"].fillna("").tolist()
-            for a, b in S.batches([len(h) for h in htmls], 2 << 20):
+            for a, b in S.batches([len(h) for h in htmls], 1 << 20):
                 text = extract(held.value, htmls[a:b])
                 own = x.iloc[a:b]
                 yield pd.DataFrame({"page_id": own["page_id"].astype("Int64"), "url": own["url"], "text": text, "n_chars": [len(t) for t in text]})

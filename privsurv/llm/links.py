@@ -18,7 +18,7 @@ from pyspark.sql import functions as F
 from . import shingles as S
 from .common import cut, parts
 
-BLOCK = 2048
+BLOCK = 1024
 
 
 def set_key(values: np.ndarray) -> bytes:
@@ -168,7 +168,7 @@ def verified(frames: Iterator[pd.DataFrame], threshold: float) -> Iterator[pd.Da
             at, member = np.unique(at[keep], return_inverse=True)[1], member[keep]
             order = np.argsort(at, kind="stable")
             at, member = at[order], member[order]
-            width = max(64, (1 << 23) // len(x))
+            width = min(int(at[-1]) + 1, max(64, (1 << 23) // len(x)))
             for lo in range(0, int(at[-1]) + 1, width):
                 a, b = np.searchsorted(at, (lo, lo + width))
                 m = np.zeros((len(x), width), dtype=np.float32)

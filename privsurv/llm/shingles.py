@@ -12,7 +12,7 @@ from collections.abc import Iterator, Sequence
 import numpy as np
 
 WIDTH = 5
-BLOCK = 1 << 20  # bytes hashed at a time
+BLOCK = 1 << 18  # bytes hashed at a time: arrays stay small and in cache
 U = np.uint64
 _rng = np.random.default_rng(77)
 _value = _rng.integers(1, 1 << 63, 256, dtype=U) * U(2) + U(1)

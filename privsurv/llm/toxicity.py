@@ -245,7 +245,7 @@ def score(m: Model, texts: list[str], spans: bool = False) -> tuple[np.ndarray,
     if m.weights.shape[1] == 1:
         return out, found
     raws = [S.lower(t).encode("utf-8", "surrogatepass") for t in texts]
-    for a, b in S.batches([len(r) for r in raws], S.BLOCK // 2):
+    for a, b in S.batches([len(r) for r in raws], S.BLOCK):
         split = list(S.pieces(raws[a])) if b - a == 1 else None
         es, first = [], None
         for part in split or [None]:
