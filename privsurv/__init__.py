@@ -1,8 +1,26 @@
 """Private survival regression on Spark tables."""
 
-import sys
+from __future__ import annotations
 
-from pyspark import cloudpickle
+import os
+import tempfile
+import zipfile
+from pathlib import Path
 
-# Executors may lack this package on their path: functions sent to them carry its code.
-cloudpickle.register_pickle_by_value(sys.modules[__name__])
+from pyspark.sql import SparkSession
+
+
+def ship(spark: SparkSession) -> SparkSession:
+    """Sends this package to the executors, once per context: their Python workers may not have it on their path."""
+    context = spark.sparkContext
+    if getattr(context, "_privsurv_shipped", False):
+        return spark
+    root = Path(__file__).resolve().parent
+    folder = tempfile.mkdtemp(prefix="privsurv-")
+    path = os.path.join(folder, "privsurv_code.zip")
+    with zipfile.ZipFile(path, "w") as z:
+        for p in sorted(root.rglob("*.py")):
+            z.write(p, p.relative_to(root.parent))
+    context.addPyFile(path)
+    context._privsurv_shipped = True
+    return spark
