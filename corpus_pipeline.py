@@ -12,6 +12,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from privsurv import ship
 from privsurv.llm import chunk_dedup, jaccard_join, mixing, packing, queries, toxicity
 from privsurv.llm.common import cut, read
 
@@ -57,7 +58,16 @@ def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return packing.pack(docs, queries.tokenizer())
 
 
-STAGES: list[tuple[str, Stage]] = [("toxicity", drop_toxic), ("exact_dedup", drop_copies), ("jaccard_join", drop_near_copies), ("mixing", mix), ("packing", pack)]
+def _shipped(stage: Stage) -> Stage:
+    """Stages run with the package on the executors."""
+
+    def run(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+        return stage(ship(spark), docs, sf_dir)
+
+    return run
+
+
+STAGES: list[tuple[str, Stage]] = [(name, _shipped(stage)) for name, stage in (("toxicity", drop_toxic), ("exact_dedup", drop_copies), ("jaccard_join", drop_near_copies), ("mixing", mix), ("packing", pack))]
 #: Classifiers and sampled joins have no SQL; the stages are tested against brute force.
 ORACLE_SQL: str | None = None
 
