@@ -29,7 +29,8 @@ def bfgs(o: Objective, f0: np.ndarray | None = None, tolerance: float = 1e-8, mo
             break
         new, v, g = _search(o, f, value, grad, -h @ grad)
         s, y = new - f, g - grad
-        if not s.any():
+        if not s.any() or value - v <= 1e-13 * (1 + abs(value)):
+            f = new
             break
         sy = float(s @ y)
         if sy > 1e-14:
@@ -59,7 +60,8 @@ def lbfgs(o: Objective, f0: np.ndarray | None = None, memory: int = 10, toleranc
         for (s, y), a in zip(pairs, reversed(kept), strict=True):
             way = way + s * (a - float(y @ way) / float(s @ y))
         new, v, g = _search(o, f, value, grad, way)
-        if not (new - f).any():
+        if not (new - f).any() or value - v <= 1e-13 * (1 + abs(value)):
+            f = new
             break
         if float((new - f) @ (g - grad)) > 1e-14:
             pairs = [*pairs[-memory + 1 :], (new - f, g - grad)]

@@ -1,6 +1,6 @@
 """All registered queries."""
 
-from . import q_model, q_prep, q_private  # noqa: F401
+from . import q_fits, q_model, q_prep, q_private  # noqa: F401
 from .registry import ORACLES, QUERIES
 
 __all__ = ["ORACLES", "QUERIES"]
