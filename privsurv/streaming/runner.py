@@ -35,11 +35,11 @@ def finish(stream: DataFrame, mode: str = "append") -> DataFrame:
     schema = stream.schema
 
     def keep(batch: DataFrame, number: int) -> None:
-        batch.write.mode("overwrite").parquet(f"{base}/out/{'n=0' if mode == 'complete' else f'n={number}'}")
+        batch.write.mode("overwrite").parquet(f"{base}/out/{'all' if mode == 'complete' else f'batch-{number}'}")
 
     query = stream.writeStream.outputMode(mode).foreachBatch(keep).option("checkpointLocation", f"{base}/state").trigger(availableNow=True).start()
     query.awaitTermination()
     hadoop = spark._jvm.org.apache.hadoop.fs.Path(f"{base}/out")
     if not hadoop.getFileSystem(spark._jsc.hadoopConfiguration()).exists(hadoop):
         return spark.createDataFrame([], schema)
-    return spark.read.schema(schema).parquet(f"{base}/out")
+    return spark.read.schema(schema).parquet(f"{base}/out/*")
