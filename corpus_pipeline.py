@@ -12,9 +12,8 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from privsurv import ship
 from privsurv.llm import chunk_dedup, jaccard_join, mixing, packing, queries, toxicity
-from privsurv.llm.common import cut, read
+from privsurv.llm.common import cut, read, ready
 
 Stage = Callable[[SparkSession, DataFrame, str], DataFrame]
 
@@ -48,10 +47,9 @@ def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     domain has to shrink, and rates are at least one: every document stays."""
     labelled = mixing.domains(read(spark, sf_dir, "labels"))
     found, _ = mixing.fit_mix(docs, labelled, mixing.WEIGHTS, budget="grow", least=1.0)
-    judged = docs.withColumn("__j", mixing.judged(docs, found.classifier))
-    rated = judged.withColumn("__rate", mixing.rate_column(found, "__j.p"))
+    rated = docs.withColumn("__rate", mixing.rate_of_text(docs, found))
     times = mixing.copies(F.col("__rate"), 6, "doc_id")
-    return rated.withColumn("__copy", F.explode(F.sequence(F.lit(1), F.greatest(F.lit(1), times)))).drop("__j", "__rate", "__copy")
+    return rated.withColumn("__copy", F.explode(F.sequence(F.lit(1), F.greatest(F.lit(1), times)))).drop("__rate", "__copy")
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -62,7 +60,7 @@ def _shipped(stage: Stage) -> Stage:
     """Stages run with the package on the executors."""
 
     def run(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-        return stage(ship(spark), docs, sf_dir)
+        return stage(ready(spark), docs, sf_dir)
 
     return run
 

@@ -13,6 +13,7 @@ from pyspark.sql import functions as F
 
 from .. import ship
 
+BATCH = "spark.sql.execution.arrow.maxRecordsPerBatch"
 _made: list[tuple[SparkSession, str]] = []
 
 
@@ -50,8 +51,16 @@ def release(spark: SparkSession) -> None:
         _made.remove(item)
 
 
+def ready(spark: SparkSession) -> SparkSession:
+    """Sends the package to the executors, and keeps Arrow batches of whole texts to a few MB (a runtime setting; a session's own
+    value stays)."""
+    if spark.conf.get(BATCH, "10000") == "10000":
+        spark.conf.set(BATCH, "1000")
+    return ship(spark)
+
+
 def read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
-    ship(spark)
+    ready(spark)
     return spark.read.parquet(f"{sf_dir}/{table}.parquet")
 
 

@@ -222,6 +222,18 @@ def rate_column(mix: Mix, name: str = "p") -> Column:
     return run(F.col(name))
 
 
+def rate_of_text(docs: DataFrame, mix: Mix) -> Column:
+    """Rate of a row from its whole text, in one pass."""
+    held = docs.sparkSession.sparkContext.broadcast(mix)
+
+    @F.pandas_udf("double")
+    def run(text: pd.Series) -> pd.Series:
+        m = held.value
+        return pd.Series(rates(posteriors(m.classifier, text.fillna("").tolist())[1], m.history, m.size, m.least)[1])
+
+    return run(F.col("text").cast("string"))
+
+
 def copies(rate: Column, seed: int, *names: str) -> Column:
     """Whole number of copies: the rate, rounded up or down by a hash of the row's names, so that its mean is the rate."""
     u = F.pmod(F.xxhash64(F.lit(seed), *[F.col(n) for n in names]), F.lit(1 << 20)) / float(1 << 20)

@@ -244,12 +244,12 @@ def score(m: Model, texts: list[str], spans: bool = False) -> tuple[np.ndarray,
     out, found = np.zeros(len(texts)), [[] for _ in texts]
     if m.weights.shape[1] == 1:
         return out, found
-    raws = [S.lower(t).encode("utf-8", "surrogatepass") for t in texts]
-    for a, b in S.batches([len(r) for r in raws], S.BLOCK):
-        split = list(S.pieces(raws[a])) if b - a == 1 else None
+    for a, b in S.batches([len(t) for t in texts], S.BLOCK):
+        raws = [S.lower(t).encode("utf-8", "surrogatepass") for t in texts[a:b]]
+        split = list(S.pieces(raws[0])) if b - a == 1 else None
         es, first = [], None
         for part in split or [None]:
-            w = S.words(raws[a:b] if part is None else [part])
+            w = S.words(raws if part is None else [part])
             es.append(emissions(m, features(w)))
             first = w.first
         e = np.concatenate(es)
@@ -257,12 +257,12 @@ def score(m: Model, texts: list[str], spans: bool = False) -> tuple[np.ndarray,
         p, *_ = marginals(m, e, first)
         out[a:b] = 1 / (1 + np.exp(-np.clip(summary(p, first) @ m.doc, -30, 30)))
         if spans:
-            places = np.concatenate([np.stack((w.starts, w.ends)) + off for w, off in _placed(raws[a:b], split)], axis=1)
-            begins = np.cumsum([0, *[len(r) + 1 for r in raws[a:b]]])
+            places = np.concatenate([np.stack((w.starts, w.ends)) + off for w, off in _placed(raws, split)], axis=1)
+            begins = np.cumsum([0, *[len(r) + 1 for r in raws]])
             for i in np.flatnonzero(p > 0.5).tolist():
                 d = int(np.searchsorted(first, i, side="right")) - 1
                 lo, hi = (int(x) - int(begins[d]) for x in places[:, i])
-                lo, hi = (len(raws[a + d][:x].decode("utf-8", "surrogatepass")) for x in (lo, hi))
+                lo, hi = (len(raws[d][:x].decode("utf-8", "surrogatepass")) for x in (lo, hi))
                 if found[a + d] and lo - found[a + d][-1][1] <= 1:
                     found[a + d][-1] = (found[a + d][-1][0], hi)
                 else:
