@@ -13,7 +13,7 @@ after a fixed number of steps, and only the last state is a release; traces are
 from __future__ import annotations
 
 import math
-from collections.abc import Callable, Iterator
+from collections.abc import Callable
 from dataclasses import asdict, dataclass, replace
 
 import numpy as np
@@ -177,6 +177,24 @@ def prefetch(ids: DataFrame, rows: DataFrame) -> DataFrame:
     return ids.join(rows, "row_id").repartition("chain_id").sortWithinPartitions("chain_id", "step", "slot")
 
 
+def _block(c: Config, a: np.ndarray, link: str, x: list[str], n: int, f0: np.ndarray, second0: np.ndarray) -> Callable[[pd.DataFrame], pd.DataFrame]:
+    """Runs the steps whose records are in a frame, from a given state."""
+
+    def run(frame: pd.DataFrame) -> pd.DataFrame:
+        kernel, scale = SumOfLogistic(a, link), c.epsilon / (2 * c.v)
+        f, second = f0.copy(), second0.copy()
+        for step, own in frame.sort_values(["step", "slot"]).groupby("step"):
+            grad = scale * (c.sigma * f / n + bounded_gradient(kernel, f, own[x].to_numpy(float), own["t"].to_numpy(), own["y"].to_numpy(), c.v, c.bound)[0])
+            second = c.mu * second + (1 - c.mu) * grad * grad
+            scales = 1 / (c.floor + np.sqrt(second)) if c.precondition else np.ones(len(f))
+            h = c.step_scale * step**-c.tau
+            z = np.array([rng.normal_value(c.seed, step, i) for i in range(len(f))])
+            f = f - h * scales * n * grad + np.sqrt(h * scales * (2 if c.temperature == "calibrated" else 1)) * z
+        return pd.DataFrame({"f": [f.tolist()], "second": [second.tolist()]})
+
+    return run
+
+
 def sample_prefetched(d: Data, rows: DataFrame, name: str, c: Config, block: int = 500) -> np.ndarray:
     """A chain over records of any number (``rows`` has row_id): blocks of steps, each fetched by one join; the state between blocks is d numbers."""
     spark = d.df.sparkSession
@@ -187,23 +205,7 @@ def sample_prefetched(d: Data, rows: DataFrame, name: str, c: Config, block: int
     for first in range(1, c.steps + 1, block):
         steps = min(block, c.steps - first + 1)
         fetched = prefetch(minibatch_ids(spark, name, c.seed, first, steps, min(c.k or n, n), n), rows.select("row_id", "t", "y", *x))
-        start = (f.copy(), second.copy())
-
-        def run(key, frames: Iterator[pd.DataFrame] | pd.DataFrame, start=start, first=first):
-            frame = frames
-            kernel = SumOfLogistic(a, link)
-            f, second = start[0].copy(), start[1].copy()
-            scale = c.epsilon / (2 * c.v)
-            for step, own in frame.sort_values(["step", "slot"]).groupby("step"):
-                grad = scale * (c.sigma * f / n + bounded_gradient(kernel, f, own[x].to_numpy(float), own["t"].to_numpy(), own["y"].to_numpy(), c.v, c.bound)[0])
-                second = c.mu * second + (1 - c.mu) * grad * grad
-                scales = 1 / (c.floor + np.sqrt(second)) if c.precondition else np.ones(len(f))
-                h = c.step_scale * step**-c.tau
-                z = np.array([rng.normal_value(c.seed, step, i) for i in range(len(f))])
-                f = f - h * scales * n * grad + np.sqrt(h * scales * (2 if c.temperature == "calibrated" else 1)) * z
-            return pd.DataFrame({"f": [f.tolist()], "second": [second.tolist()]})
-
-        state = fetched.groupBy("chain_id").applyInPandas(run, "f array<double>, second array<double>").first()
+        state = fetched.groupBy("chain_id").applyInPandas(_block(c, a, link, x, n, f, second), "f array<double>, second array<double>").first()
         f, second = np.array(state[0]), np.array(state[1])
     return f
 

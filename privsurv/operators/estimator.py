@@ -38,6 +38,7 @@ class PrivateSurvivalRegression(Estimator):
     @keyword_only
     def __init__(self, *, method: str = "output_noise", epsilon: float = 1.0, lam: float = 0.01, q: int = 200, e: int = 3, steps: int = 2000):
         super().__init__()
+        self._setDefault(method="output_noise", epsilon=1.0, lam=0.01, q=200, e=3, steps=2000)
         self._set(**self._input_kwargs)
 
     def _fit(self, dataset: DataFrame) -> SurvivalModel:

@@ -196,15 +196,17 @@ def deviance(spark, sf_dir):
 
 
 def _sampler(n: float, eps: float, steps: int, seed: int, **more) -> chain.Config:
+    """Published settings, but for steps a hundredth as long: runs here have thousands of steps, not hundreds of epochs,
+    and the step length of t^-0.51 only gets that small after about 10^6 steps."""
     v = private.default_bound(n)
-    return chain.Config(eps, v, private.default_prior(v, eps), steps, seed=seed, **more)
+    return chain.Config(eps, v, private.default_prior(v, eps), steps, seed=seed, step_scale=more.pop("step_scale", 0.01), **more)
 
 
 @query()
 def density_s2(spark, sf_dir):
     """Histogram of the first two covariate effects after burn-in, epsilon 6.4."""
     d = fit.data(W.frame(spark, sf_dir, "s2", 20), 20)
-    t = chain.sample(d, {"s2": _sampler(d.n, 6.4, 3000, 1, burn_in=1000)})
+    t = chain.sample(d, {"s2": _sampler(d.n, 6.4, 5000, 1, burn_in=2500)})
     out = None
     for i in (3, 4):
         own = metrics.density(t, i, -6, 6, 24).withColumn("component", F.lit(i - 2))
@@ -217,8 +219,8 @@ def mre_epochs_s4(spark, sf_dir):
     """Running error of chains at three budgets by epoch."""
     d = fit.data(W.frame(spark, sf_dir, "s4", 20), 20)
     star = fit.mle(d)
-    t = chain.sample(d, {str(e): _sampler(d.n, e, 2500, 2, every=10) for e in (0.4, 1.6, 6.4)})
-    return metrics.running_mre(t, star.tolist(), 250)
+    t = chain.sample(d, {str(e): _sampler(d.n, e, 5000, 2, every=10) for e in (0.4, 1.6, 6.4)})
+    return metrics.running_mre(t, star.tolist(), 500)
 
 
 @query("SELECT temperature, true AS as_expected FROM (VALUES ('calibrated'), ('printed')) v(temperature)")
@@ -233,8 +235,8 @@ def ablation_precondition(spark, sf_dir):
     """Error of final states with and without preconditioning, and of the other samplers, same steps."""
     d = fit.data(W.frame(spark, sf_dir, "s2", 20), 20)
     star = fit.mle(d)
-    base = _sampler(d.n, 6.4, 1500, 3, burn_in=1000, every=10)
-    runs = {"preconditioned": base, "plain": chain.variants(base, sampler="plain", precondition=False, step_scale=1e-3), "thermostat": chain.variants(base, sampler="thermostat", step_scale=1e-3), "drift_corrected": chain.variants(base, drift_correction=True, steps=1100),
+    base = _sampler(d.n, 6.4, 5000, 3, burn_in=2500, every=10)
+    runs = {"preconditioned": base, "plain": chain.variants(base, sampler="plain", precondition=False, step_scale=1e-3), "thermostat": chain.variants(base, sampler="thermostat", step_scale=1e-3), "drift_corrected": chain.variants(base, drift_correction=True, steps=3000),
             "metropolis": chain.variants(base, sampler="metropolis", step_scale=0.3), "unbounded": chain.variants(base, bound="none"), "clipped": chain.variants(base, bound="clip"), "ball": chain.variants(base, radius=float(2 * np.linalg.norm(star)))}
     return metrics.mre(chain.sample(d, runs), star.tolist(), ["chain_id"])
 
@@ -266,7 +268,7 @@ def privacy_tradeoff(spark, sf_dir):
     for eps in (0.1, 0.4, 1.6, 6.4):
         rows += [("output_noise", eps, private.output_noise_fit(d, eps, 0.01, seed=f"o{s}", fitted=f).f) for s in range(10)]
         rows += [("objective_noise", eps, private.objective_noise_fit(d, eps, 0.01, seed=f"b{s}", tolerance=1e-7).f) for s in range(2)]
-    runs = {f"{e}": _sampler(d.n, e, 2500, 5, burn_in=1500, every=10) for e in (0.1, 0.4, 1.6, 6.4)}
+    runs = {f"{e}": _sampler(d.n, e, 6000, 5, burn_in=3000, every=10) for e in (0.1, 0.4, 1.6, 6.4)}
     t = chain.sample(d, runs).select(F.lit("sampler").alias("method"), F.col("chain_id").cast("double").alias("epsilon"), "f")
     all_ = spark.createDataFrame(rows, "method string, epsilon double, f array<double>").unionByName(t)
     return metrics.mre(all_, star.tolist(), ["method", "epsilon"])
