@@ -86,15 +86,15 @@ def _seg(spark, sf_dir):
     return c.join(F.broadcast(n), c.c_nationkey == n.n_nationkey).select("c_mktsegment", F.col("n_regionkey").cast("long").alias("region"), "c_acctbal")
 
 
-_AGG = "count(*) AS n, round(avg(c_acctbal), 4) AS mean"
+_AGG = "count(*) AS n, sum(round(c_acctbal * 100)::BIGINT)::BIGINT AS cents"
 
 
 def _aggs():
-    return [F.count(F.lit(1)).alias("n"), F.round(F.avg("c_acctbal"), 4).alias("mean")]
+    return [F.count(F.lit(1)).alias("n"), F.sum(F.round(F.col("c_acctbal") * 100).cast("long")).alias("cents")]
 
 
 def _filled(df):
-    return df.select(F.coalesce("c_mktsegment", F.lit("all")).alias("segment"), F.coalesce("region", F.lit(-1)).alias("region"), "n", "mean")
+    return df.select(F.coalesce("c_mktsegment", F.lit("all")).alias("segment"), F.coalesce("region", F.lit(-1)).alias("region"), "n", "cents")
 
 
 _FILL = "coalesce(c_mktsegment, 'all') AS segment, coalesce(n_regionkey, -1)::BIGINT AS region"

@@ -9,7 +9,7 @@ from privsurv.plans.all_queries import ORACLES, QUERIES
 
 
 #: The smallest tables separate these perfectly.
-LARGER = {"cox_fit_1d"}
+LARGER = {"cox_fit_1d", "mle_s5"}
 
 
 def connect(folder):
