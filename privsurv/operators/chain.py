@@ -23,7 +23,9 @@ from pyspark.sql import functions as F
 
 from ..functions import rng
 from ..functions.loss import SumOfLogistic
+from .ledger import Ledger
 from .objective import Data
+from .private import Release, default_bound, default_prior
 
 POOL = 5_000_000  # most numbers of a pool that is broadcast
 
@@ -154,6 +156,20 @@ def sample(d: Data, configs: dict[str, Config]) -> DataFrame:
     return ids.groupBy("chain_id").applyInPandas(run, "chain_id string, step long, last boolean, f array<double>")
 
 
+def bounded_sampler_fit(d: Data, epsilon: float, v: float | None = None, sigma: float | None = None, steps: int = 20_000, ledger: Ledger | None = None, unit: str = "data", **more) -> Release:
+    """One draw from the bounded-loss posterior: the last state of a chain of fixed length.  Never exact, since chains only converge."""
+    v = default_bound(d.n) if v is None else v
+    seed = more.pop("seed", None)
+    c = Config(epsilon, v, default_prior(v, epsilon) if sigma is None else sigma, steps, burn_in=steps - 1, seed=int(np.random.SeedSequence().entropy % 2**32) if seed is None else seed, **more)
+    if c.bound == "none":
+        raise ValueError("an unbounded loss has no privacy guarantee; run it by sample() as a comparator")
+    run = f"sampler-{seed}"
+    if ledger:
+        ledger.charge(run, unit, c.charged, exact=False)
+    f = sample(d, {"run": c}).where("last").first()["f"]
+    return Release("bounded_sampler", c.charged, list(f), *d.a.shape, link=d.link, params={"v": v, "sigma": c.sigma, "steps": float(steps)}, exact=False, run_id=run)
+
+
 def minibatch_ids(spark, chain_id: str, seed: int, first: int, steps: int, k: int, n: int) -> DataFrame:
     """chain_id, step, slot, row_id of a block of steps: k distinct rows of n per step, by digests.
 

@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import numpy as np
 from pyspark import keyword_only
 from pyspark.ml import Estimator, Model
 from pyspark.ml.param import Param, Params, TypeConverters
@@ -10,7 +9,7 @@ from pyspark.sql import DataFrame
 
 from ..functions import basis
 from . import predict, private
-from .chain import Config, sample
+from .chain import bounded_sampler_fit
 from .fit import mle, ridge
 from .objective import Data
 from .prep import covariates
@@ -50,10 +49,7 @@ class PrivateSurvivalRegression(Estimator):
         elif how == "objective_noise":
             r = private.objective_noise_fit(d, eps, lam)
         elif how == "sampler":
-            v = private.default_bound(d.n)
-            c = Config(eps, v, private.default_prior(v, eps), get(self.steps), burn_in=get(self.steps) - 1, seed=int(np.random.SeedSequence().entropy % 2**32))
-            f = sample(d, {"run": c}).where("last").first()["f"]
-            r = private.Release("sampler", c.charged, list(f), get(self.q), get(self.e), exact=False)
+            r = bounded_sampler_fit(d, eps, steps=get(self.steps))
         elif how in ("mle", "ridge"):
             r = private.Release(how, float("inf"), (mle(d) if how == "mle" else ridge(d, lam)).tolist(), get(self.q), get(self.e))
         else:

@@ -6,7 +6,7 @@ from pyspark.sql import functions as F
 
 from ..functions import basis, links, loss, udfs
 from ..functions import sql as sql_functions
-from ..operators import predict
+from ..operators import predict, prep, tabulated
 from ..operators.objective import Data
 from ..sources import workloads as W
 from . import spells_sql as Q
@@ -101,6 +101,25 @@ def record_loss_kernel(spark, sf_dir):
     return _records(spark, sf_dir, "s4").select("subject_id", F.round(f("t", "y", F.array(*S)), 6).alias("loss"))
 
 
+@query(f"""WITH {Q.records('s4')}, {Q.basis(200)}, {Q.periods(ALPHA, BETA)} SELECT subject_id, round(sum({_LOGIT}), 5) AS loss FROM periods GROUP BY 1""")
+def record_loss_tabulated(spark, sf_dir):
+    """By one lookup per record in place of up to 200 terms."""
+    out = tabulated.losses(_records(spark, sf_dir, "s4"), basis.matrix(200, 3), [*ALPHA, *BETA], S, 257)
+    return out.select("subject_id", F.round("loss", 5).alias("loss"))
+
+
+@query("SELECT 's5' AS dataset, 'columns' AS evaluator, 'broadcast' AS feeding UNION ALL SELECT 's6', 'kernel', 'broadcast'")
+def physical_choices(spark, sf_dir):
+    from . import choose
+
+    rows = []
+    for name in ("s5", "s6"):
+        df = _records(spark, sf_dir, name)
+        x = prep.covariates(df)
+        rows.append((name, choose.evaluator(df, x, W.SPECS[name].q).name, choose.feeding(df.count(), len(x), 1000, 200).name))
+    return spark.createDataFrame(rows, "dataset string, evaluator string, feeding string")
+
+
 @query(f"WITH {_PERIODS} SELECT subject_id, round(sum({_LOGIT}), 6) AS loss FROM periods GROUP BY 1")
 def record_loss_sql(spark, sf_dir):
     """By the temporary SQL functions."""

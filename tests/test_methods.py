@@ -219,3 +219,22 @@ def test_bounded_plans(spark, records):
     text = records.mapInPandas(lambda f: f, records.schema)._jdf.queryExecution().toString()
     assert "Generate" not in text and "Cartesian" not in text
     del table
+
+
+def test_tabulated_losses_stay_within_their_bound(records):
+    from privsurv.functions.loss import SumOfLogistic
+    from privsurv.operators import tabulated
+
+    f, a, x = [*ALPHA, *BETA], basis.matrix(20, 3), ["x1", "x2", "x3"]
+    rows = tabulated.losses(records, a, np.array(f), x, 33).toPandas()
+    exact = SumOfLogistic(a).losses(np.array(f), rows[x].to_numpy(), rows["t"].to_numpy(), rows["y"].to_numpy())
+    assert np.abs(rows["loss"] - exact).max() <= tabulated.error_bound(20, np.linalg.norm(BETA) + 1e-9, 33) + 1e-12
+
+
+def test_choices(spark, records):
+    from privsurv.plans import choose
+
+    assert choose.evaluator(records, ["x1", "x2", "x3"], 20).name == "kernel"
+    assert choose.evaluator(records, ["x1", "x2", "x3"], 200, 1e-6).name == "table"
+    assert choose.evaluator(records.select("t", "y"), [], 20).name == "cells"
+    assert choose.feeding(1e9, 3, 1000, 200).name == "prefetch" and "MB" in choose.feeding(1e9, 3, 1000, 200).explain()
