@@ -26,11 +26,11 @@ _CELLS = f"""cells AS (SELECT s / 8.0 AS u, x1, count(*)::DOUBLE AS n, sum((t =
 size AS (SELECT count(*)::DOUBLE AS n FROM ({Q.SPELLS['s5']}))"""
 
 
-def _descent(iterations: int, step: float, lam: float = 0.1, extra: str = "", linear: tuple[float, float, float] = (0, 0, 0)) -> str:
+def _descent(iterations: int, step: float, lam: float = 0.1, extra: str = "", linear: tuple = (0, 0, 0), before: str = "") -> str:
     """Gradient steps on the risk cells, as a recursive query."""
     eta = "(d.f1 + d.f2 * c.u + d.f3 * c.x1)"
     g = f"(c.n / (1 + exp(-{eta})) - c.m)"
-    return f"""WITH RECURSIVE {_CELLS}, d AS (SELECT 0 AS k, 0.0::DOUBLE AS f1, 0.0::DOUBLE AS f2, 0.0::DOUBLE AS f3 UNION ALL
+    return f"""WITH RECURSIVE {_CELLS}, {before}d AS (SELECT 0 AS k, 0.0::DOUBLE AS f1, 0.0::DOUBLE AS f2, 0.0::DOUBLE AS f3 UNION ALL
     SELECT k + 1, f1 - {step} * (g1 / n + {lam} * f1 + {linear[0]} / n), f2 - {step} * (g2 / n + {lam} * f2 + {linear[1]} / n), f3 - {step} * (g3 / n + {lam} * f3 + {linear[2]} / n)
     FROM (SELECT d.*, (SELECT n FROM size) AS n, (SELECT sum({g}) FROM cells c) AS g1, (SELECT sum({g} * c.u) FROM cells c) AS g2, (SELECT sum({g} * c.x1) FROM cells c) AS g3 FROM d WHERE k < {iterations})){extra}"""
 
@@ -109,6 +109,17 @@ def output_noise_replay(spark, sf_dir):
     return _row(spark, output_noise_fit(o.data, 3.2, 0.1, seed="replay").f)
 
 
+_LEFT_S5 = "(SELECT 3.2 - greatest(2 * sum(ln(1 + 0.25 * sqrt(a1 * a1 + a2 * a2 + 1) / ((SELECT n FROM size) * 0.5))), sum(ln(1 + 0.25 * (a1 * a1 + a2 * a2 + 1) / ((SELECT n FROM size) * 0.5)))) FROM b8)"
+
+
+@query(_descent(300, 0.4, 0.5, linear=tuple(f"((SELECT g FROM sn) / {_LEFT_S5} * {b})" for b in _N), before=f"{_B8}, ") + " " + _FINAL + "300")
+def objective_noise_replay(spark, sf_dir):
+    """Objective noise with digest noise; here the ridge suffices and none is added."""
+    from ..operators.private import objective_noise_fit
+
+    return _row(spark, objective_noise_fit(_linear(spark, sf_dir, 0.5).data, 3.2, 0.5, seed="replay").f)
+
+
 def _plain_logistic(spark, sf_dir):
     df = prep.discretize(W.lengths(spark, sf_dir), 50, 50_000).select("subject_id", F.lit(1).alias("t"), "y", "x1", "x2", F.lit(1).cast("long").alias("w"))
     return baseline.plain(prep.compress(df, ["x1", "x2"]))
