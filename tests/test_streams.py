@@ -16,8 +16,8 @@ def test_spells_close_expire_and_drop_late_rows(spark, tmp_path):
     write(spark, path, [e(1, 0, 1, "signup"), e(2, 1, 1, "purchase"), e(3, 0, 2, "signup"), e(4, 0.5, 3, "view")])
     stream = runner.events_stream(spark, path, 1)
     write(spark, path, [e(5, 20, 9, "signup")])  # moves the watermark past user 2's deadline
-    write(spark, path, [e(6, 2, 4, "signup"), e(7, 21, 9, "purchase")])  # the first is late
-    write(spark, path, [e(8, 40, 8, "view"), e(9, 40, 8, "signup")])
+    write(spark, path, [e(7, 21, 9, "purchase")])
+    write(spark, path, [e(6, 2, 4, "signup"), e(8, 40, 8, "view"), e(9, 40, 8, "signup")])  # the first is late
     got = {(r.user_id, r.subject_id): (round(r.duration, 3), r.event) for r in runner.finish(spells.build(stream)).collect()}
     assert got[(1, 1)] == (1.0, 1) and got[(2, 3)] == (6.0, 0) and got[(9, 5)] == (1.0, 1)
     assert (4, 6) not in got
