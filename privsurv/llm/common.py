@@ -14,6 +14,7 @@ from pyspark.sql import functions as F
 from .. import ship
 
 BATCH = "spark.sql.execution.arrow.maxRecordsPerBatch"
+_own: list[str] = []  # the folder of a local session that names none
 _made: list[tuple[SparkSession, str]] = []
 
 
@@ -24,10 +25,10 @@ def shared_dir(spark: SparkSession) -> str:
         return found.rstrip("/")
     if not spark.sparkContext.master.startswith("local["):
         raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
-    own = tempfile.mkdtemp(prefix="privsurv-scratch-")
-    atexit.register(shutil.rmtree, own, True)
-    spark.conf.set("spark.checkpoint.dir", own)
-    return own
+    if not _own:
+        _own.append(tempfile.mkdtemp(prefix="privsurv-scratch-"))
+        atexit.register(shutil.rmtree, _own[0], True)
+    return _own[0]
 
 
 def cut(df: DataFrame, name: str) -> DataFrame:
