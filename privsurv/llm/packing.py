@@ -66,32 +66,48 @@ class Encoder:
     Forgets everything when it holds more than ``most`` words.
     """
 
-    def __init__(self, path: str, most: int = 400_000):
+    def __init__(self, path: str, most: int = 1_500_000):
         self.path, self.most = path, most
         self.forget()
 
     def forget(self) -> None:
-        self.keys = np.zeros(0, dtype=np.uint64)
-        self.at = self.many = np.zeros(0, dtype=np.int64)
-        self.pool = np.zeros(0, dtype=np.uint32)
+        self.runs: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []  # sorted keys, places in the pool, numbers of ids; sizes halve
+        self.pool = np.zeros(1 << 16, dtype=np.uint32)
+        self.used = 0
+
+    def find(self, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Places and numbers of ids; -1 where a key is new."""
+        at, many = np.full(len(keys), -1, dtype=np.int64), np.zeros(len(keys), dtype=np.int64)
+        left = np.arange(len(keys))
+        for own, places, numbers in self.runs:
+            spot = np.minimum(np.searchsorted(own, keys[left]), len(own) - 1)
+            hit = own[spot] == keys[left]
+            at[left[hit]], many[left[hit]] = places[spot[hit]], numbers[spot[hit]]
+            left = left[~hit]
+            if not len(left):
+                break
+        return at, many
 
     def learn(self, keys: np.ndarray, names: list[str]) -> None:
-        """Encodes words, joined by blanks, in a few calls; tokens are told apart by their places."""
-        if len(self.keys) + len(keys) > self.most:
-            self.forget()
-        found, many = [], []
+        """Encodes words (``keys`` ascend), joined by blanks, in a few calls; tokens are told apart by their places."""
+        numbers = []
         for a in range(0, len(names), 20_000):
             some = names[a : a + 20_000]
             e = _tokenizer(self.path).encode(" ".join(some), add_special_tokens=False)
             starts = np.cumsum([0, *[len(n) + 1 for n in some]])
-            owner = np.searchsorted(starts, np.asarray([o[0] for o in e.offsets], dtype=np.int64), side="right") - 1
-            found.append(np.asarray(e.ids, dtype=np.uint32))
-            many.append(np.bincount(owner, minlength=len(some)))
-        many_ = np.concatenate(many)
-        at = len(self.pool) + np.cumsum(many_) - many_
-        order = np.argsort(all_ := np.concatenate((self.keys, keys)))
-        self.keys, self.at, self.many = all_[order], np.concatenate((self.at, at))[order], np.concatenate((self.many, many_))[order]
-        self.pool = np.concatenate((self.pool, *found))
+            owner = np.searchsorted(starts, np.fromiter((o[0] for o in e.offsets), dtype=np.int64, count=len(e)), side="right") - 1
+            while self.used + len(e) > len(self.pool):
+                self.pool = np.concatenate((self.pool, np.zeros(len(self.pool), dtype=np.uint32)))
+            self.pool[self.used : self.used + len(e)] = e.ids
+            numbers.append(np.bincount(owner, minlength=len(some)))
+            self.used += len(e)
+        many = np.concatenate(numbers).astype(np.int32)
+        at = (self.used - int(many.sum()) + np.cumsum(many) - many).astype(np.int32)
+        self.runs.append((keys, at, many))
+        while len(self.runs) > 1 and len(self.runs[-2][0]) < 2 * len(self.runs[-1][0]):
+            both = [np.concatenate(v) for v in zip(self.runs[-2], self.runs[-1], strict=True)]
+            order = np.argsort(both[0], kind="stable")  # two sorted runs: a merge
+            self.runs[-2:] = [tuple(v[order] for v in both)]
 
     def block(self, raws: list[bytes]) -> list[np.ndarray]:
         """Ids of each of some short texts."""
@@ -99,16 +115,16 @@ class Encoder:
         if not len(w.starts):
             return [np.zeros(0, dtype=np.uint32) for _ in raws]
         keys, first, back = np.unique(w.hashes, return_index=True, return_inverse=True)
-        at = np.minimum(np.searchsorted(self.keys, keys), max(0, len(self.keys) - 1))
-        new = self.keys[at] != keys if len(self.keys) else np.ones(len(keys), dtype=bool)
+        at, many = self.find(keys)
+        new = at < 0
         if new.any():
-            if len(self.keys) + int(new.sum()) > self.most:
+            if sum(len(r[0]) for r in self.runs) + int(new.sum()) > self.most:
                 self.forget()
                 new[:] = True
             raw = w.raw.tobytes()
             self.learn(keys[new], [raw[w.starts[i] : w.ends[i]].decode("utf-8") for i in first[new].tolist()])
-            at = np.searchsorted(self.keys, keys)
-        many, begin = self.many[at][back], self.at[at][back]
+            at[new], many[new] = self.find(keys[new])
+        many, begin = many[back], at[back]
         ends = np.cumsum(many)
         out = self.pool[np.repeat(begin - (ends - many), many) + np.arange(int(ends[-1]))]
         bounds = np.concatenate(([0], ends))[w.first]
