@@ -353,7 +353,7 @@ def plan(counts: dict[int, int], limit: int = LIMIT, groups: int = GROUPS, long:
     return out, made
 
 
-def pack(docs: DataFrame, path: str, limit: int = LIMIT, cell_rows: int = 50_000) -> DataFrame:
+def pack(docs: DataFrame, path: str, limit: int = LIMIT, cell_rows: int = 5_000) -> DataFrame:
     """One row per piece: doc_id, piece, start, length, ids_crc32, sequence_id, offset."""
     spark = docs.sparkSession
     cut_up = cut(pieces(docs, path, limit), "pack-pieces")
