@@ -55,11 +55,9 @@ def host_edges(pages: DataFrame) -> DataFrame:
 
 def propagate(edges: DataFrame, seeds: DataFrame, damping: float = 0.85, rounds: int = 12) -> DataFrame:
     """host, trust, distrust from seeds(host, trust, distrust); each kind of seed weight is scaled to sum to one."""
-    total = seeds.agg(F.sum("trust").alias("t"), F.sum("distrust").alias("d"))
-    start = seeds.crossJoin(F.broadcast(total)).select(  # one row
-        "host", F.coalesce(F.try_divide("trust", "t"), F.lit(0.0)).alias("t0"), F.coalesce(F.try_divide("distrust", "d"), F.lit(0.0)).alias("d0")
-    )
-    start = cut(start, "url-seeds")
+    seeds = cut(seeds, "url-seeds")
+    trust, distrust = (x or 1.0 for x in seeds.agg(F.sum("trust"), F.sum("distrust")).first())
+    start = seeds.select("host", (F.col("trust") / trust).alias("t0"), (F.col("distrust") / distrust).alias("d0"))
     ranks = start.select("host", F.col("t0").alias("trust"), F.col("d0").alias("distrust"))
     edges = cut(edges, "url-edges")
     if edges.isEmpty():
