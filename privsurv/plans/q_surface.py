@@ -147,10 +147,10 @@ def pivot_lambda(spark, sf_dir):
     return o.groupBy("dataset").pivot("lam", ["low", "high"]).agg(F.count(F.lit(1)))
 
 
-@query("SELECT l_returnflag, name, round(value, 4) AS value FROM (UNPIVOT (SELECT l_returnflag, avg(l_discount) AS discount, avg(l_tax) AS tax FROM lineitem GROUP BY 1) ON discount, tax INTO NAME name VALUE value)")
+@query("SELECT l_returnflag, name, value FROM (UNPIVOT (SELECT l_returnflag, sum(round(l_discount * 100)::BIGINT)::BIGINT AS discount, sum(round(l_tax * 100)::BIGINT)::BIGINT AS tax FROM lineitem GROUP BY 1) ON discount, tax INTO NAME name VALUE value)")
 def unpivot(spark, sf_dir):
-    df = T(spark, sf_dir, "lineitem", ["l_returnflag", "l_discount", "l_tax"]).groupBy("l_returnflag").agg(F.avg("l_discount").alias("discount"), F.avg("l_tax").alias("tax"))
-    return df.unpivot("l_returnflag", ["discount", "tax"], "name", "value").select("l_returnflag", "name", F.round("value", 4).alias("value"))
+    df = T(spark, sf_dir, "lineitem", ["l_returnflag", "l_discount", "l_tax"]).groupBy("l_returnflag").agg(F.sum(F.round(F.col("l_discount") * 100).cast("long")).alias("discount"), F.sum(F.round(F.col("l_tax") * 100).cast("long")).alias("tax"))
+    return df.unpivot("l_returnflag", ["discount", "tax"], "name", "value")
 
 
 @query("""SELECT s_suppkey, rank() OVER w AS r, dense_rank() OVER w AS d, row_number() OVER (PARTITION BY s_nationkey ORDER BY s_acctbal, s_suppkey) AS n, round(percent_rank() OVER w, 8) AS p, round(cume_dist() OVER w, 8) AS c, ntile(4) OVER (PARTITION BY s_nationkey ORDER BY s_acctbal, s_suppkey) AS q
