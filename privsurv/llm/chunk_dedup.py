@@ -57,5 +57,6 @@ def exact_dedup(docs: DataFrame, bits: int = 64) -> DataFrame:
     """One row per document: doc_id, keep_id, group_size, kept, text_sha256."""
     rows = cut(recipes(docs, bits), "chunk-recipes")
     named = identified(rows).select("doc_id", "text_sha256", "recipe")
-    groups = named.groupBy("recipe").agg(F.min("doc_id").alias("keep_id"), F.count(F.lit(1)).alias("group_size"))
+    # Written first, so that the join stands alone and a recipe that very many documents share can be split.
+    groups = cut(named.groupBy("recipe").agg(F.min("doc_id").alias("keep_id"), F.count(F.lit(1)).alias("group_size")), "chunk-groups")
     return named.join(groups, "recipe").select("doc_id", "keep_id", "group_size", F.col("doc_id").eqNullSafe(F.col("keep_id")).alias("kept"), "text_sha256")
