@@ -307,8 +307,9 @@ def _spans(rows: DataFrame, docs: DataFrame, width: int, gram: int, most: int) -
     """All repeated spans: doc_id, dh, begin, end."""
     spark = docs.sparkSession
     kind = "doc_id long, dh long, begin long, end long"
-    sized = rows.groupBy("gram").agg(F.sum(F.size("at")).alias("all")).where("all > 1")
-    rows = cut(rows.join(sized.select("gram"), "gram"), "repeat-anchors")
+    # Written first, so that the join stands alone and an anchor that very many texts share can be split.
+    sized = cut(rows.groupBy("gram").agg(F.sum(F.size("at")).alias("all")).where("all > 1").select("gram"), "repeat-grams")
+    rows = cut(rows.join(sized, "gram"), "repeat-anchors")
     named = rows.groupBy("gram", "seg").agg(F.sum(F.size("at")).cast("long").alias("weight"), *[F.first(c).alias(c) for c in ("doc_id", "dh", "n_win", "delta")], F.first(F.get("at", 0)).alias("pos"))
     named = cut(named, "repeat-segments")
     several = named.groupBy("gram").agg(F.count(F.lit(1)).alias("segs")).where("segs > 1")
