@@ -76,7 +76,17 @@ class SumOfLogistic:
             own = order[lo : lo + self.chunk]
             wide = int(t[own[-1]])
             s = np.arange(1, wide + 1)
-            keep, fail, slope, slope_fail = links.terms(gamma[None, :wide] + z[own][:, None], self.link)
+            eta = gamma[None, :wide] + z[own][:, None]
+            if self.link == "logit":  # failing instead of surviving takes eta from the loss and one from the slope
+                small, past = np.exp(-np.abs(eta)), s[None, :] <= t[own][:, None]
+                event, end = np.flatnonzero(y[own] == 1), t[own].astype(np.int64) - 1
+                loss = ((np.maximum(eta, 0) + np.log1p(small)) * past).sum(axis=1)
+                slope = np.where(eta >= 0, 1.0, small) / (1 + small) * past
+                loss[event] -= eta[event, end[event]]
+                slope[event, end[event]] -= 1
+                yield own, loss, slope
+                continue
+            keep, fail, slope, slope_fail = links.terms(eta, self.link)
             before, at = s[None, :] < t[own][:, None], s[None, :] == t[own][:, None]
             event = at & (y[own] == 1)[:, None]
             alive = before | (at & ~event)

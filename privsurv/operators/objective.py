@@ -86,13 +86,20 @@ class Objective:
         return value, grad
 
     def second(self, f: np.ndarray) -> tuple[float, np.ndarray, np.ndarray]:
-        n, d = max(self.data.n, 1.0), len(f)
-        s = self.data.sums([f], hessian=True)[0]
-        value, grad = self._whole(f, s[0] / n, s[1 : 1 + d] / n)
+        return second_many([self], [f])[0]
+
+
+def second_many(os: Sequence[Objective], fs: Sequence[np.ndarray]) -> list[tuple[float, np.ndarray, np.ndarray]]:
+    """Value, gradient and Hessian of several objectives on the same data, each at its own point, in one pass."""
+    data, out = os[0].data, []
+    n, d = max(data.n, 1.0), data.d
+    for o, f, s in zip(os, fs, data.sums(fs, hessian=True), strict=True):
+        value, grad = o._whole(np.asarray(f, float), s[0] / n, s[1 : 1 + d] / n)
         h = np.zeros((d, d))
         h[np.triu_indices(d)] = s[1 + d :] / n
         h = h + h.T - np.diag(np.diag(h))
-        return value, grad, h + (self.lam + self.extra) * np.eye(d)
+        out.append((value, grad, h + (o.lam + o.extra) * np.eye(d)))
+    return out
 
 
 def persisted(df: DataFrame) -> DataFrame:

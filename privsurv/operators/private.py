@@ -14,7 +14,7 @@ from . import noise, sensitivity
 from .fit import ridge
 from .ledger import Ledger
 from .objective import Data, Objective
-from .solver import SOLVERS
+from .solver import SOLVERS, newton_many
 
 
 @dataclass
@@ -68,6 +68,20 @@ def objective_noise_fit(d: Data, epsilon: float, lam: float, seed: object = None
     return Release("objective_noise", epsilon, f.tolist(), *d.a.shape, params={"lambda": lam, "extra": extra, "noise_budget": left}, run_id=run)
 
 
+def objective_noise_fits(d: Data, cases: list[tuple[float, object]], lam: float, mode: str = "printed", tolerance: float = 1e-9, start: np.ndarray | None = None) -> list[Release]:
+    """Objective noise for several (epsilon, seed), fitted together so that they share passes over the records.  For experiments: charges no ledger."""
+    sensitivity.require_bounded_gradient(d.link)
+    bound, terms, parts = sensitivity.gradient(d.a), [], {}
+    for epsilon, seed in cases:
+        _check(epsilon)
+        if epsilon not in parts:
+            parts[epsilon] = sensitivity.extra_ridge(d.a, d.n, lam, epsilon, mode)
+        extra, left = parts[epsilon]
+        terms.append(Objective(d, lam, extra, noise.gamma_sphere(d.d, bound / left, seed)))
+    fs = newton_many(terms, start, tolerance)
+    return [Release("objective_noise", e, f.tolist(), *d.a.shape, params={"lambda": lam, "extra": o.extra, "noise_budget": parts[e][1]}, run_id=f"objective-{s}") for (e, s), o, f in zip(cases, terms, fs, strict=True)]
+
+
 def default_bound(n: float) -> float:
     """Bound of a record's loss."""
     return 2 * math.log(max(n, 2))

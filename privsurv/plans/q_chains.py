@@ -6,8 +6,8 @@ import numpy as np
 from pyspark.sql import functions as F
 
 from ..functions import basis, loss, rng
-from ..operators import chain, fit, metrics, prep, private
-from ..operators.objective import Data
+from ..operators import chain, fit, metrics, prep, private, solver
+from ..operators.objective import Data, Objective
 from ..sources import workloads as W
 from . import spells_sql as Q
 from .q_model import S, _records
@@ -266,22 +266,50 @@ def lambda_sweep(spark, sf_dir):
     return df.groupBy("dataset", "lambda").agg(F.avg(metrics.distance(F.col("f"), F.col("star"))).alias("mre"))
 
 
+BUDGETS = tuple(0.1 * 2**j for j in range(7))
+RIDGES = (1e-5, 1e-4, 1e-3, 1e-2, 1e-1, 1.0)
+DRAWS, STEPS = 20, 6000  # of each method at each budget; steps of a chain
+
+
+def _tradeoff(spark, df, name: str):
+    """dataset, method, epsilon, run, f, star: as many draws of both noises as chains of the sampler (all their states after burn-in), for every budget."""
+    df = prep.compress(df, prep.covariates(df)).coalesce(8).persist()
+    d = fit.data(df, 200)
+    star, rows, fits = fit.mle(d).tolist(), [], {}
+    ridges = solver.newton_many([Objective(d, lam) for lam in RIDGES], tolerance=1e-8)
+    for lam, f in zip(RIDGES, ridges, strict=True):  # the best ridge at the highest budget serves both noise methods
+        drawn = [private.output_noise_fit(d, BUDGETS[-1], lam, seed=f"l{s}", fitted=f, tolerance=1e-8).f for s in range(DRAWS)]
+        fits[lam] = (float(np.mean([np.linalg.norm(np.array(v) - star) for v in drawn])), f)
+    best = min(fits, key=lambda k: fits[k][0])
+    for eps in BUDGETS:
+        rows += [(name, "output_noise", eps, s, private.output_noise_fit(d, eps, best, seed=f"o{s}", fitted=fits[best][1], tolerance=1e-8).f, star) for s in range(DRAWS)]
+    cases = [(eps, f"b{s}") for eps in BUDGETS for s in range(DRAWS)]
+    rows += [(name, r.method, r.epsilon, i % DRAWS, r.f, star) for i, r in enumerate(private.objective_noise_fits(d, cases, best, tolerance=1e-7, start=fits[best][1]))]
+    runs = {f"{eps!r}|{s}": _sampler(d.n, eps, STEPS, 1000 * i + s, burn_in=STEPS // 2, every=10) for i, eps in enumerate(BUDGETS) for s in range(DRAWS)}
+    t = chain.sample(d, runs)
+    df.unpersist()
+    part = F.split("chain_id", "[|]")
+    t = t.select(F.lit(name).alias("dataset"), F.lit("sampler").alias("method"), part[0].cast("double").alias("epsilon"), part[1].cast("int").alias("run"), "f", F.array(*[F.lit(v) for v in star]).alias("star"))
+    return spark.createDataFrame(rows, "dataset string, method string, epsilon double, run int, f array<double>, star array<double>").unionByName(t)
+
+
+def _errors(draws):
+    return draws.groupBy("dataset", "method", "epsilon").agg(F.avg(metrics.distance(F.col("f"), F.col("star"))).alias("mre"), F.countDistinct("run").alias("draws"))
+
+
 @query()
 def privacy_tradeoff(spark, sf_dir):
-    """Error of the three methods over budgets on planted data (the given tables have no real effects)."""
+    """Error of the three methods over seven budgets on the four given workloads."""
+    out = None
+    for name in ("s1", "s2", "s3", "s4"):
+        own = _tradeoff(spark, W.frame(spark, sf_dir, name), name)
+        out = own if out is None else out.unionByName(own)
+    return _errors(out)
+
+
+@query()
+def privacy_tradeoff_planted(spark, sf_dir):
+    """The same on planted data, since the given tables have no real effects."""
     from ..sources.planted import planted
 
-    df = planted(spark, 4000, [-6.0, 1.0, -1.0], [0.8, -0.5, 0.3], 200).coalesce(8).persist()
-    d = fit.data(df, 200)
-    star, rows, fits = fit.mle(d), [], {}
-    for lam in (0.01, 0.1, 1.0):  # the best ridge at the highest budget serves both noise methods
-        f = fit.ridge(d, lam)
-        fits[lam] = (float(np.mean([np.linalg.norm(np.array(private.output_noise_fit(d, 6.4, lam, seed=f"l{s}", fitted=f).f) - star) for s in range(20)])), f)
-    best = min(fits, key=lambda k: fits[k][0])
-    for eps in (0.1, 0.4, 1.6, 6.4):
-        rows += [("output_noise", eps, private.output_noise_fit(d, eps, best, seed=f"o{s}", fitted=fits[best][1]).f) for s in range(20)]
-        rows += [("objective_noise", eps, private.objective_noise_fit(d, eps, best, seed=f"b{s}", tolerance=1e-7).f) for s in range(2)]
-    runs = {f"{e}": _sampler(d.n, e, 6000, 5, burn_in=3000, every=10) for e in (0.1, 0.4, 1.6, 6.4)}
-    t = chain.sample(d, runs).select(F.lit("sampler").alias("method"), F.col("chain_id").cast("double").alias("epsilon"), "f")
-    all_ = spark.createDataFrame(rows, "method string, epsilon double, f array<double>").unionByName(t)
-    return metrics.mre(all_, star.tolist(), ["method", "epsilon"])
+    return _errors(_tradeoff(spark, planted(spark, 4000, [-6.0, 1.0, -1.0], [0.8, -0.5, 0.3], 200), "planted"))
