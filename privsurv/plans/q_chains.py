@@ -255,11 +255,11 @@ def ablation_precondition(spark, sf_dir):
 def lambda_sweep(spark, sf_dir):
     """Mean relative error of output noise at epsilon 6.4 over ridges and seeds; the best ridge per workload can be read off by best_lambda."""
     rows = []
-    for name in ("s2", "s3", "s4"):
-        d = fit.data(prep.compress(W.frame(spark, sf_dir, name), S).coalesce(4).persist(), 200)
+    for name in ("s1", "s2", "s3", "s4"):
+        df = W.frame(spark, sf_dir, name)
+        d = fit.data(prep.compress(df, prep.covariates(df)).coalesce(4).persist(), 200)
         star = fit.mle(d)
-        for lam in (1e-5, 1e-4, 1e-3, 1e-2, 1e-1, 1.0):
-            f = fit.ridge(d, lam, tolerance=1e-8)
+        for lam, f in zip(RIDGES, solver.newton_many([Objective(d, lam) for lam in RIDGES], tolerance=1e-8), strict=True):
             rows += [(name, lam, s, private.output_noise_fit(d, 6.4, lam, seed=f"{name}{lam}{s}", fitted=f, tolerance=1e-8).f, star.tolist()) for s in range(20)]
         d.df.unpersist()
     df = spark.createDataFrame(rows, "dataset string, lambda double, seed int, f array<double>, star array<double>")

@@ -251,8 +251,9 @@ def projected_covariates(spark, sf_dir):
 def cox_vs_discrete(spark, sf_dir):
     """Relative error of the discrete model's covariate effects against Cox, for both tie rules; no penalty, not private."""
     rows = []
-    for name in ("s2", "s4"):
-        df = prep.compress(W.frame(spark, sf_dir, name, scale="zscore_radius"), S).coalesce(8).persist()
+    for name in ("s1", "s2", "s3", "s4"):
+        df = W.frame(spark, sf_dir, name, scale="zscore_radius")
+        df = prep.compress(df, prep.covariates(df)).coalesce(8).persist()
         f = fit.mle(fit.data(df, 200))
         for ties in ("breslow", "efron"):
             rows.append((name, ties, f[3:].tolist(), cox.fit(df, ties).tolist()))

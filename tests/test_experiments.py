@@ -3,9 +3,9 @@
 import numpy as np
 
 from privsurv.functions import basis
-from privsurv.operators import private
+from privsurv.operators import prep, private
 from privsurv.operators.objective import Data
-from privsurv.plans import q_chains
+from privsurv.plans import q_chains, q_fits
 from privsurv.plans.all_queries import QUERIES
 from privsurv.sources.planted import planted
 
@@ -27,3 +27,16 @@ def test_objective_noise_together_is_as_one_by_one(spark):
     for r, (eps, seed) in zip(many, [(0.4, "a"), (6.4, "b")], strict=True):
         one = private.objective_noise_fit(d, eps, 0.1, seed=seed, tolerance=1e-8)
         assert np.allclose(r.f, one.f, atol=1e-5) and r.params == one.params
+
+
+def test_ridge_sweep_has_all_workloads(spark, sf):
+    rows = QUERIES["lambda_sweep"](spark, sf).collect()
+    assert {r["dataset"] for r in rows} == ALL and len(rows) == 24
+
+
+def test_cox_comparison_has_all_workloads_and_all_their_covariates(spark, sf, monkeypatch):
+    monkeypatch.setattr(q_fits.cox, "fit", lambda df, ties: np.ones(len(prep.covariates(df))))
+    monkeypatch.setattr(q_fits.fit, "mle", lambda d: np.ones(d.d))
+    rows = QUERIES["cox_vs_discrete"](spark, sf).collect()
+    assert {(r["dataset"], r["ties"]) for r in rows} == {(name, ties) for name in ALL for ties in ("breslow", "efron")}
+    assert all(len(r["cox"]) == len(r["discrete"]) == (8 if r["dataset"] == "s1" else 3) for r in rows)
