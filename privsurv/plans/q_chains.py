@@ -202,35 +202,51 @@ def _sampler(n: float, eps: float, steps: int, seed: int, **more) -> chain.Confi
     return chain.Config(eps, v, private.default_prior(v, eps), steps, seed=seed, step_scale=more.pop("step_scale", 0.01), **more)
 
 
-@query()
-def sampler_release(spark, sf_dir):
-    """A private release of signups by the bounded-loss sampler, with each link."""
-    df, out = W.frame(spark, sf_dir, "s4", 20), None
-    for link in ("logit", "cloglog", "probit"):
-        own = chain.bounded_sampler_fit(fit.data(df, 20, link=link), 6.4, steps=3000, step_scale=0.01).frame(spark)
+TWO = ("s2", "s4")
+
+
+def _union(frames):
+    out = None
+    for own in frames:
         out = own if out is None else out.unionByName(own)
     return out
 
 
+def _held(spark, sf_dir, name: str, link: str = "logit") -> Data:
+    """A workload at its own number of intervals."""
+    return fit.data(W.frame(spark, sf_dir, name).persist(), W.SPECS[name].q, link=link)
+
+
+@query()
+def sampler_release(spark, sf_dir):
+    """Private releases of second orders and signups by the bounded-loss sampler, with each link."""
+    def one(name, link):
+        return chain.bounded_sampler_fit(_held(spark, sf_dir, name, link), 6.4, steps=3000, step_scale=0.01).frame(spark).withColumn("dataset", F.lit(name))
+
+    return _union(one(name, link) for name in TWO for link in ("logit", "cloglog", "probit"))
+
+
 @query()
 def density_s2(spark, sf_dir):
-    """Histogram of the first two covariate effects after burn-in, epsilon 6.4."""
-    d = fit.data(W.frame(spark, sf_dir, "s2", 20), 20)
-    t = chain.sample(d, {"s2": _sampler(d.n, 6.4, 5000, 1, burn_in=2500)})
-    out = None
-    for i in (3, 4):
-        own = metrics.density(t, i, -6, 6, 24).withColumn("component", F.lit(i - 2))
-        out = own if out is None else out.unionByName(own)
-    return out
+    """Histogram of the first two covariate effects after burn-in, epsilon 6.4, of s2 and s4."""
+    def one(name):
+        d = _held(spark, sf_dir, name)
+        t = chain.sample(d, {name: _sampler(d.n, 6.4, 5000, 1, burn_in=2500)})
+        return _union(metrics.density(t, i, -6, 6, 24).withColumn("component", F.lit(i - 2)) for i in (3, 4)).withColumn("dataset", F.lit(name))
+
+    return _union(one(name) for name in TWO)
 
 
 @query()
 def mre_epochs_s4(spark, sf_dir):
-    """Running error of chains at three budgets by epoch."""
-    d = fit.data(W.frame(spark, sf_dir, "s4", 20), 20)
-    star = fit.mle(d)
-    t = chain.sample(d, {str(e): _sampler(d.n, e, 5000, 2, every=10) for e in (0.4, 1.6, 6.4)})
-    return metrics.running_mre(t, star.tolist(), 500)
+    """Running error of chains at three budgets by epoch, of s2 and s4."""
+    def one(name):
+        d = _held(spark, sf_dir, name)
+        star = fit.mle(d)
+        t = chain.sample(d, {str(e): _sampler(d.n, e, 5000, 2, every=10) for e in (0.4, 1.6, 6.4)})
+        return metrics.running_mre(t, star.tolist(), 500).withColumn("dataset", F.lit(name))
+
+    return _union(one(name) for name in TWO)
 
 
 @query("SELECT temperature, true AS as_expected FROM (VALUES ('calibrated'), ('printed')) v(temperature)")
@@ -242,13 +258,16 @@ def ablation_temperature(spark, sf_dir):
 
 @query()
 def ablation_precondition(spark, sf_dir):
-    """Error of final states with and without preconditioning, and of the other samplers, same steps."""
-    d = fit.data(W.frame(spark, sf_dir, "s2", 20), 20)
-    star = fit.mle(d)
-    base = _sampler(d.n, 6.4, 5000, 3, burn_in=2500, every=10)
-    runs = {"preconditioned": base, "plain": chain.variants(base, sampler="plain", precondition=False, step_scale=1e-3), "thermostat": chain.variants(base, sampler="thermostat", step_scale=1e-3), "drift_corrected": chain.variants(base, drift_correction=True, steps=3000),
-            "metropolis": chain.variants(base, sampler="metropolis", step_scale=0.3), "unbounded": chain.variants(base, bound="none"), "clipped": chain.variants(base, bound="clip"), "ball": chain.variants(base, radius=float(2 * np.linalg.norm(star)))}
-    return metrics.mre(chain.sample(d, runs), star.tolist(), ["chain_id"])
+    """Error of states with and without preconditioning, and of the other samplers, same steps, of s2 and s4."""
+    def one(name):
+        d = _held(spark, sf_dir, name)
+        star = fit.mle(d)
+        base = _sampler(d.n, 6.4, 5000, 3, burn_in=2500, every=10)
+        runs = {"preconditioned": base, "plain": chain.variants(base, sampler="plain", precondition=False, step_scale=1e-3), "thermostat": chain.variants(base, sampler="thermostat", step_scale=1e-3), "drift_corrected": chain.variants(base, drift_correction=True, steps=3000),
+                "metropolis": chain.variants(base, sampler="metropolis", step_scale=0.3), "unbounded": chain.variants(base, bound="none"), "clipped": chain.variants(base, bound="clip"), "ball": chain.variants(base, radius=float(2 * np.linalg.norm(star)))}
+        return metrics.mre(chain.sample(d, runs), star.tolist(), ["chain_id"]).withColumn("dataset", F.lit(name))
+
+    return _union(one(name) for name in TWO)
 
 
 @query()

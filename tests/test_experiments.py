@@ -3,7 +3,7 @@
 import numpy as np
 
 from privsurv.functions import basis
-from privsurv.operators import prep, private
+from privsurv.operators import chain, prep, private
 from privsurv.operators.objective import Data
 from privsurv.plans import q_chains, q_fits
 from privsurv.plans.all_queries import QUERIES
@@ -40,3 +40,13 @@ def test_cox_comparison_has_all_workloads_and_all_their_covariates(spark, sf, mo
     rows = QUERIES["cox_vs_discrete"](spark, sf).collect()
     assert {(r["dataset"], r["ties"]) for r in rows} == {(name, ties) for name in ALL for ties in ("breslow", "efron")}
     assert all(len(r["cox"]) == len(r["discrete"]) == (8 if r["dataset"] == "s1" else 3) for r in rows)
+
+
+def test_chain_queries_run_both_workloads_at_their_own_intervals(spark, sf, monkeypatch):
+    seen, whole = [], chain.sample
+    short = lambda c: chain.variants(c, steps=6, burn_in=2, every=1)
+    monkeypatch.setattr(chain, "sample", lambda d, runs: (seen.append(d.a.shape[0]), whole(d, {k: short(c) for k, c in runs.items()}))[1])
+    monkeypatch.setattr(q_fits.fit, "mle", lambda d: np.ones(d.d))
+    for name in ("sampler_release", "density_s2", "mre_epochs_s4", "ablation_precondition"):
+        assert {r["dataset"] for r in QUERIES[name](spark, sf).select("dataset").distinct().collect()} == {"s2", "s4"}, name
+    assert seen == [200] * 12
