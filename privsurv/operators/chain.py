@@ -3,7 +3,7 @@
 The target density is exp((epsilon / 2v) U(f)), U = minus prior minus sum of bounded losses.  One chain is one group of a
 grouped map: its state stays in one process for all its steps, and many chains (budgets, seeds, variants) run side by
 side.  Minibatch rows never depend on the state, so they can be chosen and fetched by one join for a block of steps
-(``prefetch``); small pools (whose size is checked) are broadcast instead.
+(``prefetch``); small pools (whose size is checked) are broadcast instead.  ``sample`` chooses; both ways run the same step code.
 
 ``temperature="calibrated"`` adds noise of twice the step's variance, which makes the target the stationary law;
 ``"printed"`` adds it once, which samples the squared density: such runs charge twice the budget.  Chains end
@@ -13,6 +13,7 @@ after a fixed number of steps, and only the last state is a release; traces are
 from __future__ import annotations
 
 import math
+import pickle
 from collections.abc import Callable
 from dataclasses import asdict, dataclass, replace
 
@@ -25,6 +26,7 @@ from ..functions import rng
 from ..functions.loss import SumOfLogistic
 from .ledger import Ledger
 from .objective import Data
+from .prep import row_ids
 from .private import Release, default_bound, default_prior
 
 POOL = 5_000_000  # most numbers of a pool that is broadcast
@@ -75,61 +77,131 @@ def bounded_gradient(kernel: SumOfLogistic, f: np.ndarray, x: np.ndarray, t: np.
     return grad.mean(axis=0), float(loss.sum())
 
 
-def run_chain(a: np.ndarray, link: str, x: np.ndarray, t: np.ndarray, y: np.ndarray, c: Config, batches: Callable[[int], np.ndarray] | None = None) -> tuple[np.ndarray, list[tuple[int, np.ndarray]]]:
-    """Last state and thinned trace (step, state)."""
-    kernel, n, d = SumOfLogistic(a, link), len(t), a.shape[1] + x.shape[1]
-    g = np.random.default_rng(c.seed)
-    scale = c.epsilon / (2 * c.v)
-    f, second, trace = np.zeros(d), np.zeros(d), []
-    momentum, friction = np.zeros(d), 1.0
-    here = -np.inf
+@dataclass
+class State:
+    """All that a chain carries from step to step."""
+
+    f: np.ndarray
+    second: np.ndarray
+    momentum: np.ndarray
+    g: np.random.Generator
+    friction: float = 1.0
+    here: float | None = None  # energy, of Metropolis chains
+
+
+def begin(d: int, seed: int) -> State:
+    return State(np.zeros(d), np.zeros(d), np.zeros(d), np.random.default_rng(seed))
+
+
+class Held:
+    """Records in this process: the pool of a chain, or (with ``batches``) the fetched records of each step."""
+
+    def __init__(self, a: np.ndarray, link: str, x: np.ndarray, t: np.ndarray, y: np.ndarray, c: Config, batches: Callable[[int], np.ndarray] | None = None):
+        self.kernel, self.x, self.t, self.y, self.c, self.batches = SumOfLogistic(a, link), x, t, y, c, batches
+
+    def batch(self, step: int, g: np.random.Generator):
+        n, c = len(self.t), self.c
+        if self.batches is not None:
+            return self.batches(step)
+        if c.k is None or c.k >= n:
+            return slice(None)
+        return g.integers(0, n, c.k) if c.with_replacement else g.choice(n, c.k, replace=False)
+
+    def mean(self, p: np.ndarray, own) -> np.ndarray:
+        return bounded_gradient(self.kernel, p, self.x[own], self.t[own], self.y[own], self.c.v, self.c.bound)[0]
+
+    def total(self, p: np.ndarray) -> float:
+        return bounded_gradient(self.kernel, p, self.x, self.t, self.y, self.c.v, self.c.bound)[1]
+
+
+class Spread:
+    """Records that stay distributed: steps over all of them (full batch, Metropolis) are one pass each."""
+
+    def __init__(self, d: Data, c: Config):
+        self.d, self.c = d, c
+
+    def batch(self, step: int, g: np.random.Generator) -> None:
+        return None
+
+    def _sums(self, p: np.ndarray) -> np.ndarray:
+        kernel, x, c, size = SumOfLogistic(self.d.a, self.d.link), list(self.d.x), self.c, len(p) + 1
+
+        def run(frames):
+            out = np.zeros(size)
+            for f in frames:
+                for lo in range(0, len(f), kernel.chunk):
+                    own = f.iloc[lo : lo + kernel.chunk]
+                    w = own["w"].to_numpy(float)
+                    loss, grad = kernel.gradients(p, own[x].to_numpy(float), own["t"].to_numpy(), own["y"].to_numpy())
+                    th = np.tanh(loss / c.v)
+                    value, slope = {"tanh": (c.v * th, 1 - th * th), "clip": (np.minimum(loss, c.v), (loss < c.v) * 1.0)}.get(c.bound, (loss, np.ones(len(loss))))
+                    out += np.concatenate(([w @ value], (w * slope) @ grad))
+            yield pd.DataFrame({"i": np.arange(size), "v": out})
+
+        out = np.zeros(size)
+        for i, v in self.d.df.mapInPandas(run, "i int, v double").groupBy("i").agg(F.sum("v")).collect():  # coefficients
+            out[i] = v
+        return out
+
+    def mean(self, p: np.ndarray, own: None) -> np.ndarray:
+        return self._sums(p)[1:] / self.d.n
+
+    def total(self, p: np.ndarray) -> float:
+        return float(self._sums(p)[0])
+
+
+def advance(s: State, c: Config, n: int, source: Held | Spread, first: int, last: int) -> list[tuple[int, np.ndarray]]:
+    """Steps first..last of a chain over n records; the thinned trace."""
+    d, scale, trace = len(s.f), c.epsilon / (2 * c.v), []
 
     def noise(step: int) -> np.ndarray:
-        return np.array([rng.normal_value(c.seed, step, i) for i in range(d)]) if c.replay else g.standard_normal(d)
+        return np.array([rng.normal_value(c.seed, step, i) for i in range(d)]) if c.replay else s.g.standard_normal(d)
 
     def energy(p: np.ndarray) -> float:
-        return -scale * (0.5 * c.sigma * float(p @ p) + bounded_gradient(kernel, p, x, t, y, c.v, c.bound)[1])
+        return -scale * (0.5 * c.sigma * float(p @ p) + source.total(p))
 
-    for step in range(1, c.steps + 1):
+    for step in range(first, last + 1):
         h = c.step_scale * step**-c.tau
         if c.sampler == "metropolis":
-            tried = f + h * noise(step)
+            if s.here is None:
+                s.here = energy(s.f)
+            tried = s.f + h * noise(step)
             there = energy(tried)
-            if np.log(g.random()) < there - (here if step > 1 else energy(f)):
-                f, here = tried, there
-            elif step == 1:
-                here = energy(f)
+            if np.log(s.g.random()) < there - s.here:
+                s.f, s.here = tried, there
         else:
-            if c.k is None or c.k >= n:
-                own = slice(None)
-            elif batches is not None:
-                own = batches(step)
-            else:
-                own = g.integers(0, n, c.k) if c.with_replacement else g.choice(n, c.k, replace=False)
-            grad = scale * (c.sigma * f / n + bounded_gradient(kernel, f, x[own], t[own], y[own], c.v, c.bound)[0])
+            own = source.batch(step, s.g)
+            slope_at = lambda p, own=own: scale * (c.sigma * p / n + source.mean(p, own))
+            grad = slope_at(s.f)
             if c.sampler == "thermostat":
-                momentum = momentum - h * friction * momentum - h * n * grad + np.sqrt(2 * h) * noise(step)
-                f = f + h * momentum
-                friction += h * (float(momentum @ momentum) / d - 1)
+                s.momentum = s.momentum - h * s.friction * s.momentum - h * n * grad + np.sqrt(2 * h) * noise(step)
+                s.f = s.f + h * s.momentum
+                s.friction += h * (float(s.momentum @ s.momentum) / d - 1)
             else:
-                second = c.mu * second + (1 - c.mu) * grad * grad
-                scales = 1 / (c.floor + np.sqrt(second)) if c.precondition and c.sampler != "plain" else np.ones(d)
+                s.second = c.mu * s.second + (1 - c.mu) * grad * grad
+                scales = 1 / (c.floor + np.sqrt(s.second)) if c.precondition and c.sampler != "plain" else np.ones(d)
                 move = scales * n * grad
                 if c.drift_correction and c.precondition:
                     # Divergence of the preconditioner, with the curvature taken from the ridge part and a secant of the gradient.
-                    eye = 1e-4 * np.eye(d)
-                    slope = np.array([(scale * (c.sigma * (f + z) / n + bounded_gradient(kernel, f + z, x[own], t[own], y[own], c.v, c.bound)[0]) - grad)[i] / 1e-4 for i, z in enumerate(eye)])
-                    move += (1 - c.mu) * scales**2 * grad * slope / np.maximum(np.sqrt(second), 1e-12)
-                f = f - h * move + np.sqrt(h * scales * (2 if c.temperature == "calibrated" else 1)) * noise(step)
-            if c.radius is not None and np.linalg.norm(f) > c.radius:
-                f = f * c.radius / np.linalg.norm(f)
+                    slope = np.array([(slope_at(s.f + z) - grad)[i] / 1e-4 for i, z in enumerate(1e-4 * np.eye(d))])
+                    move += (1 - c.mu) * scales**2 * grad * slope / np.maximum(np.sqrt(s.second), 1e-12)
+                s.f = s.f - h * move + np.sqrt(h * scales * (2 if c.temperature == "calibrated" else 1)) * noise(step)
+        if c.radius is not None and np.linalg.norm(s.f) > c.radius:
+            s.f = s.f * c.radius / np.linalg.norm(s.f)
         if step > c.burn_in and (step - c.burn_in) % c.every == 0:
-            trace.append((step, f.copy()))
-    return f, trace
+            trace.append((step, s.f.copy()))
+    return trace
+
+
+def run_chain(a: np.ndarray, link: str, x: np.ndarray, t: np.ndarray, y: np.ndarray, c: Config, batches: Callable[[int], np.ndarray] | None = None) -> tuple[np.ndarray, list[tuple[int, np.ndarray]]]:
+    """Last state and thinned trace (step, state)."""
+    s = begin(a.shape[1] + x.shape[1], c.seed)
+    trace = advance(s, c, len(t), Held(a, link, x, t, y, c, batches), 1, c.steps)
+    return s.f, trace
 
 
 def pool(d: Data, most: int = POOL) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """All records on the driver, behind a check of their size; beyond it use ``prefetch``."""
+    """All records on the driver, behind a check of their size; beyond it ``sample`` feeds chains by joins."""
     if d.n * (2 + len(d.x)) > most:
         raise ValueError(f"{d.n:.0f} records are too many to broadcast; prefetch minibatches instead")
     rows = d.df.orderBy("t", "y", *d.x).toPandas()
@@ -139,8 +211,10 @@ def pool(d: Data, most: int = POOL) -> tuple[np.ndarray, np.ndarray, np.ndarray]
 
 
 def sample(d: Data, configs: dict[str, Config]) -> DataFrame:
-    """chain_id, step, last, f: traces of several chains, each in one task."""
+    """chain_id, step, last, f: traces of several chains, each in one task; of pools too large to broadcast, from prefetched blocks."""
     spark = d.df.sparkSession
+    if d.n * (2 + len(d.x)) > POOL:
+        return _sample_large(d, configs)
     held = spark.sparkContext.broadcast((pool(d), d.a, d.link, {k: asdict(c) for k, c in configs.items()}))
 
     def run(frame: pd.DataFrame) -> pd.DataFrame:
@@ -170,11 +244,14 @@ def bounded_sampler_fit(d: Data, epsilon: float, v: float | None = None, sigma:
     return Release("bounded_sampler", c.charged, list(f), *d.a.shape, link=d.link, params={"v": v, "sigma": c.sigma, "steps": float(steps)}, exact=False, run_id=run)
 
 
-def minibatch_ids(spark, chain_id: str, seed: int, first: int, steps: int, k: int, n: int) -> DataFrame:
+def minibatch_ids(spark, chain_id: str, seed: int, first: int, steps: int, k: int, n: int, replacement: bool = False) -> DataFrame:
     """chain_id, step, slot, row_id of a block of steps: k distinct rows of n per step, by digests.
 
     Slots draw by counter and keep the first k distinct values, which is uniform without replacement; work is k per step, not n.
     """
+    if replacement:
+        draws = spark.range(first, first + steps).select(F.col("id").alias("step"), F.explode(F.sequence(F.lit(0), F.lit(k - 1))).alias("slot"))
+        return draws.select(F.lit(chain_id).alias("chain_id"), "step", "slot", F.floor(rng.uniform(chain_id, str(seed), F.col("step"), F.col("slot")) * n).cast("long").alias("row_id"))
     spare = k + 8 + int(k * k / max(n - k, 1)) + (4 * k if 2 * k > n else 0)
     if 4 * k > n:  # a large part of the pool: order all rows by digest
         rows = spark.range(first, first + steps).select(F.col("id").alias("step")).crossJoin(spark.range(n).select(F.col("id").alias("row_id")))
@@ -193,37 +270,59 @@ def prefetch(ids: DataFrame, rows: DataFrame) -> DataFrame:
     return ids.join(rows, "row_id").repartition("chain_id").sortWithinPartitions("chain_id", "step", "slot")
 
 
-def _block(c: Config, a: np.ndarray, link: str, x: list[str], n: int, f0: np.ndarray, second0: np.ndarray) -> Callable[[pd.DataFrame], pd.DataFrame]:
-    """Runs the steps whose records are in a frame, from a given state."""
+def _advanced(fetched: DataFrame, d: Data, active: dict[str, tuple[Config, State, int, int]]) -> dict[str, tuple[State, list]]:
+    """Runs the fetched steps (first..last) of each chain from its state, a chain a task; the new states and their traces."""
+    x, a, link, n = list(d.x), d.a, d.link, int(d.n)
 
     def run(frame: pd.DataFrame) -> pd.DataFrame:
-        kernel, scale = SumOfLogistic(a, link), c.epsilon / (2 * c.v)
-        f, second = f0.copy(), second0.copy()
-        for step, own in frame.sort_values(["step", "slot"]).groupby("step"):
-            grad = scale * (c.sigma * f / n + bounded_gradient(kernel, f, own[x].to_numpy(float), own["t"].to_numpy(), own["y"].to_numpy(), c.v, c.bound)[0])
-            second = c.mu * second + (1 - c.mu) * grad * grad
-            scales = 1 / (c.floor + np.sqrt(second)) if c.precondition else np.ones(len(f))
-            h = c.step_scale * step**-c.tau
-            z = np.array([rng.normal_value(c.seed, step, i) for i in range(len(f))])
-            f = f - h * scales * n * grad + np.sqrt(h * scales * (2 if c.temperature == "calibrated" else 1)) * z
-        return pd.DataFrame({"f": [f.tolist()], "second": [second.tolist()]})
-
-    return run
+        name = frame["chain_id"].iloc[0]
+        c, s, first, last = active[name]
+        frame = frame.sort_values(["step", "slot"])
+        at = np.searchsorted(frame["step"].to_numpy(), np.arange(first, last + 2))
+        held = Held(a, link, frame[x].to_numpy(float), frame["t"].to_numpy(), frame["y"].to_numpy(), c, lambda step: slice(at[step - first], at[step - first + 1]))
+        trace = advance(s, c, n, held, first, last)
+        return pd.DataFrame({"chain_id": [name], "state": [pickle.dumps((s, trace))]})
+
+    rows = fetched.groupBy("chain_id").applyInPandas(run, "chain_id string, state binary").collect()  # one row a chain
+    return {r["chain_id"]: pickle.loads(bytes(r["state"])) for r in rows}
+
+
+def _run_large(d: Data, rows: DataFrame, configs: dict[str, Config], block: int = 500) -> dict[str, tuple[State, list]]:
+    """Chains over records of any number: minibatches of a block of steps of all chains by one join; steps over all records as passes."""
+    n, out = int(d.n), {k: (begin(d.d, c.seed), []) for k, c in configs.items()}
+    joined = {k: c for k, c in configs.items() if c.sampler != "metropolis" and c.k is not None and c.k < n}
+    for name in configs.keys() - joined.keys():
+        s, trace = out[name]
+        trace += advance(s, configs[name], n, Spread(d, configs[name]), 1, configs[name].steps)
+    block = max(1, min([block, *[1_000_000 // c.k for c in joined.values()]]))
+    for first in range(1, max([c.steps for c in joined.values()], default=0) + 1, block):
+        active = {k: (c, out[k][0], first, min(first + block - 1, c.steps)) for k, c in joined.items() if c.steps >= first}
+        ids = None
+        for k, (c, _, _, last) in active.items():
+            own = minibatch_ids(d.df.sparkSession, k, c.seed, first, last - first + 1, c.k, n, c.with_replacement)
+            ids = own if ids is None else ids.unionByName(own)
+        for k, (s, trace) in _advanced(prefetch(ids, rows.select("row_id", "t", "y", *d.x)), d, active).items():
+            out[k] = (s, out[k][1] + trace)
+    return out
+
+
+def _sample_large(d: Data, configs: dict[str, Config]) -> DataFrame:
+    """What ``sample`` gives, for pools that are not broadcast."""
+    flat = d.df.groupBy("t", "y", *d.x).agg(F.sum("w").cast("long").alias("w")).where("w > 0").withColumn("copy", F.explode(F.sequence(F.lit(1), F.col("w"))))
+    rows = row_ids(flat.withColumn("key", F.struct("t", "y", *d.x, "copy")), "key").select("row_id", "t", "y", *d.x).persist()
+    done, out = _run_large(d, rows, configs), []
+    rows.unpersist()
+    for name, (s, trace) in done.items():
+        last = configs[name].steps
+        if not trace or trace[-1][0] != last:
+            trace = [*trace, (last, s.f)]
+        out += [(name, step, step == last, f.tolist()) for step, f in trace]
+    return d.df.sparkSession.createDataFrame(out, "chain_id string, step long, last boolean, f array<double>")
 
 
 def sample_prefetched(d: Data, rows: DataFrame, name: str, c: Config, block: int = 500) -> np.ndarray:
-    """A chain over records of any number (``rows`` has row_id): blocks of steps, each fetched by one join; the state between blocks is d numbers."""
-    spark = d.df.sparkSession
-    n, state = int(d.n), None
-    x, a, link = list(d.x), d.a, d.link
-    f = np.zeros(d.d)
-    second = np.zeros(d.d)
-    for first in range(1, c.steps + 1, block):
-        steps = min(block, c.steps - first + 1)
-        fetched = prefetch(minibatch_ids(spark, name, c.seed, first, steps, min(c.k or n, n), n), rows.select("row_id", "t", "y", *x))
-        state = fetched.groupBy("chain_id").applyInPandas(_block(c, a, link, x, n, f, second), "f array<double>, second array<double>").first()
-        f, second = np.array(state[0]), np.array(state[1])
-    return f
+    """Last state of a chain over records of any number (``rows`` has row_id)."""
+    return _run_large(d, rows, {name: c}, block)[name][0].f
 
 
 def grid_posterior(df: DataFrame, grid: DataFrame, score, epsilon: float, v: float, sigma: float) -> DataFrame:

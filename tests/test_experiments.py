@@ -50,3 +50,18 @@ def test_chain_queries_run_both_workloads_at_their_own_intervals(spark, sf, monk
     for name in ("sampler_release", "density_s2", "mre_epochs_s4", "ablation_precondition"):
         assert {r["dataset"] for r in QUERIES[name](spark, sf).select("dataset").distinct().collect()} == {"s2", "s4"}, name
     assert seen == [200] * 12
+
+
+def test_large_pools_run_by_joins_with_all_options(spark, monkeypatch):
+    d = Data(planted(spark, 300, [-4.0, 1.0, -1.0], [0.8, -0.5, 0.3], 20).persist(), basis.matrix(20, 3))
+    base = chain.Config(2.0, 4.0, 0.05, 6, k=20, seed=3, step_scale=0.01, burn_in=1, every=2)
+    full = chain.variants(base, k=None, replay=True, steps=3, burn_in=0, every=1)
+    whole = {"full": full, "metropolis": chain.variants(base, sampler="metropolis", steps=3, burn_in=0, every=1)}
+    state = lambda df: {(r["chain_id"], r["step"]): r["f"] for r in df.collect()}
+    want = state(chain.sample(d, whole))
+    monkeypatch.setattr(chain, "POOL", 100)
+    runs = {"base": base, "thermostat": chain.variants(base, sampler="thermostat"), "drift": chain.variants(base, drift_correction=True), "ball": chain.variants(base, radius=0.01), "again": chain.variants(base, with_replacement=True)}
+    got = state(chain.sample(d, runs | whole))
+    assert {k for k in got if k[0] not in whole} == {(name, s) for name in runs for s in (3, 5, 6)}
+    assert all(np.allclose(got[k], v) for k, v in want.items()) and np.linalg.norm(got["ball", 6]) <= 0.01 + 1e-12
+    assert len(chain.bounded_sampler_fit(d, 2.0, steps=3).f) == 6
