@@ -263,6 +263,11 @@ class _Ranks:
 
 
 def plan(counts: dict[int, int], limit: int = LIMIT, groups: int = GROUPS, long: int = LONG) -> tuple[list[Interval], int]:
+    """The better of two plans: with configurations (priced on a grid, so that some exact fits are missed), and by best fit alone."""
+    return min(_plan(counts, limit, groups, long), _plan(counts, limit, groups, limit), key=lambda x: x[1])
+
+
+def _plan(counts: dict[int, int], limit: int, groups: int, long: int) -> tuple[list[Interval], int]:
     """Intervals that place every piece, and the number of sequences.
 
     A bundle is a run of sequences with the same fill; an interval puts one piece of its length into each of them.
