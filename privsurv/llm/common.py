@@ -3,10 +3,13 @@
 from __future__ import annotations
 
 import atexit
+import ctypes
 import math
 import shutil
 import tempfile
 import uuid
+from collections.abc import Callable, Iterator
+from functools import cache
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -14,6 +17,7 @@ from pyspark.sql import functions as F
 from .. import ship
 
 BATCH = "spark.sql.execution.arrow.maxRecordsPerBatch"
+BATCH_BYTES = "spark.sql.execution.arrow.maxBytesPerBatch"
 _own: list[str] = []  # the folder of a local session that names none
 _made: list[tuple[SparkSession, str]] = []
 
@@ -57,9 +61,35 @@ def ready(spark: SparkSession) -> SparkSession:
     value stays)."""
     if spark.conf.get(BATCH, "10000") == "10000":
         spark.conf.set(BATCH, "1000")
+    if spark.conf.get(BATCH_BYTES, "64m") in ("67108864b", "64m"):
+        spark.conf.set(BATCH_BYTES, "8m")
     return ship(spark)
 
 
+@cache
+def _libc():
+    """The C library, told to hand arrays above a megabyte back to the system when they are freed; None where it isn't glibc."""
+    try:
+        libc = ctypes.CDLL("libc.so.6")
+        libc.mallopt(-3, 1 << 20)  # M_MMAP_THRESHOLD, which would grow otherwise
+        libc.mallopt(-1, 1 << 24)  # M_TRIM_THRESHOLD
+        return libc
+    except (OSError, AttributeError):
+        return None
+
+
+def lean(run: Callable[[Iterator], Iterator]) -> Callable[[Iterator], Iterator]:
+    """``run`` for a Python worker that gives freed memory back, since workers live on between tasks and stages."""
+
+    def wrapped(frames: Iterator) -> Iterator:
+        libc = _libc()
+        yield from run(frames)
+        if libc is not None:
+            libc.malloc_trim(0)
+
+    return wrapped
+
+
 def read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
     ready(spark)
     return spark.read.parquet(f"{sf_dir}/{table}.parquet")

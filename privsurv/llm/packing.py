@@ -58,39 +58,47 @@ def _plain(char: str) -> bool:
     return char < "\x80" or unicodedata.category(char)[0] == "L" and not unicodedata.combining(char) and unicodedata.normalize("NFC", char) == char
 
 
+LANES = 3  # of eight bytes: words up to 24 bytes are compared as numbers
+
+
 class Encoder:
-    """Ids of texts, each distinct word encoded once by the tokenizer and then found by its hash.
+    """Ids of texts, each distinct word encoded once by the tokenizer and then found by its bytes.
 
     Words are the pre-tokenizer's: runs of letters, single digits, runs of other signs.  Chunks with an apostrophe or a bar
     (contractions, special tokens) stay whole, and texts with characters that aren't plain go to the tokenizer as they are.
-    Forgets everything when it holds more than ``most`` words.
+    Words of up to eight bytes per lane are looked up by a hash and then compared byte by byte (as numbers); longer ones, and
+    those whose hash a different word has, are looked up in a dictionary.  Forgets everything when it holds more than ``most`` words.
     """
 
-    def __init__(self, path: str, most: int = 1_500_000):
+    def __init__(self, path: str, most: int = 750_000):
         self.path, self.most = path, most
         self.forget()
 
     def forget(self) -> None:
-        self.runs: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []  # sorted keys, places in the pool, numbers of ids; sizes halve
+        self.runs: list[tuple[np.ndarray, ...]] = []  # sorted hashes, bytes in lanes, places in the pool, numbers of ids; sizes halve
+        self.long: dict[bytes, tuple[int, int]] = {}
         self.pool = np.zeros(1 << 16, dtype=np.uint32)
         self.used = 0
 
-    def find(self, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Places and numbers of ids; -1 where a key is new."""
+    def find(self, keys: np.ndarray, lanes: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Places and numbers of ids (-1: new), and which words have the hash of another one."""
         at, many = np.full(len(keys), -1, dtype=np.int64), np.zeros(len(keys), dtype=np.int64)
+        clash = np.zeros(len(keys), dtype=bool)
         left = np.arange(len(keys))
-        for own, places, numbers in self.runs:
+        for own, bytes_, places, numbers in self.runs:
             spot = np.minimum(np.searchsorted(own, keys[left]), len(own) - 1)
             hit = own[spot] == keys[left]
-            at[left[hit]], many[left[hit]] = places[spot[hit]], numbers[spot[hit]]
+            same = hit & (bytes_[spot] == lanes[left]).all(axis=1)
+            clash[left[hit & ~same]] = True
+            at[left[same]], many[left[same]] = places[spot[same]], numbers[spot[same]]
             left = left[~hit]
             if not len(left):
                 break
-        return at, many
+        return at, many, clash
 
-    def learn(self, keys: np.ndarray, names: list[str]) -> None:
-        """Encodes words (``keys`` ascend), joined by blanks, in a few calls; tokens are told apart by their places."""
-        numbers = []
+    def put(self, names: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """Encodes words, joined by blanks, in a few calls; tokens are told apart by their places.  Places and numbers of ids."""
+        numbers, begin = [np.zeros(0, dtype=np.int64)], self.used
         for a in range(0, len(names), 20_000):
             some = names[a : a + 20_000]
             e = _tokenizer(self.path).encode(" ".join(some), add_special_tokens=False)
@@ -102,8 +110,11 @@ class Encoder:
             numbers.append(np.bincount(owner, minlength=len(some)))
             self.used += len(e)
         many = np.concatenate(numbers).astype(np.int32)
-        at = (self.used - int(many.sum()) + np.cumsum(many) - many).astype(np.int32)
-        self.runs.append((keys, at, many))
+        return (begin + np.cumsum(many) - many).astype(np.int32), many
+
+    def learn(self, keys: np.ndarray, lanes: np.ndarray, names: list[str]) -> None:
+        """Adds words to the table; ``keys`` ascend."""
+        self.runs.append((keys, lanes, *self.put(names)))
         while len(self.runs) > 1 and len(self.runs[-2][0]) < 2 * len(self.runs[-1][0]):
             both = [np.concatenate(v) for v in zip(self.runs[-2], self.runs[-1], strict=True)]
             order = np.argsort(both[0], kind="stable")  # two sorted runs: a merge
@@ -111,24 +122,46 @@ class Encoder:
 
     def block(self, raws: list[bytes]) -> list[np.ndarray]:
         """Ids of each of some short texts."""
-        w = split(raws)
-        if not len(w.starts):
+        raw, starts, ends, bounds = split(raws)
+        if not len(starts):
             return [np.zeros(0, dtype=np.uint32) for _ in raws]
-        keys, first, back = np.unique(w.hashes, return_index=True, return_inverse=True)
-        at, many = self.find(keys)
-        new = at < 0
+        lanes, fits = lanes_of(raw, starts, ends)
+        short, other = np.flatnonzero(fits), [np.flatnonzero(~fits)]
+        lanes = lanes[short]
+        keys = np.zeros(len(short), dtype=S.U)
+        for k in range(LANES):
+            keys = S.mix(keys * S.U(0x9E3779B97F4A7C15) + lanes[:, k] + S.U(k + 1))
+        order = np.argsort(keys)
+        fresh = np.ones(len(order), dtype=bool)
+        fresh[1:] = (lanes[order[1:]] != lanes[order[:-1]]).any(axis=1)
+        back = np.empty(len(order), dtype=np.int64)
+        back[order] = np.cumsum(fresh) - 1
+        first = order[fresh]
+        keys, lanes = keys[first], lanes[first]
+        if len(self.long) + sum(len(r[0]) for r in self.runs) + len(keys) > self.most:
+            self.forget()
+        text = raw.tobytes()
+        word = lambda i: text[starts[i] : ends[i]]
+        at, many, clash = self.find(keys, lanes)
+        clash[1:] |= (keys[1:] == keys[:-1]) & (at[1:] < 0)
+        new = (at < 0) & ~clash
         if new.any():
-            if sum(len(r[0]) for r in self.runs) + int(new.sum()) > self.most:
-                self.forget()
-                new[:] = True
-            raw = w.raw.tobytes()
-            self.learn(keys[new], [raw[w.starts[i] : w.ends[i]].decode("utf-8") for i in first[new].tolist()])
-            at[new], many[new] = self.find(keys[new])
-        many, begin = many[back], at[back]
-        ends = np.cumsum(many)
-        out = self.pool[np.repeat(begin - (ends - many), many) + np.arange(int(ends[-1]))]
-        bounds = np.concatenate(([0], ends))[w.first]
-        return [out[a:b] for a, b in zip(bounds[:-1].tolist(), bounds[1:].tolist(), strict=True)]
+            self.learn(keys[new], lanes[new], [word(i).decode("utf-8") for i in short[first[new]].tolist()])
+            at[new], many[new], _ = self.find(keys[new], lanes[new])
+        begin, count = np.zeros(len(starts), dtype=np.int64), np.zeros(len(starts), dtype=np.int64)
+        begin[short], count[short] = at[back], many[back]
+        if clash.any():
+            other.append(short[clash[back]])
+        for i in np.concatenate(other).tolist():
+            name = word(i)
+            if name not in self.long:
+                (own,), (n,) = self.put([name.decode("utf-8")])
+                self.long[name] = (int(own), int(n))
+            begin[i], count[i] = self.long[name]
+        upto = np.cumsum(count)
+        out = self.pool[np.repeat(begin - (upto - count), count) + np.arange(int(upto[-1]))]
+        cuts = np.concatenate(([0], upto))[bounds]
+        return [out[a:b] for a, b in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True)]
 
     def encode(self, texts: list[str]) -> list[bytes]:
         """Packed unsigned 32-bit ids with the end token."""
@@ -164,7 +197,8 @@ def at_blanks(raw: bytes) -> Iterator[bytes]:
     yield raw[at:]
 
 
-def split(raws: list[bytes]) -> S.Words:
+def split(raws: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """All bytes, starts and ends of words, and where each text's words begin."""
     joined = np.frombuffer(b"\n".join(raws) + b"\n", dtype=np.uint8)
     kind = KINDS[joined]
     whole = np.flatnonzero((joined == 39) | (joined == 124))
@@ -176,10 +210,21 @@ def split(raws: list[bytes]) -> S.Words:
     at = np.flatnonzero(edge)
     keep = kind[at[:-1]] != 0
     starts, ends = at[:-1][keep], at[1:][keep]
-    up, _ = S.powers(len(joined) + 1)
-    prefix = np.zeros(len(joined) + 1, dtype=S.U)
-    np.cumsum(S._value[joined] * up[: len(joined)], out=prefix[1:])
-    return S.Words(joined, starts, ends, np.searchsorted(starts, np.cumsum([0, *[len(r) + 1 for r in raws]])), prefix)
+    return joined, starts, ends, np.searchsorted(starts, np.cumsum([0, *[len(r) + 1 for r in raws]]))
+
+
+def lanes_of(raw: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Words as rows of numbers, eight bytes each and zeros after the end, and which words fit them.  No word has a zero
+    byte at its end but runs of other signs; those that have one don't fit."""
+    eight = np.lib.stride_tricks.sliding_window_view(np.concatenate((raw, np.zeros(8 * LANES, dtype=np.uint8))), 8)
+    size = ends - starts
+    out = np.zeros((len(starts), LANES), dtype=S.U)
+    for k in range(LANES):
+        live = np.flatnonzero(size > 8 * k)
+        number = np.ascontiguousarray(eight[starts[live] + 8 * k]).view("<u8").ravel()
+        spare = 8 * np.maximum(0, 8 * (k + 1) - size[live])
+        out[live, k] = (number << spare.astype(S.U)) >> spare.astype(S.U)
+    return out, (size <= 8 * LANES) & (raw[ends - 1] != 0)
 
 
 @cache

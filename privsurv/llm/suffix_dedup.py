@@ -5,7 +5,8 @@ matter: each window of WIDTH bytes has an anchor, the place in it whose ``GRAM``
 first of equals).  Equal windows have equal anchors at equal places, so windows need comparing only among windows whose
 anchors' strings are equal.  Consecutive windows with one anchor make a segment.
 
-* Segments that are equal as a whole are counted; all windows of those that occur twice or more are repeats.
+* Segments that are equal as a whole, which their SHA-256 tells, are counted; all windows of those that occur twice or more are
+  repeats.
 * Of anchor strings with several different segments, one copy of each segment is fetched.  Suffixes that start at the anchors are
   merge-sorted; two suffixes are compared by finding their common extension with a binary search over prefix polynomial
   hashes.  Neighbours' common extensions are verified byte by byte.  For each distance from the anchor, runs of neighbours that
@@ -14,6 +15,9 @@ anchors' strings are equal.  Consecutive windows with one anchor make a segment.
   all windows of half of the distances share, again and again, until groups are small or windows equal: no task
   gets an unbounded group, and nothing is left out.
 
+Anchors and groups are found by plain 64-bit hashes, which only decide what meets; what is removed rests on SHA-256 of
+whole segments or on bytes that were compared.
+
 Defined results: null texts are empty; texts shorter than WIDTH have no windows; rows that repeat an id are texts of their own (and
 repeats of each other); a text made of one repeated period is removed as far as its windows recur; an empty table gives
 no rows; other columns are ignored.
@@ -22,6 +26,7 @@ no rows; other columns are ignored.
 from __future__ import annotations
 
 import hashlib
+import os
 from collections.abc import Iterator
 
 import numpy as np
@@ -31,28 +36,17 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import shingles as S
-from .common import cut, parts, whole
+from .common import cut, lean, parts, whole
 from .links import _groups
 
 WIDTH = 400
 GRAM = 64
-MOST = 20_000
-STEP = 1 << 19  # windows handled at a time; a place in a step fits 20 bits
-BATCH = 4_000  # segments sorted together
-ROW = "gram long, doc_id long, dh long, pos long, n_win int, delta int, weight long, single boolean, seg long, bytes binary"
-
-
-class Bytes:
-    """Prefix polynomial hashes of a byte string."""
-
-    def __init__(self, raw: np.ndarray):
-        self.raw = raw
-        up, self._down = S.powers(len(raw) + 1)
-        self._sum = np.zeros(len(raw) + 1, dtype=S.U)
-        np.cumsum(S._value[raw] * up[: len(raw)], out=self._sum[1:])
-
-    def span(self, a: np.ndarray, b: np.ndarray) -> np.ndarray:
-        return S.mix((self._sum[b] - self._sum[a]) * self._down[a] + (b - a).astype(S.U) * S._mul[63])
+MOST = 4_000  # different segments of one anchor string that are sorted together
+STEP = 1 << 18  # windows handled at a time; a place in a step fits 20 bits
+BATCH = 1 << 21  # bytes of segments sorted together
+FETCH = 1 << 22  # bytes of segments handed on together
+PAIRS = 1 << 17  # pairs of suffixes held for verification
+ROW = "gram long, doc_id long, dh long, pos long, n_win int, delta int, weight long, single boolean, seg binary, bytes binary"
 
 
 def _least(x: np.ndarray, width: int) -> np.ndarray:
@@ -66,16 +60,17 @@ def _least(x: np.ndarray, width: int) -> np.ndarray:
 
 
 def segments(raws: list[bytes], width: int = WIDTH, gram: int = GRAM) -> tuple[np.ndarray, ...]:
-    """Owners, anchors' hashes, segments' hashes, first windows, numbers of windows, distances of the anchors from them.
+    """Owners, anchors' hashes, segments' SHA-256 (four numbers each), first windows, numbers of windows, distances of the anchors from them.
 
     ``raws``: some texts, in all within a step; longer ones are given in overlapping steps.
     """
+    none = (*(np.zeros(n, dtype=k) for n, k in ((0, np.int64), (0, S.U), ((0, 4), S.U), (0, np.int64), (0, np.int64), (0, np.int64))),)
     x = np.frombuffer(b"".join(raws), dtype=np.uint8)
     sizes = np.array([len(r) for r in raws], dtype=np.int64)
     if len(x) < width:
-        return tuple(np.zeros(0, dtype=k) for k in (np.int64, S.U, S.U, np.int64, np.int64, np.int64))
+        return none
     first = np.cumsum(sizes) - sizes
-    b = Bytes(x)
+    b = S.Prefixes(x)
     place = np.arange(len(x) - gram + 1)
     # Equal in the upper bits: the first place wins, and that is so in every copy.
     key = (b.span(place, place + gram) & S.U(2**64 - 2**20)) | place.astype(S.U)
@@ -84,25 +79,29 @@ def segments(raws: list[bytes], width: int = WIDTH, gram: int = GRAM) -> tuple[n
     owner = np.repeat(np.arange(len(raws)), many)
     window = np.repeat(first, many) + np.arange(len(owner)) - np.repeat(np.cumsum(many) - many, many)
     if not len(window):
-        return tuple(np.zeros(0, dtype=k) for k in (np.int64, S.U, S.U, np.int64, np.int64, np.int64))
+        return none
     a = anchor[window]
     edge = np.flatnonzero(np.concatenate(([True], (a[1:] != a[:-1]) | (owner[1:] != owner[:-1]))))
     n = np.diff(np.append(edge, len(a)))
     a, begin, owner = a[edge], window[edge], owner[edge]
-    return owner, b.span(a, a + gram), b.span(begin, begin + n + width - 1), begin - first[owner], n, a - begin
+    view = memoryview(x)
+    names = [hashlib.sha256(view[i:j]).digest() for i, j in zip(begin.tolist(), (begin + n + width - 1).tolist(), strict=True)]
+    return owner, b.span(a, a + gram), np.frombuffer(b"".join(names), dtype=S.U).reshape(-1, 4), begin - first[owner], n, a - begin
 
 
 def anchors(docs: DataFrame, width: int, gram: int) -> DataFrame:
     """gram, seg, doc_id, dh, n_win, delta, at (first windows of equal segments): one row per document and distinct segment."""
-    kind = pa.schema([("gram", pa.int64()), ("seg", pa.int64()), ("doc_id", pa.int64()), ("dh", pa.int64()), ("n_win", pa.int32()), ("delta", pa.int32()), ("at", pa.list_(pa.int64()))])
+    kind = pa.schema([("gram", pa.int64()), ("seg", pa.binary()), ("doc_id", pa.int64()), ("dh", pa.int64()), ("n_win", pa.int32()), ("delta", pa.int32()), ("at", pa.list_(pa.int64()))])
 
     def rows(batch: pa.RecordBatch, owner, g, s, at, n, d) -> pa.RecordBatch:
-        order = np.lexsort((at, s, owner))
+        order = np.lexsort((at, s[:, 0], owner))
         owner, g, s, at, n, d = (v[order] for v in (owner, g, s, at, n, d))
-        new = np.flatnonzero(np.concatenate(([True], (owner[1:] != owner[:-1]) | (s[1:] != s[:-1]))))
+        new = np.flatnonzero(np.concatenate(([True], (owner[1:] != owner[:-1]) | (s[1:] != s[:-1]).any(axis=1))))
         lists = pa.ListArray.from_arrays(pa.array(np.append(new, len(at)).astype(np.int32)), pa.array(at))
         ids = batch.column(0).take(pa.array(owner[new])), batch.column(1).take(pa.array(owner[new]))
-        return pa.RecordBatch.from_arrays([pa.array(g[new].view(np.int64)), pa.array(s[new].view(np.int64)), *ids, pa.array(n[new].astype(np.int32)), pa.array(d[new].astype(np.int32)), lists], schema=kind)
+        names = pa.FixedSizeBinaryArray.from_buffers(pa.binary(32), len(new), [None, pa.py_buffer(s[new].tobytes())]).cast(pa.binary())
+        columns = [pa.array(g[new].view(np.int64)), names, *ids, pa.array(n[new].astype(np.int32)), pa.array(d[new].astype(np.int32)), lists]
+        return pa.RecordBatch.from_arrays(columns, schema=kind)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -121,7 +120,7 @@ def anchors(docs: DataFrame, width: int, gram: int) -> DataFrame:
                 if len(found[0]):
                     yield rows(batch, *found)
 
-    return docs.select("doc_id", "dh", "text").mapInArrow(run, "gram long, seg long, doc_id long, dh long, n_win int, delta int, at array<long>")
+    return docs.select("doc_id", "dh", "text").mapInArrow(lean(run), "gram long, seg binary, doc_id long, dh long, n_win int, delta int, at array<long>")
 
 
 def _fetched(docs: DataFrame, wanted: DataFrame, width: int) -> DataFrame:
@@ -129,27 +128,45 @@ def _fetched(docs: DataFrame, wanted: DataFrame, width: int) -> DataFrame:
     lists = wanted.groupBy("doc_id", "dh").agg(F.collect_list(F.struct("gram", "pos", "n_win", "delta", "weight", "single", "seg")).alias("want"))
     same = docs["doc_id"].eqNullSafe(lists["doc_id"]) & (docs["dh"] == lists["dh"])
 
+    names = [c.split()[0] for c in ROW.split(", ")]
+    frame = lambda rows: pd.DataFrame(rows, columns=names).astype({"doc_id": "Int64"})
+
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        rows, held = [], 0
         for x in frames:
-            rows = []
             for doc_id, dh, text, want in zip(x["doc_id"], x["dh"], x["text"], x["want"], strict=True):
                 raw, own = text.encode("utf-8", "surrogatepass"), None if pd.isna(doc_id) else int(doc_id)
-                rows += [(w["gram"], own, dh, w["pos"], w["n_win"], w["delta"], w["weight"], w["single"], w["seg"], raw[w["pos"] : w["pos"] + w["n_win"] + width - 1]) for w in want]
-            yield pd.DataFrame(rows, columns=[c.split()[0] for c in ROW.split(", ")]).astype({"doc_id": "Int64"})
+                for w in want:
+                    part = raw[w["pos"] : w["pos"] + w["n_win"] + width - 1]
+                    rows.append((w["gram"], own, dh, w["pos"], w["n_win"], w["delta"], w["weight"], w["single"], w["seg"], part))
+                    held += len(part)
+                    if held > FETCH:
+                        yield frame(rows)
+                        rows, held = [], 0
+        if rows:
+            yield frame(rows)
 
-    return docs.join(lists, same).select(docs["doc_id"], docs["dh"], "text", "want").mapInPandas(run, ROW)
+    return docs.join(lists, same).select(docs["doc_id"], docs["dh"], "text", "want").mapInPandas(lean(run), ROW)
 
 
 class Suffixes:
-    """Suffixes of some segments that start at their anchors."""
+    """Suffixes of some segments that start at their anchors, and prefix polynomial hashes of each segment at a random point."""
 
     def __init__(self, rows: list[bytes], delta: np.ndarray, group: np.ndarray):
-        self.b = Bytes(np.frombuffer(b"".join(rows), dtype=np.uint8))
         sizes = np.array([len(r) for r in rows])
-        self.first = np.cumsum(sizes) - sizes
-        self.at = self.first + delta
-        self.room = self.first + sizes - self.at
-        self.group = group
+        self.wide = int(sizes.max()) + 1
+        self.raw = np.zeros((len(rows), self.wide), dtype=np.uint8)
+        self.raw[np.arange(self.wide) < sizes[:, None]] = np.frombuffer(b"".join(rows), dtype=np.uint8)
+        point = int.from_bytes(os.urandom(8), "little") % (S.PRIME - 1024) + 512
+        self.power, base = S.power_table(point, self.wide + 1), np.full(len(rows), point, dtype=S.U)
+        self.prefix = np.zeros((self.wide + 1, len(rows)), dtype=S.U)  # one row per length
+        for k in range(self.wide):
+            self.prefix[k + 1] = S._reduced(S.times(self.prefix[k], base) + self.raw[:, k] + S.U(1))
+        self.at, self.room, self.group = delta, sizes - delta, group
+
+    def span(self, i: np.ndarray, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+        """Hashes of the bytes a..b of segments i."""
+        return S.less(self.prefix[b, i], S.times(self.prefix[a, i], self.power[b - a]))
 
     def common(self, i: np.ndarray, j: np.ndarray) -> np.ndarray:
         """Length of the common extension to the right: binary search over prefix hashes."""
@@ -157,15 +174,14 @@ class Suffixes:
         a, b = self.at[i], self.at[j]
         while (low < high).any():
             mid = (low + high + 1) // 2
-            same = self.b.span(a, a + mid) == self.b.span(b, b + mid)
+            same = self.span(i, a, a + mid) == self.span(j, b, b + mid)
             low, high = np.where(same, mid, low), np.where(same, high, mid - 1)
         return low
 
     def less(self, i: np.ndarray, j: np.ndarray) -> np.ndarray:
         n = self.common(i, j)
-        raw, last = self.b.raw, len(self.b.raw) - 1
-        x = np.where(n < self.room[i], raw[np.minimum(self.at[i] + n, last)].astype(np.int16), -1)
-        y = np.where(n < self.room[j], raw[np.minimum(self.at[j] + n, last)].astype(np.int16), -1)
+        x = np.where(n < self.room[i], self.raw[i, self.at[i] + n].astype(np.int16), -1)
+        y = np.where(n < self.room[j], self.raw[j, self.at[j] + n].astype(np.int16), -1)
         return (x < y) | ((x == y) & (i < j))
 
     def sort(self) -> np.ndarray:
@@ -198,11 +214,12 @@ class Suffixes:
     def equal(self, i: np.ndarray, j: np.ndarray, back: np.ndarray, ahead: np.ndarray) -> np.ndarray:
         """Whether the bytes around two anchors are the same, byte by byte."""
         out, n = np.ones(len(i), dtype=bool), back + ahead
-        for lo, hi in S.batches(n.tolist(), 1 << 20):
+        flat = self.raw.reshape(-1)
+        for lo, hi in S.batches(n.tolist(), 1 << 17):
             m = n[lo:hi]
             step = np.arange(int(m.sum())) - np.repeat(np.cumsum(m) - m, m)
-            x = self.b.raw[np.repeat(self.at[i[lo:hi]] - back[lo:hi], m) + step]
-            y = self.b.raw[np.repeat(self.at[j[lo:hi]] - back[lo:hi], m) + step]
+            x = flat[np.repeat(i[lo:hi] * self.wide + self.at[i[lo:hi]] - back[lo:hi], m) + step]
+            y = flat[np.repeat(j[lo:hi] * self.wide + self.at[j[lo:hi]] - back[lo:hi], m) + step]
             wrong = np.repeat(np.arange(lo, hi), m)[x != y]
             out[wrong] = False
         return out
@@ -220,27 +237,35 @@ def repeats(rows: list[bytes], n_win: np.ndarray, delta: np.ndarray, group: np.n
     exact = s.equal(order[near - 1], order[near], np.zeros(len(near), dtype=np.int64), agree[near])
     doubt = set(s.group[order[near[~exact]]].tolist())
     pairs: list[np.ndarray] = []
+
+    def verify() -> None:
+        """Compares what pairs share to the left of their anchors, each at the farthest distance held."""
+        a, b, d = np.concatenate(pairs, axis=1)
+        by = np.lexsort((-d, b, a))
+        top = by[np.concatenate(([True], (a[by][1:] != a[by][:-1]) | (b[by][1:] != b[by][:-1])))]
+        same = s.equal(a[top], b[top], d[top], np.zeros(len(top), dtype=np.int64))
+        doubt.update(s.group[a[top[~same]]].tolist())
+        pairs.clear()
+
     low, high = (delta - n_win + 1)[order], delta[order]
-    for d in range(far):
+    for d in reversed(range(far)):
         long = agree >= width - d
         live = np.flatnonzero((long[:-1] | long[1:]) & (low <= d) & (d <= high))
         if len(live) < 2:
             continue
         run = np.cumsum(~long[:-1])[live]
         own = order[live]
-        key = S.mix(s.b.span(s.at[own] - d, s.at[own]) + run.astype(S.U) * S._mul[5])
+        key = S.mix(s.span(own, s.at[own] - d, s.at[own]) + run.astype(S.U) * S._mul[5])
         by = np.argsort(key)
         same = key[by][1:] == key[by][:-1]
         if same.any():
             a, b = own[by][:-1][same], own[by][1:][same]
             out[a, d] = out[b, d] = True
             pairs.append(np.stack((a, b, np.full(len(a), d))))
+            if sum(p.shape[1] for p in pairs) > PAIRS:
+                verify()
     if pairs:
-        a, b, d = np.concatenate(pairs, axis=1)
-        by = np.lexsort((-d, b, a))
-        top = by[np.concatenate(([True], (a[by][1:] != a[by][:-1]) | (b[by][1:] != b[by][:-1])))]
-        exact = s.equal(a[top], b[top], d[top], np.zeros(len(top), dtype=np.int64))
-        doubt |= set(s.group[a[top[~exact]]].tolist())
+        verify()
     for g in doubt:  # a hash told a lie: compare this group's windows themselves
         own = np.flatnonzero(group == g)
         for d in range(far):
@@ -266,15 +291,18 @@ def _sorted_groups(frames: Iterator[pd.DataFrame], width: int, batch: int) -> It
         row, first = np.nonzero(edge == 1)
         _, last = np.nonzero(edge == -1)
         base = x["pos"].to_numpy(dtype=np.int64) + delta  # the anchor
-        return pd.DataFrame({"doc_id": x["doc_id"].iloc[row].astype("Int64").to_numpy(), "dh": x["dh"].to_numpy()[row], "begin": base[row] - last + 1, "end": base[row] - first + width}).astype({"doc_id": "Int64"})
+        spans = {"doc_id": x["doc_id"].iloc[row].astype("Int64").to_numpy(), "dh": x["dh"].to_numpy()[row], "begin": base[row] - last + 1, "end": base[row] - first + width}
+        return pd.DataFrame(spans).astype({"doc_id": "Int64"})
 
     held: list[pd.DataFrame] = []
+    size = 0
     for x in _groups(frames, ["gram"]):
         if len(x) > 1:
             held.append(x)
-        if sum(map(len, held)) >= batch:
+            size += int(x["bytes"].str.len().sum())
+        if size >= batch:
             yield run(held)
-            held = []
+            held, size = [], 0
     if held:
         yield run(held)
 
@@ -282,25 +310,27 @@ def _sorted_groups(frames: Iterator[pd.DataFrame], width: int, batch: int) -> It
 def _halved(rows: DataFrame, width: int) -> DataFrame:
     """Splits the distances of each group in two and renames groups by the content that all windows of a half share."""
 
+    names = [*[c.split()[0] for c in ROW.split(", ")], "d0", "d1"]
+
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for x in frames:
             out = []
             for r in x.itertuples(index=False):
-                low, high = r.delta - r.n_win + 1, r.delta
+                raw, low, high = bytes(r.bytes), r.delta - r.n_win + 1, r.delta
                 mid = (r.d0 + r.d1) // 2
                 for a, b in ((r.d0, mid), (mid + 1, r.d1)):
                     lo, hi = max(a, low), min(b, high)
                     if a > b or lo > hi:
                         continue
                     # Places count from the anchor, which is delta into the bytes.
-                    core = bytes(r.bytes)[r.delta - a : r.delta + width - b]
-                    own = bytes(r.bytes)[r.delta - hi : r.delta + width - lo]
+                    core, own = raw[r.delta - a : r.delta + width - b], raw[r.delta - hi : r.delta + width - lo]
                     name = hashlib.blake2b(core + f"{r.gram},{a},{b}".encode(), digest_size=8).digest()
-                    seg = hashlib.blake2b(own + f",{lo},{hi}".encode(), digest_size=8).digest()
-                    out.append((int.from_bytes(name, "little", signed=True), r.doc_id, r.dh, r.pos + r.delta - hi, hi - lo + 1, hi, r.weight, r.single, int.from_bytes(seg, "little", signed=True), own, a, b))
-            yield pd.DataFrame(out, columns=[*[c.split()[0] for c in ROW.split(", ")], "d0", "d1"]).astype({"doc_id": "Int64"})
+                    seg = hashlib.sha256(own + f",{lo},{hi}".encode()).digest()
+                    name = int.from_bytes(name, "little", signed=True)
+                    out.append((name, r.doc_id, r.dh, r.pos + r.delta - hi, hi - lo + 1, hi, r.weight, r.single, seg, own, a, b))
+            yield pd.DataFrame(out, columns=names).astype({"doc_id": "Int64"})
 
-    return rows.mapInPandas(run, ROW + ", d0 int, d1 int")
+    return rows.mapInPandas(lean(run), ROW + ", d0 int, d1 int")
 
 
 def _spans(rows: DataFrame, docs: DataFrame, width: int, gram: int, most: int) -> DataFrame:
@@ -316,7 +346,7 @@ def _spans(rows: DataFrame, docs: DataFrame, width: int, gram: int, most: int) -
     twice = named.where("weight > 1").select("gram", "seg")
     spans = rows.join(twice, ["gram", "seg"]).select("doc_id", "dh", F.explode("at").alias("begin"), "n_win").select("doc_id", "dh", "begin", (F.col("begin") + F.col("n_win") + width - 1).alias("end"))
     wanted = cut(named.join(several, "gram").withColumn("single", F.col("weight") == 1), "repeat-wanted")
-    work = lambda few: few.repartition(parts(spark), "gram").sortWithinPartitions("gram").mapInPandas(lambda f: _sorted_groups(f, width, BATCH), kind)
+    work = lambda few: few.repartition(parts(spark), "gram").sortWithinPartitions("gram").mapInPandas(lean(lambda f: _sorted_groups(f, width, BATCH)), kind)
     columns = [c.split()[0] for c in ROW.split(", ")]
     fetched = cut(_fetched(docs, wanted, width), "repeat-bytes")
     large = several.where(F.col("segs") > most)
@@ -375,4 +405,4 @@ def remove_repeats(docs: DataFrame, width: int = WIDTH, gram: int = GRAM, most:
             yield pd.DataFrame(rows, columns=names).astype({"doc_id": "Int64"})
 
     same = docs["doc_id"].eqNullSafe(lists["doc_id"]) & (docs["dh"] == lists["dh"])
-    return docs.join(lists, same, "left").select(docs["doc_id"], "text", "spans").mapInPandas(run, kind)
+    return docs.join(lists, same, "left").select(docs["doc_id"], "text", "spans").mapInPandas(lean(run), kind)
