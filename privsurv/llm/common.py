@@ -100,6 +100,57 @@ def whole(column: str = "text") -> Column:
     return F.coalesce(F.col(column).cast("string"), F.lit(""))
 
 
+def unused(df: DataFrame, name: str) -> str:
+    """``name`` with underscores in front until no column of ``df`` has it."""
+    held = {c.lower() for c in df.columns}
+    while name.lower() in held:
+        name = "_" + name
+    return name
+
+
+def ordered(*names: str) -> Column:
+    """Struct to take minima of: ids first, nulls after all others."""
+    return F.struct(F.col(names[0]).isNull().alias("none"), *[F.col(n).alias(n) for n in names])
+
+
+def one_each(docs: DataFrame, kept: DataFrame) -> DataFrame:
+    """The rows of ``docs`` that ``kept`` names by doc_id and dh (a hash of the whole text), one row for each.
+
+    Rows that repeat both are the same document; one of them stays.  They are looked for in a narrow table, and only they go
+    through a grouping.
+    """
+    dh, i, h = (unused(docs, n) for n in ("__dh", "__id", "__hash"))
+    named = docs.withColumn(dh, F.xxhash64(whole()))
+    kept = kept.select(F.col("doc_id").alias(i), F.col("dh").alias(h))
+    twins = cut(named.groupBy("doc_id", dh).agg(F.count(F.lit(1)).alias("rows")).where("rows > 1").select(F.col("doc_id").alias(i), F.col(dh).alias(h)), "twins")
+    same = lambda few: named["doc_id"].eqNullSafe(few[i]) & (named[dh] == few[h])
+    if twins.isEmpty():
+        return named.join(kept, same(kept), "left_semi").drop(dh)
+    single = kept.join(twins, kept[i].eqNullSafe(twins[i]) & (kept[h] == twins[h]), "left_anti")
+    double = kept.join(twins, kept[i].eqNullSafe(twins[i]) & (kept[h] == twins[h]), "left_semi")
+    repeated = named.join(double, same(double), "left_semi").dropDuplicates(["doc_id", dh])
+    return named.join(single, same(single), "left_semi").unionByName(repeated).drop(dh)
+
+
+def sample_texts(docs: DataFrame, picked: list[tuple[int, object]], kind: str, most_chars: int) -> list[tuple[int, str, object]]:
+    """Whole texts of the picked ids with their values, by id: as many as fit ``most_chars`` in the order given.
+
+    ``picked`` has a stated bound; with ``most_chars`` what is collected is bounded in bytes too.  Of rows that share an id the
+    least text counts.
+    """
+    spark = docs.sparkSession
+    few = spark.createDataFrame([(i, v, k) for k, (i, v) in enumerate(picked)], f"__id long, __value {kind}, __place int")
+    rows = docs.select("doc_id", "text").join(F.broadcast(few), F.col("doc_id") == F.col("__id")).where("text is not null")
+    rows = cut(rows.groupBy("__id", "__value", "__place").agg(F.min("text").alias("text")), "sample")
+    room, chosen = most_chars, []
+    for r in rows.select("__place", F.length("text").alias("n")).orderBy("__place").collect():  # one row per picked id
+        if r["n"] <= room:
+            chosen.append(r["__place"])
+            room -= r["n"]
+    kept = spark.createDataFrame([(k,) for k in chosen], "__place int")
+    return [(r[0], r[1], r[2]) for r in rows.join(F.broadcast(kept), "__place").select("__id", "text", "__value").orderBy("__id").collect()]
+
+
 def parts(spark: SparkSession) -> int:
     return max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
 

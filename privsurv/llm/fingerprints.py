@@ -1,8 +1,8 @@
 """MinHash fingerprints of whole documents, and near copies by bands of them.
 
-A fingerprint has 128 minima of universal hash functions over word shingles, computed in numpy; its printed form keeps
-eight bits of each.  The likeness of two fingerprints is the share of equal positions, corrected for chance agreement;
-equal texts have likeness one.  ``near_copies`` joins bands of four positions in Spark and verifies Jaccard exactly.
+A fingerprint has sixteen bits of each of 128 minima of universal hash functions over word shingles, computed in numpy; it is
+printed in hexadecimal digits, four for a minimum.  The likeness of two fingerprints is the share of equal positions (two different
+minima agree by chance once in 65,536); equal texts have likeness one.  ``near_copies`` joins bands of four positions in Spark and verifies Jaccard exactly.
 
 ``with_edits`` compares each document with an edited text (its end replaced by the beginning of the next document in id
 order) and with the next document.  Documents are dealt by ranges of ids, whose bounds are ids of the table; the first
@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 
 from . import links
 from . import shingles as S
-from .common import cells, parts, whole
+from .common import cells, lean, parts, whole
 
 COUNT = 128
 BANDS = 32
@@ -38,12 +38,17 @@ def signatures(texts: list[str], count: int = COUNT) -> np.ndarray:
     return np.concatenate(out) if out else np.zeros((0, count), np.uint32)
 
 
-def printed(sig: np.ndarray) -> list[str]:
-    return [r.tobytes().hex() for r in (sig & 255).astype(np.uint8)]
+def kept_bits(sig: np.ndarray) -> np.ndarray:
+    """Fingerprints of full minima."""
+    return (sig & 0xFFFF).astype(">u2")
+
+
+def printed(prints: np.ndarray) -> list[str]:
+    return [r.tobytes().hex() for r in prints]
 
 
 def likeness(a: np.ndarray, b: np.ndarray) -> np.ndarray:
-    """Of full minima, so chance agreement is nil."""
+    """Of two arrays of fingerprints, row by row."""
     return (a == b).mean(axis=1)
 
 
@@ -99,21 +104,21 @@ def with_edits(docs: DataFrame, rows_each: int = 2_000) -> DataFrame:
             yield _compare([(held_[2], held_[3], None)])
 
     ordered = sent.repartition(parts(spark), "range").sortWithinPartitions("range", "guest", F.col("doc_id").asc_nulls_first(), "tie")
-    return ordered.mapInPandas(run, "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double")
+    return ordered.mapInPandas(lean(run), "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double")
 
 
 def _compare(rows: list[tuple]) -> pd.DataFrame:
     texts = [r[1] for r in rows]
     after = [r[1] if r[2] is None else r[2] for r in rows]
     changed = [edited(t, n) for t, n in zip(texts, after, strict=True)]
-    sig = signatures(texts)
+    sig = kept_bits(signatures(texts))
     # Rows follow each other, so the next document's fingerprint is mostly the next row's.
     follows = [i + 1 < len(rows) and after[i] is rows[i + 1][1] for i in range(len(rows))]
     loose = [i for i, f in enumerate(follows) if not f]
     nxt = np.roll(sig, -1, axis=0)
     if loose:
-        nxt[loose] = signatures([after[i] for i in loose])
-    new = signatures(changed)
+        nxt[loose] = kept_bits(signatures([after[i] for i in loose]))
+    new = kept_bits(signatures(changed))
     return pd.DataFrame({
         "doc_id": pd.array([None if pd.isna(r[0]) else int(r[0]) for r in rows], dtype="Int64"), "n_chars": [len(t) for t in texts],
         "edited_sha256": [hashlib.sha256(c.encode("utf-8", "surrogatepass")).hexdigest() for c in changed],
@@ -134,10 +139,10 @@ def bands_of(rows: DataFrame) -> DataFrame:
                     name = S.mix(name * S.U(0x9E3779B97F4A7C15) + np.array([p[k] for p in part], dtype=S.U))
                 yield pd.DataFrame({"key": x["key"].to_numpy(), "leaf": name.view(np.int64)})
 
-    all_ = rows.select("key", "sig").mapInPandas(run, "key binary, leaf long")
+    all_ = rows.select("key", "sig").mapInPandas(lean(run), "key binary, leaf long")
     return all_.join(all_.groupBy("leaf").agg(F.count(F.lit(1)).alias("members")).where("members > 1"), "leaf").select("key", "leaf")
 
 
 def near_copies(docs: DataFrame, threshold: float = 0.8) -> DataFrame:
     """doc_id, class_id, n_links, n_copies of documents whose exact Jaccard similarity reaches the threshold."""
-    return links.classes(docs, links.profile(docs, COUNT, SEED), bands_of, COUNT, threshold)
+    return links.classes(docs, links.profile(docs, COUNT, SEED), bands_of, COUNT, threshold).drop("dh", "class_dh")

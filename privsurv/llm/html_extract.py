@@ -28,6 +28,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import shingles as S
+from .common import lean
 
 # HTML element names by what they do to text.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
@@ -456,4 +457,4 @@ def extract_pages(pages: DataFrame, net: Net | None = None) -> DataFrame:
                 own = x.iloc[a:b]
                 yield pd.DataFrame({"page_id": own["page_id"].astype("Int64"), "url": own["url"], "text": text, "n_chars": [len(t) for t in text]})
 
-    return pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.col("html").cast("string").alias("html")).mapInPandas(run, "page_id long, url string, text string, n_chars long")
+    return pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.col("html").cast("string").alias("html")).mapInPandas(lean(run), "page_id long, url string, text string, n_chars long")

@@ -5,7 +5,7 @@ the Jaccard similarity.  A run starts with all sets at one node.  A node picks e
 1 / (threshold * COUNT), by a hash of its path, and sends its sets to one child per picked position and value there: sets
 that share the sampled token stay together.  Nodes with more than ``SMALL`` sets split again, up to ``DEPTH`` times;
 others are buckets, compared by brute force with exact verification.  So many runs are made that a pair at the
-threshold meets, even at the last level, with probability ``recall``.
+threshold meets and passes the comparison of signatures, even at the last level, with probability ``recall``.
 
 Results: doc_id, class_id (smallest id among documents linked directly or indirectly), n_links (other documents of
 similarity ``threshold`` or more, copies included), n_copies (documents with the same shingle set).
@@ -26,7 +26,7 @@ from pyspark.sql import functions as F
 
 from . import links
 from . import shingles as S
-from .common import cut
+from .common import cut, lean
 
 COUNT = 64
 SMALL = 256
@@ -42,7 +42,11 @@ def survival(threshold: float, depth: int) -> float:
 
 
 def runs_for(threshold: float, recall: float, depth: int = DEPTH) -> int:
-    return math.ceil(math.log(1 - recall) / math.log(1 - survival(threshold, depth)))
+    """Runs after which a pair at the threshold has met with probability ``recall``, losses of the signature filter included."""
+    need = recall / links.passes(COUNT, threshold)
+    if need >= 1:
+        raise ValueError(f"signatures of {COUNT} minima do not allow a recall of {recall}")
+    return math.ceil(math.log(1 - need) / math.log(1 - survival(threshold, depth)))
 
 
 def picked(paths: np.ndarray, rate: float) -> np.ndarray:
@@ -77,7 +81,7 @@ def paths_of(rows: DataFrame, runs: int, threshold: float, seed: int) -> DataFra
             yield pd.DataFrame({"key": x["key"].to_numpy()[row], "leaf": child.view(np.int64)})
 
     kind, out = "key binary, leaf long", None
-    now = rows.select("key", "sig").mapInPandas(first, kind)
+    now = rows.select("key", "sig").mapInPandas(lean(first), kind)
     for depth in range(1, DEPTH + 1):
         now = cut(now, "paths")
         sized = now.groupBy("leaf").agg(F.count(F.lit(1)).alias("members")).where("members > 1")
@@ -87,10 +91,15 @@ def paths_of(rows: DataFrame, runs: int, threshold: float, seed: int) -> DataFra
         large = shared.where(F.col("members") > SMALL)
         if depth == DEPTH or large.isEmpty():
             return out
-        now = large.select("key", "leaf").join(rows.select("key", "sig"), "key").select("key", "leaf", "sig").mapInPandas(again, kind)
+        now = large.select("key", "leaf").join(rows.select("key", "sig"), "key").select("key", "leaf", "sig").mapInPandas(lean(again), kind)
     return out
 
 
-def jaccard_join(docs: DataFrame, threshold: float = 0.8, recall: float = 0.999, seed: int = 1) -> DataFrame:
+def joined(docs: DataFrame, threshold: float = 0.8, recall: float = 0.999, seed: int = 1) -> DataFrame:
+    """What ``links.classes`` gives: with hashes that tell rows of one id apart."""
     runs = runs_for(threshold, recall)
     return links.classes(docs, links.profile(docs, COUNT, seed), lambda rows: paths_of(rows, runs, threshold, seed), COUNT, threshold)
+
+
+def jaccard_join(docs: DataFrame, threshold: float = 0.8, recall: float = 0.999, seed: int = 1) -> DataFrame:
+    return joined(docs, threshold, recall, seed).drop("dh", "class_dh")

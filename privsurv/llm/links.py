@@ -8,6 +8,7 @@ First signatures are compared, then only sets with a likely partner have their t
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable, Iterator
 
 import numpy as np
@@ -16,9 +17,16 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import shingles as S
-from .common import cut, parts
+from .common import cut, lean, ordered, parts, whole
 
 BLOCK = 1024
+SLACK = 0.2  # signatures may fall this far below the threshold before a pair is dropped unverified
+
+
+def passes(count: int, threshold: float) -> float:
+    """Probability that a pair at the threshold agrees in enough of ``count`` minima to be verified."""
+    least = math.ceil((threshold - SLACK) * count - 1e-9)
+    return sum(math.comb(count, k) * threshold**k * (1 - threshold) ** (count - k) for k in range(least, count + 1))
 
 
 def set_key(values: np.ndarray) -> bytes:
@@ -29,7 +37,7 @@ def set_key(values: np.ndarray) -> bytes:
 
 
 def profile(docs: DataFrame, count: int, seed: int, width: int = S.WIDTH) -> DataFrame:
-    """doc_id, key (name of the shingle set), n (its size), sig (``count`` 32-bit minima)."""
+    """doc_id, dh (hash of the text), key (name of the shingle set), n (its size), sig (``count`` 32-bit minima)."""
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for x in frames:
@@ -38,9 +46,12 @@ def profile(docs: DataFrame, count: int, seed: int, width: int = S.WIDTH) -> Dat
                 values, starts = S.shingles(texts[a:b], width)
                 own = S.sets(values, starts)
                 sig = S.minhash(values, starts, count, seed)
-                yield pd.DataFrame({"doc_id": x["doc_id"].iloc[a:b].to_numpy(), "key": [set_key(v) for v in own], "n": [len(v) for v in own], "sig": [r.tobytes() for r in sig]}).astype({"doc_id": "Int64"})
+                ids = {"doc_id": x["doc_id"].iloc[a:b].to_numpy(), "dh": x["dh"].iloc[a:b].to_numpy()}
+                sets_ = {"key": [set_key(v) for v in own], "n": [len(v) for v in own], "sig": [r.tobytes() for r in sig]}
+                yield pd.DataFrame(ids | sets_).astype({"doc_id": "Int64"})
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInPandas(run, "doc_id long, key binary, n long, sig binary")
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), whole().alias("text")).withColumn("dh", F.xxhash64("text"))
+    return texts.mapInPandas(lean(run), "doc_id long, dh long, key binary, n long, sig binary")
 
 
 def shingle_sets(docs: DataFrame, wanted: DataFrame, width: int = S.WIDTH) -> DataFrame:
@@ -56,7 +67,7 @@ def shingle_sets(docs: DataFrame, wanted: DataFrame, width: int = S.WIDTH) -> Da
 
     few = wanted.withColumnRenamed("doc_id", "__id")
     texts = docs.select("doc_id", F.col("text").cast("string").alias("text"))
-    found = texts.join(few, texts["doc_id"].eqNullSafe(few["__id"])).select("key", "text").mapInPandas(run, "key binary, set binary")
+    found = texts.join(few, texts["doc_id"].eqNullSafe(few["__id"])).select("key", "text").mapInPandas(lean(run), "key binary, set binary")
     return found.dropDuplicates(["key"])
 
 
@@ -199,11 +210,11 @@ def find_links(docs: DataFrame, rows: DataFrame, leaves: DataFrame, count: int,
     full = spread.join(rows.join(live, "key").select("key", "n", "sig", "copies", "live"), "key")
     by = ["leaf", "i", "j"]
     kind = "leaf long, i int, j int, block int, key binary, live array<long>, copies long, part int"
-    near = cut(full.repartition(parts(docs.sparkSession), *by).sortWithinPartitions(*by).mapInPandas(lambda f: likely(f, count, threshold - 0.2), kind), "link-likely")
+    near = cut(full.repartition(parts(docs.sparkSession), *by).sortWithinPartitions(*by).mapInPandas(lean(lambda f: likely(f, count, threshold - SLACK)), kind), "link-likely")
     wanted = near.select("key").distinct().join(rows.select("key", "doc_id"), "key")
     sets = shingle_sets(docs, wanted, width)
     by = [*by, "part"]
-    return near.join(sets, "key").repartition(parts(docs.sparkSession), *by).sortWithinPartitions(*by).mapInPandas(lambda f: verified(f, threshold), "key binary, sets long, docs long, other binary")
+    return near.join(sets, "key").repartition(parts(docs.sparkSession), *by).sortWithinPartitions(*by).mapInPandas(lean(lambda f: verified(f, threshold)), "key binary, sets long, docs long, other binary")
 
 
 def components(edges: DataFrame, most: int = 60) -> DataFrame:
@@ -213,13 +224,14 @@ def components(edges: DataFrame, most: int = 60) -> DataFrame:
     mark = lambda df: df.agg(F.count(F.lit(1)), F.sum(F.xxhash64("key", "other").cast("decimal(38,0)"))).first()
     before = None
     for _ in range(most):
+        # Minima are written before they are joined back: the join stands alone, and a hub's edges can be split over tasks.
         both = now.union(now.select(F.col("other").alias("key"), F.col("key").alias("other")))
-        low = both.groupBy("key").agg(F.least(F.min("other"), F.col("key")).alias("low"))
-        large = both.where("other > key").join(low, "key").select(F.col("other").alias("key"), F.col("low").alias("other")).distinct()
-        down = large.select(F.greatest("key", "other").alias("key"), F.least("key", "other").alias("other")).where("key <> other")
-        low = down.groupBy("key").agg(F.min("other").alias("low"))
-        small = down.join(low, "key")
-        now = cut(small.select(F.col("other").alias("key"), F.col("low").alias("other")).union(low.select("key", F.col("low").alias("other"))).where("key <> other").distinct(), "stars")
+        low = cut(both.groupBy("key").agg(F.min("other").alias("low")).select("key", F.least("low", "key").alias("low")), "star-lows")
+        large = both.where("other > key").join(low, "key").select(F.col("other").alias("key"), F.col("low").alias("other"))
+        down = cut(large.select(F.greatest("key", "other").alias("key"), F.least("key", "other").alias("other")).where("key <> other").distinct(), "star-large")
+        low = cut(down.groupBy("key").agg(F.min("other").alias("low")), "star-lows")
+        small = down.join(low, "key").select(F.col("other").alias("key"), F.col("low").alias("other"))
+        now = cut(small.union(low.select("key", F.col("low").alias("other"))).where("key <> other").distinct(), "stars")
         after = mark(now)
         if after == before:
             break
@@ -230,17 +242,17 @@ def components(edges: DataFrame, most: int = 60) -> DataFrame:
 
 
 def classes(docs: DataFrame, profiles: DataFrame, leaves_of: Callable[[DataFrame], DataFrame], count: int, threshold: float, width: int = S.WIDTH) -> DataFrame:
-    """doc_id, class_id (smallest id of all documents it is linked with, directly or not), n_links, n_copies."""
+    """doc_id, dh, class_id (smallest id of all documents it is linked with, directly or not), class_dh (that document's dh), n_links, n_copies."""
     profiles = cut(profiles, "link-profiles")
     # The signature is a function of the set, so any of the copies' will do.
-    rows = cut(profiles.groupBy("key").agg(F.first("n").alias("n"), F.first("sig").alias("sig"), F.count(F.lit(1)).alias("copies"), F.min("doc_id").alias("doc_id")), "link-sets")
+    sets = profiles.groupBy("key").agg(F.first("n").alias("n"), F.first("sig").alias("sig"), F.count(F.lit(1)).alias("copies"), F.min(ordered("doc_id", "dh")).alias("who"))
+    rows = cut(sets.withColumn("doc_id", F.col("who.doc_id")), "link-sets")
     leaves = cut(leaves_of(rows), "link-leaves")
     found = cut(find_links(docs, rows, leaves, count, threshold, width), "links")
     sums = found.groupBy("key").agg(F.sum("docs").alias("linked"))
     roots = components(found.select("key", "other"))
-    named = rows.select("key", "doc_id", "copies").join(sums, "key", "left").join(roots, "key", "left").withColumn("root", F.coalesce("root", "key"))
-    first = named.groupBy("root").agg(F.min("doc_id").alias("class_id"))
-    per_set = named.join(first, "root").select("key", "class_id", "copies", (F.coalesce("linked", F.lit(0)) + F.col("copies") - 1).alias("n_links"))
-    return profiles.select("doc_id", "key").join(per_set, "key").select("doc_id", "class_id", "n_links", F.col("copies").alias("n_copies"))
-
-
+    named = rows.select("key", "who", "copies").join(sums, "key", "left").join(roots, "key", "left").withColumn("root", F.coalesce("root", "key"))
+    named = cut(named.withColumn("n_links", F.coalesce("linked", F.lit(0)) + F.col("copies") - 1), "link-named")
+    first = cut(named.groupBy("root").agg(F.min("who").alias("first")), "link-classes")  # alone, so that large classes can be split
+    per_set = named.join(first, "root").select("key", F.col("first.doc_id").alias("class_id"), F.col("first.dh").alias("class_dh"), "n_links", "copies")
+    return profiles.select("doc_id", "dh", "key").join(per_set, "key").select("doc_id", "dh", "class_id", "class_dh", "n_links", F.col("copies").alias("n_copies"))

@@ -7,7 +7,8 @@ projected gradient descent.  A document's rate follows from its posterior and th
 steps, so a step is one pass over a narrow table that returns one sum per domain; no rates are stored or collected.
 
 Domains are pairs of quality and toxicity of ``labels`` (any table with doc_id, domain works in ``fit_classifier``).
-Bound: at most ``per_domain`` labelled rows of each domain are collected for training, chosen by a hash of their ids.
+Bound: at most ``per_domain`` labelled rows of each domain and ``most_chars`` characters are collected for training, chosen by a hash of
+their ids.
 
 Defined results: null and empty texts count one token (their end) and get the posterior of no evidence; documents without labels are treated as all
 others; with one domain or none, all posteriors are one for it and rates scale to the budget; repeated rows get equal rates; an empty table gives no rows.
@@ -15,6 +16,7 @@ others; with one domain or none, all posteriors are one for it and rates scale t
 
 from __future__ import annotations
 
+from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -24,7 +26,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from . import shingles as S
-from .common import cut
+from .common import cut, lean, sample_texts
 
 BITS = 15
 
@@ -94,9 +96,8 @@ def domains(labels: DataFrame) -> DataFrame:
     return labels.where("doc_id is not null and quality is not null and toxic is not null").select("doc_id", F.concat(F.lit("q"), F.col("quality"), F.lit("t"), F.col("toxic")).alias("domain"))
 
 
-def fit_classifier(docs: DataFrame, labelled: DataFrame, per_domain: int = 1000, seed: int = 4) -> Classifier:
-    """``labelled``: doc_id, domain (few distinct values).  Collects at most ``per_domain`` texts of each."""
-    spark = docs.sparkSession
+def fit_classifier(docs: DataFrame, labelled: DataFrame, per_domain: int = 1000, most_chars: int = 10_000_000, seed: int = 4) -> Classifier:
+    """``labelled``: doc_id, domain (few distinct values).  Collects at most ``per_domain`` texts of each, ``most_chars`` characters in all."""
     held = labelled.join(docs.select("doc_id").distinct(), "doc_id", "left_semi")
     many = {r[0]: r[1] for r in held.groupBy("domain").count().collect()}  # the domains
     names = sorted(many)
@@ -105,12 +106,11 @@ def fit_classifier(docs: DataFrame, labelled: DataFrame, per_domain: int = 1000,
         picked += [(r[0], name) for r in held.where(F.col("domain") == name).select("doc_id").orderBy(F.xxhash64(F.lit(seed), "doc_id"), "doc_id").limit(per_domain).collect()]
     if len(names) < 2:
         return fit([], np.zeros(0, dtype=int), names or ["all"])
-    few = spark.createDataFrame(picked, "doc_id long, __domain string")
-    rows = docs.select("doc_id", "text").join(F.broadcast(few), "doc_id").where("text is not null").dropDuplicates(["doc_id"]).toPandas().sort_values("doc_id")  # per_domain bounds it
-    c = fit(rows["text"].tolist(), np.array([names.index(d) for d in rows["__domain"]]), names)
+    rows = sample_texts(docs, picked, "string", most_chars)
+    taken = Counter(r[2] for r in rows)
+    c = fit([r[1] for r in rows], np.array([names.index(r[2]) for r in rows], dtype=int), names)
     # Sampling by domain changed the priors; put them back.
-    taken = rows["__domain"].value_counts()
-    c.bias += np.log([many[n] / max(1, taken.get(n, 0)) for n in names])
+    c.bias += np.log([many[n] / max(1, taken[n]) for n in names])
     return c
 
 
@@ -180,7 +180,7 @@ def solve(table: DataFrame, k: int, targets, least: float = 0.0, steps: int = 40
                 out += (rates(p, past, size, least)[which] * x["n"].to_numpy(dtype=float)) @ p
             yield pd.DataFrame({f"s{i}": [out[i]] for i in range(k)})
 
-        row = table.select("n", "p").mapInPandas(run, ", ".join(f"s{i} double" for i in range(k))).agg(*[F.sum(f"s{i}") for i in range(k)]).first()
+        row = table.select("n", "p").mapInPandas(lean(run), ", ".join(f"s{i} double" for i in range(k))).agg(*[F.sum(f"s{i}") for i in range(k)]).first()
         return np.array([float(x or 0) for x in row])
 
     for _ in range(steps):

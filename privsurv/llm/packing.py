@@ -29,7 +29,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import shingles as S
-from .common import cells, cut
+from .common import cells, cut, lean
 
 LIMIT = 4096
 END = 1
@@ -250,7 +250,7 @@ def pieces(docs: DataFrame, path: str, limit: int = LIMIT) -> DataFrame:
                     rows.append((key, k, k * limit, len(part) // 4, zlib.crc32(part)))
             yield pd.DataFrame(rows, columns=["doc_id", "piece", "start", "length", "ids_crc32"]).astype({"doc_id": "Int64"})
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInPandas(run, "doc_id long, piece int, start long, length long, ids_crc32 long")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInPandas(lean(run), "doc_id long, piece int, start long, length long, ids_crc32 long")
 
 
 def knapsack(sizes: list[int], worth: np.ndarray, limit: int, most: list[int]) -> np.ndarray:

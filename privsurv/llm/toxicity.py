@@ -9,7 +9,7 @@ marginals and it is trained once more.  A part of the sample is held back to tur
 Forward and backward messages of two states are Moebius maps of one ratio, so whole batches run as one blocked scan.
 
 Bound: training collects at most ``per_class`` labelled documents of each class, chosen by a hash of their ids, among
-rows whose remainder isn't held out.  Scoring reads every whole text; memory is bounded by the longest text.
+rows whose remainder isn't held out, and at most ``most_chars`` characters of whole texts.  Scoring reads every whole text; memory is bounded by the longest text.
 
 Defined results: null and empty texts have no tokens and get the score of a document without evidence; null labels are
 not used; if a class is missing, all documents score 0; repeated ids in ``labels`` count once (toxic if any says so);
@@ -27,6 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import shingles as S
+from .common import lean, sample_texts
 
 BITS = 18
 SLOTS = 9
@@ -284,9 +285,9 @@ def fold(column: str = "doc_id"):
     return F.crc32(F.encode(F.col(column).cast("string"), "UTF-8")) % FOLDS
 
 
-def train_on(docs: DataFrame, labels: DataFrame, per_class: tuple[int, int] = (1000, 2500), seed: int = 3, held_out: bool = True) -> Model:
-    """Fits on a bounded sample: at most ``per_class`` toxic and clean labelled documents, none of them held out."""
-    spark = docs.sparkSession
+def train_on(docs: DataFrame, labels: DataFrame, per_class: tuple[int, int] = (1000, 2500), most_chars: int = 10_000_000, seed: int = 3, held_out: bool = True) -> Model:
+    """Fits on a bounded sample: at most ``per_class`` toxic and clean labelled documents, none of them held out, and of these as
+    many as have ``most_chars`` characters together."""
     known = labels.where("doc_id is not null and toxic is not null").groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
     if held_out:
         known = known.where(fold() != 0)
@@ -295,9 +296,8 @@ def train_on(docs: DataFrame, labels: DataFrame, per_class: tuple[int, int] = (1
         picked += [(r[0], value) for r in known.where(F.col("toxic") == value).select("doc_id").orderBy(F.xxhash64(F.lit(seed), "doc_id"), "doc_id").limit(most).collect()]
     if not picked:
         return fit([], np.zeros(0, dtype=bool))
-    few = spark.createDataFrame(picked, "doc_id long, __toxic int")
-    rows = docs.select("doc_id", "text").join(F.broadcast(few), "doc_id").where("text is not null").dropDuplicates(["doc_id"]).toPandas().sort_values("doc_id")  # per_class bounds it
-    return fit(rows["text"].tolist(), rows["__toxic"].to_numpy() == 1, seed=seed)
+    rows = sample_texts(docs, picked, "int", most_chars)
+    return fit([r[1] for r in rows], np.array([r[2] for r in rows], dtype=int) == 1, seed=seed)
 
 
 def score_documents(docs: DataFrame, model: Model, spans: bool = True) -> DataFrame:
@@ -313,7 +313,7 @@ def score_documents(docs: DataFrame, model: Model, spans: bool = True) -> DataFr
             yield out
 
     kind = "doc_id long, tox_score double" + ", tox_spans array<struct<begin:long,end:long>>" * spans
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInPandas(run, kind)
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInPandas(lean(run), kind)
 
 
 def toxicity(docs: DataFrame, labels: DataFrame, held_out: bool = True) -> DataFrame:
