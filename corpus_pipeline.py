@@ -13,7 +13,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from privsurv.llm import chunk_dedup, jaccard_join, mixing, packing, queries, toxicity
-from privsurv.llm.common import cut, read, ready
+from privsurv.llm.common import cut, one_each, read, ready, unused
 
 Stage = Callable[[SparkSession, DataFrame, str], DataFrame]
 
@@ -26,20 +26,20 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     def score(text: pd.Series) -> pd.Series:
         return pd.Series(toxicity.score(held.value, text.fillna("").tolist())[0])
 
-    return docs.withColumn("__score", score(F.col("text").cast("string"))).where("__score < 0.5").drop("__score")
+    name = unused(docs, "__score")
+    return docs.withColumn(name, score(F.col("text").cast("string"))).where(F.col(name) < 0.5).drop(name)
 
 
 def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of equal texts the row with the smallest id stays."""
-    kept = chunk_dedup.exact_dedup(docs).where("kept").select(F.col("doc_id").alias("__id"), F.col("text_sha256").alias("__sha"))
-    named = docs.withColumn("__own", F.sha2(chunk_dedup.normalised(), 256))
-    return named.join(kept, named["doc_id"].eqNullSafe(kept["__id"]) & (named["__own"] == kept["__sha"]), "left_semi").drop("__own")
+    """Of equal texts one row with the smallest id stays."""
+    kept = cut(chunk_dedup.marked(docs).where("kept").select("doc_id", "dh"), "kept-copies")
+    return one_each(docs, kept)
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of documents linked by similarity 0.8 or more, directly or not, the one with the smallest id stays."""
-    kept = jaccard_join.jaccard_join(docs).where(F.col("doc_id").eqNullSafe(F.col("class_id"))).select(F.col("doc_id").alias("__id"))
-    return docs.join(kept, docs["doc_id"].eqNullSafe(kept["__id"]), "left_semi")
+    """Of documents linked by similarity 0.8 or more, directly or not, one row with the smallest id stays."""
+    found = jaccard_join.joined(docs).where(F.col("doc_id").eqNullSafe(F.col("class_id")) & (F.col("dh") == F.col("class_dh")))
+    return one_each(docs, cut(found.select("doc_id", "dh").distinct(), "kept-classes"))
 
 
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -47,9 +47,10 @@ def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     domain has to shrink, and rates are at least one: every document stays."""
     labelled = mixing.domains(read(spark, sf_dir, "labels"))
     found, _ = mixing.fit_mix(docs, labelled, mixing.WEIGHTS, budget="grow", least=1.0)
-    rated = docs.withColumn("__rate", mixing.rate_of_text(docs, found))
-    times = mixing.copies(F.col("__rate"), 6, "doc_id")
-    return rated.withColumn("__copy", F.explode(F.sequence(F.lit(1), F.greatest(F.lit(1), times)))).drop("__rate", "__copy")
+    rate, copy = unused(docs, "__rate"), unused(docs, "__copy")
+    rated = docs.withColumn(rate, mixing.rate_of_text(docs, found))
+    times = mixing.copies(F.col(rate), 6, "doc_id")
+    return rated.withColumn(copy, F.explode(F.sequence(F.lit(1), F.greatest(F.lit(1), times)))).drop(rate, copy)
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -65,8 +66,14 @@ def _shipped(stage: Stage) -> Stage:
     return run
 
 
-STAGES: list[tuple[str, Stage]] = [(name, _shipped(stage)) for name, stage in (("toxicity", drop_toxic), ("exact_dedup", drop_copies), ("jaccard_join", drop_near_copies), ("mixing", mix), ("packing", pack))]
-#: Classifiers and sampled joins have no SQL; the stages are tested against brute force.
+STAGES: list[tuple[str, Stage]] = [
+    ("toxicity", _shipped(drop_toxic)),
+    ("exact_dedup", _shipped(drop_copies)),
+    ("jaccard_join", _shipped(drop_near_copies)),
+    ("mixing", _shipped(mix)),
+    ("packing", _shipped(pack)),
+]
+#: Classifiers and sampled joins have no SQL; tests/llm/test_pipeline.py holds each stage against a plain computation.
 ORACLE_SQL: str | None = None
 
 
