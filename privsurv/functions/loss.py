@@ -5,7 +5,7 @@ A record survives intervals 1..t-1; interval t fails if y = 1 and is survived to
 
 from __future__ import annotations
 
-from collections.abc import Sequence
+from collections.abc import Callable, Sequence
 
 import numpy as np
 from pyspark.sql import Column, DataFrame
@@ -106,6 +106,44 @@ class SumOfLogistic:
             grad[own] = np.concatenate((r @ self.a[: r.shape[1]], r.sum(axis=1, keepdims=True) * x[own]), axis=1)
         return out, grad
 
+    def weighted(self, f: np.ndarray, x: np.ndarray, t: np.ndarray, y: np.ndarray, slope: Callable[[np.ndarray], np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+        """Losses, and the sum of the records' gradients, each times ``slope`` of its loss.
+
+        Logit terms stand in one ragged row per record, so a record costs its own intervals and nothing else.
+        """
+        t = np.asarray(t, dtype=np.int64)
+        if self.link != "logit" or int(t.sum()) > self.chunk * 256:
+            loss, grad = self.gradients(f, x, t, y)
+            return loss, slope(loss) @ grad
+        e = self.a.shape[1]
+        gamma, z = self.a @ f[:e], x @ f[e:]
+        first = np.cumsum(t) - t
+        at = np.arange(int(t.sum())) - np.repeat(first, t)
+        eta = gamma[at] + np.repeat(z, t)
+        if eta.max() < 3:  # products of 200 terms stay finite
+            odds = np.exp(eta)
+            more = 1 + odds
+            loss, p = self._log_products(more, first, t), odds / more
+        else:
+            small = np.exp(-np.abs(eta))
+            loss = np.add.reduceat(np.maximum(eta, 0) + np.log1p(small), first)
+            p = np.where(eta >= 0, 1.0, small) / (1 + small)
+        event, last = np.flatnonzero(y == 1), t - 1
+        loss[event] -= gamma[last[event]] + z[event]
+        w = slope(loss)
+        p_w = p * np.repeat(w, t)
+        per = np.bincount(at, weights=p_w, minlength=len(gamma)) - np.bincount(last[event], weights=w[event], minlength=len(gamma))
+        each = np.add.reduceat(p_w, first)
+        each[event] -= w[event]
+        return loss, np.concatenate((per @ self.a, each @ x))
+
+    @staticmethod
+    def _log_products(more: np.ndarray, first: np.ndarray, t: np.ndarray) -> np.ndarray:
+        """Log of the product of each record's terms, all between one and e^3."""
+        if t.max() <= 200:
+            return np.log(np.multiply.reduceat(more, first))
+        return np.add.reduceat(np.log(more), first)
+
     def sums(self, f: np.ndarray, x: np.ndarray, t: np.ndarray, y: np.ndarray, w: np.ndarray, hessian: bool = False) -> np.ndarray:
         """Weighted sums over records: loss, gradient, and upper triangle of the Hessian (logit only)."""
         d, e = len(f), self.a.shape[1]

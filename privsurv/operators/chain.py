@@ -27,7 +27,7 @@ from ..functions.loss import SumOfLogistic
 from .ledger import Ledger
 from .objective import Data
 from .prep import row_ids
-from .private import Release, default_bound, default_prior
+from .private import Release, default_bound, default_prior, run_name
 
 POOL = 5_000_000  # most numbers of a pool that is broadcast
 
@@ -66,15 +66,26 @@ class Config:
         return self.epsilon * (2 if self.temperature == "printed" else 1)
 
 
+def stable_scale(n: float, epsilon: float, v: float, k: int | None = 200, ratio: float = 11.0) -> float:
+    """Factor of the published step lengths at which a preconditioned chain reaches its target; of public quantities only.
+
+    Minibatch noise moves a coefficient by about h n in a step of length h, injected noise by sqrt(2 h / rms gradient).  Their
+    squared ratio starts at ``ratio`` and falls as h does: below a tenth after ten thousand steps.  Published lengths have a ratio
+    that grows with the square of the records; such chains are driven by minibatch noise.
+    """
+    return 2 * ratio * math.sqrt(k or max(n, 1)) / (max(n, 1) ** 2 * epsilon / (2 * v))
+
+
 def bounded_gradient(kernel: SumOfLogistic, f: np.ndarray, x: np.ndarray, t: np.ndarray, y: np.ndarray, v: float, bound: str) -> tuple[np.ndarray, float]:
     """Mean gradient of bounded losses, and their sum."""
-    loss, grad = kernel.gradients(f, x, t, y)
     if bound == "tanh":
-        th = np.tanh(loss / v)
-        return ((1 - th * th)[:, None] * grad).mean(axis=0), float(v * th.sum())
+        loss, grad = kernel.weighted(f, x, t, y, lambda own: 1 - np.tanh(own / v) ** 2)
+        return grad / max(1, len(t)), float(v * np.tanh(loss / v).sum())
     if bound == "clip":
-        return ((loss < v)[:, None] * grad).mean(axis=0), float(np.minimum(loss, v).sum())
-    return grad.mean(axis=0), float(loss.sum())
+        loss, grad = kernel.weighted(f, x, t, y, lambda own: (own < v) * 1.0)
+        return grad / max(1, len(t)), float(np.minimum(loss, v).sum())
+    loss, grad = kernel.weighted(f, x, t, y, np.ones_like)
+    return grad / max(1, len(t)), float(loss.sum())
 
 
 @dataclass
@@ -230,18 +241,24 @@ def sample(d: Data, configs: dict[str, Config]) -> DataFrame:
     return ids.groupBy("chain_id").applyInPandas(run, "chain_id string, step long, last boolean, f array<double>")
 
 
-def bounded_sampler_fit(d: Data, epsilon: float, v: float | None = None, sigma: float | None = None, steps: int = 20_000, ledger: Ledger | None = None, unit: str = "data", **more) -> Release:
-    """One draw from the bounded-loss posterior: the last state of a chain of fixed length.  Never exact, since chains only converge."""
+def bounded_sampler_fit(d: Data, epsilon: float, v: float | None = None, sigma: float | None = None, steps: int = 20_000, ledger: Ledger | None = None, unit: str = "data", seed: int | None = None, step_scale: float | None = None, **more) -> Release:
+    """One draw from the bounded-loss posterior: the last state of a chain of fixed length.  Never exact, since chains only converge.
+
+    ``step_scale`` one gives the published step lengths; by default ``stable_scale`` shortens them.
+    """
     v = default_bound(d.n) if v is None else v
-    seed = more.pop("seed", None)
-    c = Config(epsilon, v, default_prior(v, epsilon) if sigma is None else sigma, steps, burn_in=steps - 1, seed=int(np.random.SeedSequence().entropy % 2**32) if seed is None else seed, **more)
+    scale = stable_scale(d.n, epsilon, v, more.get("k", 200)) if step_scale is None else step_scale
+    prior = default_prior(v, epsilon) if sigma is None else sigma
+    entropy = np.random.SeedSequence().entropy if seed is None else seed
+    c = Config(epsilon, v, prior, steps, burn_in=steps - 1, seed=entropy, step_scale=scale, **more)
     if c.bound == "none":
         raise ValueError("an unbounded loss has no privacy guarantee; run it by sample() as a comparator")
-    run = f"sampler-{seed}"
+    run = run_name("sampler", seed)
     if ledger:
         ledger.charge(run, unit, c.charged, exact=False)
     f = sample(d, {"run": c}).where("last").first()["f"]
-    return Release("bounded_sampler", c.charged, list(f), *d.a.shape, link=d.link, params={"v": v, "sigma": c.sigma, "steps": float(steps)}, exact=False, run_id=run)
+    params = {"v": v, "sigma": c.sigma, "steps": float(steps), "step_scale": scale}
+    return Release("bounded_sampler", c.charged, list(f), *d.a.shape, link=d.link, params=params, exact=False, run_id=run)
 
 
 def minibatch_ids(spark, chain_id: str, seed: int, first: int, steps: int, k: int, n: int, replacement: bool = False) -> DataFrame:

@@ -7,10 +7,12 @@ the number of coefficients and of candidates, never on the number of records.  S
 from __future__ import annotations
 
 from collections.abc import Iterator, Sequence
+from contextlib import contextmanager
 from dataclasses import dataclass, field
 
 import numpy as np
 import pandas as pd
+from pyspark import StorageLevel
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -28,12 +30,41 @@ class Data:
     x: list[str] = field(default_factory=list)
     n: float = 0.0
     passes: int = 0
+    norm: float | None = None  # longest covariate vector
 
     def __post_init__(self) -> None:
         self.x = self.x or covariates(self.df)
+        self._held = self.df.is_cached  # then every pass reads the caller's copy
         self.df = self.df.select("t", "y", "w", *self.x)
         if not self.n:
-            self.n = float(self.df.agg(F.sum("w")).first()[0] or 0)
+            self._measure()
+
+    def _measure(self) -> None:
+        squares = sum((F.col(c) * F.col(c) for c in self.x), F.lit(0.0))
+        n, norm = self.df.agg(F.sum("w"), F.sqrt(F.max(squares))).first()
+        self.n, self.norm = float(n or 0), float(norm or 0)
+
+    @property
+    def radius(self) -> float:
+        """Length of the longest covariate vector."""
+        if self.norm is None:
+            self._measure()
+        return self.norm
+
+    @contextmanager
+    def hold(self) -> Iterator[None]:
+        """Keeps the pruned records while a solver passes over them: scans, windows and joins that made them run once.
+        Partitions of lost executors are made again from the source."""
+        if self._held:
+            yield
+            return
+        self._held = True
+        self.df.persist(StorageLevel.MEMORY_AND_DISK)
+        try:
+            yield
+        finally:
+            self.df.unpersist()
+            self._held = False
 
     @property
     def d(self) -> int:
@@ -100,8 +131,3 @@ def second_many(os: Sequence[Objective], fs: Sequence[np.ndarray]) -> list[tuple
         h = h + h.T - np.diag(np.diag(h))
         out.append((value, grad, h + (o.lam + o.extra) * np.eye(d)))
     return out
-
-
-def persisted(df: DataFrame) -> DataFrame:
-    """Keeps small, often scanned records in executors' memory or on their disks."""
-    return df.persist()

@@ -11,6 +11,7 @@ from collections.abc import Sequence
 
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql.window import WindowSpec
 
 from ..functions import rng
 
@@ -34,8 +35,14 @@ def gap_spells(df: DataFrame, key: str, order: Sequence[str], time: str) -> Data
 
 def next_event_spells(df: DataFrame, key: str, order: Sequence[str], kind: str, opens: str, closes: str, time: str) -> DataFrame:
     """From each opening event to the key's next closing one."""
-    after = Window.partitionBy(key).orderBy(*order).rowsBetween(1, Window.unboundedFollowing)
-    return df.where(F.col(kind).isin(opens, closes)).withColumn("closed", F.min(F.when(F.col(kind) == closes, F.col(time))).over(after)).where(F.col(kind) == opens)
+    closing = F.when(F.col(kind) == closes, F.col(time))
+    return df.where(F.col(kind).isin(opens, closes)).withColumn("closed", F.min(closing).over(later(key, order))).where(F.col(kind) == opens)
+
+
+def later(key: str, order: Sequence[str]) -> WindowSpec:
+    """All later rows of a key.  Runs backwards, so that a running minimum serves: frames that end at the last row are evaluated anew
+    for each row."""
+    return Window.partitionBy(key).orderBy(*[F.col(c).desc() for c in order]).rowsBetween(Window.unboundedPreceding, -1)
 
 
 def discretize(df: DataFrame, q: int, horizon: float | None = None) -> DataFrame:

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import math
+import uuid
 from dataclasses import asdict, dataclass, field
 
 import numpy as np
@@ -14,7 +15,7 @@ from . import noise, sensitivity
 from .fit import ridge
 from .ledger import Ledger
 from .objective import Data, Objective
-from .solver import SOLVERS, newton_many
+from .solver import SOLVERS, gradient_norm, newton_many
 
 
 @dataclass
@@ -43,43 +44,91 @@ def _check(epsilon: float, lam: float | None = None) -> None:
         raise ValueError("this method needs a positive ridge")
 
 
-def output_noise_fit(d: Data, epsilon: float, lam: float, seed: object = None, mode: str = "printed", tolerance: float = 1e-9, fitted: np.ndarray | None = None, ledger: Ledger | None = None, unit: str = "data") -> Release:
-    """Ridge fit plus noise scaled to its sensitivity (inflated by what the stopped solver may be off)."""
+def run_name(method: str, seed: object) -> str:
+    """A name of its own for every release; seeded ones (tests) repeat theirs."""
+    return f"{method}-{uuid.uuid4().hex}" if seed is None else f"{method}-{seed}"
+
+
+def require_ball(d: Data) -> None:
+    """All bounds are for covariates in the unit ball."""
+    if d.radius > 1 + 1e-9:
+        raise ValueError(f"covariates reach a length of {d.radius:.6g}; scale or clip them to the unit ball first (prep.unit_ball, prep.clip_ball)")
+
+
+def _certified(o: Objective, f: np.ndarray, tolerance: float) -> None:
+    """Refuses a fit that is farther from the optimum than the slack that is charged for."""
+    norm = gradient_norm(o, f)
+    if not norm <= tolerance:
+        raise ValueError(f"the solver stopped at a gradient norm of {norm:.3g}, above {tolerance:g}; raise the tolerance or use another solver")
+
+
+def output_noise_fit(d: Data, epsilon: float, lam: float, seed: object = None, mode: str = "printed", tolerance: float = 1e-9, fitted: np.ndarray | None = None, ledger: Ledger | None = None, unit: str = "data", certified: bool = False) -> Release:
+    """Ridge fit plus noise scaled to its sensitivity, and to how far a fit of that gradient norm may be off.
+
+    ``certified`` says that the caller has checked ``fitted`` already (many draws of one fit).
+    """
     sensitivity.require_bounded_gradient(d.link)
     _check(epsilon, lam)
-    run = f"output-{seed}"
+    require_ball(d)
+    run = run_name("output", seed)
     if ledger:
         ledger.charge(run, unit, epsilon)
-    f = ridge(d, lam, tolerance=tolerance) if fitted is None else fitted
+    with d.hold():
+        f = ridge(d, lam, tolerance=tolerance) if fitted is None else fitted
+        if not certified:
+            _certified(Objective(d, lam), f, tolerance)
     t = sensitivity.minimizer(d.a, d.n, lam, mode) + sensitivity.solver_slack(tolerance, lam)
     return Release("output_noise", epsilon, (f + noise.gamma_sphere(d.d, t / epsilon, seed)).tolist(), *d.a.shape, params={"lambda": lam, "sensitivity": t}, run_id=run)
 
 
-def objective_noise_fit(d: Data, epsilon: float, lam: float, seed: object = None, mode: str = "printed", tolerance: float = 1e-9, ledger: Ledger | None = None, unit: str = "data", solver: str = "newton") -> Release:
-    """Ridge fit with a random linear term and, where needed, more ridge.  Data free up to the fit itself."""
+def _masked(f: np.ndarray, ridge_: float, tolerance: float, epsilon: float, seed: object) -> np.ndarray:
+    """A stopped fit with noise that hides how far it is from the optimum: both neighbours are within the slack of theirs."""
+    if not epsilon:
+        return f
+    return f + noise.gamma_sphere(len(f), sensitivity.solver_slack(tolerance, ridge_) / epsilon, None if seed is None else f"{seed}|slack")
+
+
+def objective_noise_fit(d: Data, epsilon: float, lam: float, seed: object = None, mode: str = "printed", tolerance: float = 1e-9, ledger: Ledger | None = None, unit: str = "data", solver: str = "newton", slack_share: float = 1e-3) -> Release:
+    """Ridge fit with a random linear term and, where needed, more ridge.
+
+    The guarantee is for the exact optimum.  ``slack_share`` of the budget pays for noise that covers what the stopped solver may be
+    off; without it (zero, for comparisons) the release says ``exact=False``.
+    """
     sensitivity.require_bounded_gradient(d.link)
     _check(epsilon)
-    run = f"objective-{seed}"
+    require_ball(d)
+    run = run_name("objective", seed)
     if ledger:
-        ledger.charge(run, unit, epsilon)
-    extra, left = sensitivity.extra_ridge(d.a, d.n, lam, epsilon, mode)
+        ledger.charge(run, unit, epsilon, exact=slack_share > 0)
+    extra, left = sensitivity.extra_ridge(d.a, d.n, lam, epsilon * (1 - slack_share), mode)
     b = noise.gamma_sphere(d.d, sensitivity.gradient(d.a) / left, seed)
-    f = SOLVERS[solver](Objective(d, lam, extra, b), tolerance=tolerance)
-    return Release("objective_noise", epsilon, f.tolist(), *d.a.shape, params={"lambda": lam, "extra": extra, "noise_budget": left}, run_id=run)
+    o = Objective(d, lam, extra, b)
+    with d.hold():
+        f = SOLVERS[solver](o, tolerance=tolerance)
+        _certified(o, f, tolerance)
+    f = _masked(f, lam + extra, tolerance, epsilon * slack_share, seed)
+    return Release("objective_noise", epsilon, f.tolist(), *d.a.shape, params={"lambda": lam, "extra": extra, "noise_budget": left}, exact=slack_share > 0, run_id=run)
 
 
-def objective_noise_fits(d: Data, cases: list[tuple[float, object]], lam: float, mode: str = "printed", tolerance: float = 1e-9, start: np.ndarray | None = None) -> list[Release]:
+def objective_noise_fits(d: Data, cases: list[tuple[float, object]], lam: float, mode: str = "printed", tolerance: float = 1e-9, start: np.ndarray | None = None, slack_share: float = 1e-3) -> list[Release]:
     """Objective noise for several (epsilon, seed), fitted together so that they share passes over the records.  For experiments: charges no ledger."""
     sensitivity.require_bounded_gradient(d.link)
+    require_ball(d)
     bound, terms, parts = sensitivity.gradient(d.a), [], {}
     for epsilon, seed in cases:
         _check(epsilon)
         if epsilon not in parts:
-            parts[epsilon] = sensitivity.extra_ridge(d.a, d.n, lam, epsilon, mode)
+            parts[epsilon] = sensitivity.extra_ridge(d.a, d.n, lam, epsilon * (1 - slack_share), mode)
         extra, left = parts[epsilon]
         terms.append(Objective(d, lam, extra, noise.gamma_sphere(d.d, bound / left, seed)))
-    fs = newton_many(terms, start, tolerance)
-    return [Release("objective_noise", e, f.tolist(), *d.a.shape, params={"lambda": lam, "extra": o.extra, "noise_budget": parts[e][1]}, run_id=f"objective-{s}") for (e, s), o, f in zip(cases, terms, fs, strict=True)]
+    with d.hold():
+        fs = newton_many(terms, start, tolerance)
+    out = []
+    for (e, seed), o, f in zip(cases, terms, fs, strict=True):
+        f = _masked(f, lam + o.extra, tolerance, e * slack_share, seed)
+        params = {"lambda": lam, "extra": o.extra, "noise_budget": parts[e][1]}
+        out.append(Release("objective_noise", e, f.tolist(), *d.a.shape, params=params, exact=slack_share > 0, run_id=run_name("objective", seed)))
+    return out
 
 
 def default_bound(n: float) -> float:

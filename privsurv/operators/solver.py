@@ -89,7 +89,8 @@ def newton(o: Objective, f0: np.ndarray | None = None, tolerance: float = 1e-9,
 
 
 def newton_many(os: list[Objective], f0: np.ndarray | None = None, tolerance: float = 1e-9, most: int = 100) -> list[np.ndarray]:
-    """Newton for several objectives on the same data: all that are not done share each pass.  Steps that do not descend are halved."""
+    """Newton for several objectives on the same data: all that are not done share each pass.  Steps that do not descend are halved.
+    Raises if one of them does not reach the tolerance, since noise is calibrated to it."""
     if not os:
         return []
     data = os[0].data
@@ -109,6 +110,9 @@ def newton_many(os: list[Objective], f0: np.ndarray | None = None, tolerance: fl
                 fs[i], state[i], scale[i] = new, there, 1.0
             else:
                 scale[i] /= 2
+    worst = max(float(np.linalg.norm(x[1])) for x in state)
+    if not worst <= tolerance:
+        raise ValueError(f"the solver stopped at a gradient norm of {worst:.3g}, above {tolerance:g}")
     return fs
 
 
@@ -122,9 +126,13 @@ def descend(o: Objective, step: float, iterations: int, f0: np.ndarray | None =
     return out
 
 
+def gradient_norm(o: Objective, f: np.ndarray) -> float:
+    return float(np.linalg.norm(o.values([f])[0][1]))
+
+
 def certificate(o: Objective, f: np.ndarray) -> float:
     """Upper bound on the distance from the optimum, from strong convexity."""
-    return float(np.linalg.norm(o.values([f])[0][1])) / (o.lam + o.extra)
+    return gradient_norm(o, f) / (o.lam + o.extra)
 
 
 SOLVERS = {"bfgs": bfgs, "lbfgs": lbfgs, "newton": newton}

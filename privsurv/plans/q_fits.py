@@ -70,12 +70,16 @@ def gd_trajectory(spark, sf_dir):
     return spark.createDataFrame(rows, "k long, f1 double, f2 double, f3 double").select("k", *[R(F.col(f"f{i}"), 8).alias(f"f{i}") for i in (1, 2, 3)])
 
 
-@query("SELECT true AS close FROM (SELECT 1)")
-def certificate_s4(spark, sf_dir):
-    """Strong convexity bounds how far a fit is from the optimum."""
-    d = fit.data(W.frame(spark, sf_dir, "s4", 20), 20)
-    o = Objective(d, 0.01)
-    return spark.createDataFrame([(bool(solver.certificate(o, solver.newton(o, tolerance=1e-7)) < 1e-4),)], "close boolean")
+@query(_descent(400, 0.4) + """, p AS (SELECT f1 + 0.3 AS f1, f2 - 0.2 AS f2, f3 + 0.1 AS f3 FROM d WHERE k = 400),
+h AS (SELECT (c.n / (1 + exp(-(p.f1 + p.f2 * c.u + p.f3 * c.x1))) - c.m) AS g, c.u, c.x1, p.* FROM cells c, p),
+g AS (SELECT sum(g) / any_value(n) + 0.1 * any_value(f1) AS g1, sum(g * u) / any_value(n) + 0.1 * any_value(f2) AS g2, sum(g * x1) / any_value(n) + 0.1 * any_value(f3) AS g3 FROM h, size)
+SELECT round(sqrt(g1 * g1 + g2 * g2 + g3 * g3) / 0.1, 3) AS bound, sqrt(0.09 + 0.04 + 0.01) <= sqrt(g1 * g1 + g2 * g2 + g3 * g3) / 0.1 AS covers FROM g""")
+def certificate_s5(spark, sf_dir):
+    """Strong convexity bounds how far a point is from the optimum, here one that was moved away from it."""
+    o = _linear(spark, sf_dir)
+    f, away = solver.newton(o), np.array([0.3, -0.2, 0.1])
+    bound = solver.certificate(o, f + away)
+    return spark.createDataFrame([(bound, bool(np.linalg.norm(away) <= bound))], "bound double, covers boolean").select(F.round("bound", 3).alias("bound"), "covers")
 
 
 @query(_descent(500, 0.5, 0.1, linear=(3.0, -2.0, 1.0)) + " " + _FINAL + "500")
@@ -117,7 +121,45 @@ def objective_noise_replay(spark, sf_dir):
     """Objective noise with digest noise; here the ridge suffices and none is added."""
     from ..operators.private import objective_noise_fit
 
-    return _row(spark, objective_noise_fit(_linear(spark, sf_dir, 0.5).data, 3.2, 0.5, seed="replay").f)
+    return _row(spark, objective_noise_fit(_linear(spark, sf_dir, 0.5).data, 3.2, 0.5, seed="replay", slack_share=0).f)
+
+
+POINTS = ((0.0, 0.0, 0.0), (-2.0, 1.0, 0.5), (1.5, -3.0, 2.0), (-6.0, 4.0, -4.0))
+
+
+def _ratio_sql() -> str:
+    """Log density ratio of objective noise at some points, for S5 and a neighbour whose first record ends the other way."""
+    points = " UNION ALL ".join(f"SELECT {i} AS point, {a}::DOUBLE AS f1, {b}::DOUBLE AS f2, {c}::DOUBLE AS f3" for i, (a, b, c) in enumerate(POINTS))
+    cells = f"""r0 AS (SELECT subject_id, x1, greatest(1, least(8, ceil(duration / 8.0 * 8)))::INT AS t, 2 * event - 1 AS y FROM ({Q.SPELLS['s5']})),
+    r AS (SELECT 0 AS side, * FROM r0 UNION ALL SELECT 1, subject_id, x1, t, CASE WHEN subject_id = (SELECT min(subject_id) FROM r0) THEN -y ELSE y END FROM r0),
+    c AS (SELECT side, s / 8.0 AS u, x1, count(*)::DOUBLE AS n, sum((t = s AND y = 1)::INT)::DOUBLE AS m FROM r JOIN range(1, 9) g(s) ON s <= t GROUP BY ALL),
+    size AS (SELECT count(*)::DOUBLE AS n FROM r0)"""
+    h = lambda v: f"sum(c.n * p * (1 - p) * {v})"
+    return f"""WITH {cells}, pt AS ({points}),
+    e AS (SELECT point, side, f1, f2, f3, u, x1, n, m, 1 / (1 + exp(-(f1 + f2 * u + f3 * x1))) AS p FROM pt, c),
+    k AS (SELECT point, side, any_value(f1) AS f1, any_value(f2) AS f2, any_value(f3) AS f3, sum(c.n * p - m) AS g1, sum((c.n * p - m) * u) AS g2, sum((c.n * p - m) * x1) AS g3,
+      {h('1')} AS a, {h('u')} AS b, {h('x1')} AS d, {h('u * u')} AS e, {h('u * x1')} AS f, {h('x1 * x1')} AS i FROM e c GROUP BY ALL),
+    m AS (SELECT point, side, sqrt(power(g1 + l * f1, 2) + power(g2 + l * f2, 2) + power(g3 + l * f3, 2)) AS b,
+      ln((a + l) * ((e + l) * (i + l) - f * f) - b * (b * (i + l) - f * d) + d * (b * f - (e + l) * d)) AS logdet FROM (SELECT *, (SELECT n FROM size) * 0.5 AS l FROM k)),
+    {_B8}, v AS (SELECT max(g) / {_LEFT_S5} AS scale FROM sn)
+    SELECT x.point, round((z.b - x.b) / (SELECT scale FROM v) + x.logdet - z.logdet, 5) + 0.0 AS log_ratio, abs((z.b - x.b) / (SELECT scale FROM v) + x.logdet - z.logdet) <= 3.2 AS within
+    FROM m x JOIN m z ON x.point = z.point WHERE x.side = 0 AND z.side = 1"""
+
+
+@query(_ratio_sql())
+def objective_ratio_audit(spark, sf_dir):
+    """Objective noise on neighbours: log density ratio of the release at some points, with the change of variables, at epsilon 3.2."""
+    from ..operators import audit, sensitivity
+
+    df = prep.discretize(W.dialogues(spark, sf_dir), 8, 8.0).select("subject_id", "t", "y", "x1", F.lit(1).cast("long").alias("w"))
+    first = df.agg(F.min("subject_id")).first()[0]
+    new = df.where(F.col("subject_id") == first).withColumn("y", -F.col("y"))
+    a = basis.matrix(8, 2)
+    one, two = (Data(prep.compress(x, ["x1"]), a) for x in (df, audit.swapped(df, first, new)))
+    extra, left = sensitivity.extra_ridge(a, one.n, 0.5, 3.2)
+    ratios = audit.objective_ratios(Objective(one, 0.5, extra), Objective(two, 0.5, extra), sensitivity.gradient(a) / left, np.array(POINTS))
+    rows = [(i, float(r), bool(abs(r) <= 3.2)) for i, r in enumerate(ratios)]
+    return spark.createDataFrame(rows, "point int, log_ratio double, within boolean").select("point", R(F.col("log_ratio"), 5).alias("log_ratio"), "within")
 
 
 def _plain_logistic(spark, sf_dir):
@@ -156,9 +198,9 @@ def logistic_objective_replay(spark, sf_dir):
 @query()
 def link_fits(spark, sf_dir):
     """The three links on dialogues: like fits where hazards are small."""
-    rows, df = [], _records(spark, sf_dir).coalesce(1).persist()
+    rows = []
     for link in ("logit", "cloglog", "probit"):
-        f = fit.ridge(fit.data(df, 8, link=link), 0.01, tolerance=1e-6)
+        f = fit.ridge(fit.data(_records(spark, sf_dir), 8, link=link), 0.01, tolerance=1e-6)
         rows.append((link, *[round(float(v), 4) for v in f]))
     return spark.createDataFrame(rows, "link string, " + ", ".join(f"f{i + 1} double" for i in range(6)))
 
@@ -191,6 +233,20 @@ def cox_loglik_efron(spark, sf_dir):
     return spark.createDataFrame([(round(v, 5),)], "loglik double")
 
 
+_RAW = f"""WITH z AS (SELECT duration AS t, 2 * event - 1 AS y, 0.4 * x1 / 1e4 - 0.3 * x2 + 0.2 * x3 / 5e5 AS z FROM ({Q.SPELLS['s2']})),
+e AS (SELECT t, sum(z) AS bx, sum(exp(z)) AS own, count(*) AS m FROM z WHERE y = 1 GROUP BY t), r AS (SELECT e.t, sum(exp(b.z)) AS r0 FROM e JOIN z b ON b.t >= e.t GROUP BY 1),
+s AS (SELECT e.t, any_value(bx) AS bx, any_value(m) * ln(any_value(r0)) AS breslow, sum(ln(r0 - k * own / m)) AS efron FROM e JOIN r USING (t), range(0, 1000) g(k) WHERE k < m GROUP BY 1)"""
+
+
+@query(_RAW + " SELECT round(sum(bx) - sum(breslow), 5) AS breslow, round(sum(bx) - sum(efron), 5) AS efron FROM s")
+def cox_loglik_raw(spark, sf_dir):
+    """On durations as they are, not cut into intervals."""
+    scaled = [F.col("x1") / 1e4, F.col("x2"), F.col("x3") / 5e5]
+    df = W.SPELLS["s2"](spark, sf_dir).select("duration", (2 * F.col("event") - 1).alias("y"), *[c.alias(f"x{i + 1}") for i, c in enumerate(scaled)], F.lit(1).alias("w"))
+    values = [cox.partial_likelihood(df, S, _B, ties, "duration")[0] for ties in ("breslow", "efron")]
+    return spark.createDataFrame([tuple(round(v, 5) for v in values)], "breslow double, efron double")
+
+
 @query(f"""WITH {Q.records('s5')}, z AS (SELECT *, 0.4 * x1 - 0.3 * x2 + 0.2 * x3 AS z FROM records)
 SELECT a.subject_id, count(*) AS at_risk, round(sum(exp(b.z)), 6) AS weight FROM z a JOIN z b ON b.t >= a.t WHERE a.y = 1 GROUP BY 1""")
 def risk_set_bruteforce(spark, sf_dir):
@@ -253,8 +309,8 @@ def cox_vs_discrete(spark, sf_dir):
     rows = []
     for name in ("s1", "s2", "s3", "s4"):
         df = W.frame(spark, sf_dir, name, scale="zscore_radius")
-        df = prep.compress(df, prep.covariates(df)).coalesce(8).persist()
-        f = fit.mle(fit.data(df, 200))
+        df = prep.compress(df, prep.covariates(df)).persist()
+        f, _ = fit.optimum(fit.data(df, 200))
         for ties in ("breslow", "efron"):
             rows.append((name, ties, f[3:].tolist(), cox.fit(df, ties).tolist()))
         df.unpersist()

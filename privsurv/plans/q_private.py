@@ -112,11 +112,12 @@ def gamma_noise_replay(spark, sf_dir):
     return d.select("run", "i", F.round(length, 8).alias("length"), R(length * F.col("g") / F.sqrt(F.sum(F.col("g") * F.col("g")).over(own)), 8).alias("b"))
 
 
-@query(_NOISE + " SELECT run, round(max(length), 8) AS length, round(sqrt(sum(length * way * length * way)), 8) AS norm FROM t GROUP BY run")
+@query(_NOISE + " SELECT run, round(sqrt(sum(length * way * length * way)), 8) AS norm, round(max(CASE WHEN i = 0 THEN length * way END), 8) + 0.0 AS first, round(max(CASE WHEN i = 5 THEN length * way END), 8) + 0.0 AS last FROM t GROUP BY run")
 def noise_driver_replay(spark, sf_dir):
     """The driver's replay of the same draws."""
-    rows = [(r, float(np.linalg.norm(noise.gamma_sphere(6, 0.25, f"9|{r}")))) for r in range(50)]
-    return spark.createDataFrame(rows, "run long, length double").select("run", F.round("length", 8).alias("length"), F.round("length", 8).alias("norm"))
+    drawn = [noise.gamma_sphere(6, 0.25, f"9|{r}") for r in range(50)]
+    rows = [(r, float(np.linalg.norm(b)), float(b[0]), float(b[5])) for r, b in enumerate(drawn)]
+    return spark.createDataFrame(rows, "run long, norm double, first double, last double").select("run", *[R(F.col(c), 8).alias(c) for c in ("norm", "first", "last")])
 
 
 @query(f"WITH d AS (SELECT i, {' + '.join('-ln(' + _u(chr(39) + 'm|' + chr(39), 'i', chr(39) + f'|{j}' + chr(39)) + ')' for j in range(6))} AS g FROM range(0, 4000) r(i)) SELECT count(*) AS n, round(avg(g), 6) AS mean, round(var_pop(g), 5) AS variance, abs(avg(g) - 6) < 0.2 AS near FROM d")
@@ -189,7 +190,8 @@ def ledger_total(spark, sf_dir):
     return Ledger.total(led.frame()).select("unit", F.round("spent", 6).alias("spent"), "runs", "exact")
 
 
-@query("SELECT 1 AS left_only, 1 AS right_only FROM (SELECT 1)")
+@query(f"""WITH {Q.records('s5')}, a AS (SELECT subject_id, t, y, x1, x2, x3 FROM records), b AS (SELECT subject_id, t, CASE WHEN subject_id = (SELECT min(subject_id) FROM a) THEN -y ELSE y END AS y, x1, x2, x3 FROM a)
+SELECT (SELECT count(*) FROM (SELECT * FROM a EXCEPT ALL SELECT * FROM b))::INT AS left_only, (SELECT count(*) FROM (SELECT * FROM b EXCEPT ALL SELECT * FROM a))::INT AS right_only""")
 def neighbor_audit(spark, sf_dir):
     """A neighbour differs in one record on either side."""
     df = _records(spark, sf_dir).drop("unit_id")
@@ -199,10 +201,22 @@ def neighbor_audit(spark, sf_dir):
     return out.select(F.col("left").cast("int").alias("left_only"), F.col("right").cast("int").alias("right_only"))
 
 
-@query("SELECT q, true AS within FROM (VALUES (10), (20)) v(q)")
+def _worst_sql(q: int) -> str:
+    """At zero coefficients, over all pairs of records with opposite unit covariates: largest gradient difference over its bound."""
+    return f"""SELECT {q} AS q, round(max(sqrt(power(a.g1 - b.g1, 2) + power(a.g2 - b.g2, 2) + power(a.g3 - b.g3, 2) + power(a.g4 - b.g4, 2))) / (SELECT sum(sqrt(4 + s2)) + max(sqrt(4 * s2 + 4)) FROM b{q}n), 6) AS ratio
+    FROM (SELECT * FROM g{q} WHERE x = 1) a, (SELECT * FROM g{q} WHERE x = -1) b"""
+
+
+def _ends_sql(q: int) -> str:
+    terms = ", ".join(f"sum(0.5 * a{i}) - max(CASE WHEN s = t AND y = 1 THEN a{i} ELSE -1e9 END) * (y = 1)::INT AS g{i}" for i in (1, 2, 3))
+    return f"g{q} AS (SELECT t, y, x, {terms}, x * (0.5 * t - (y = 1)::INT) AS g4 FROM b{q}, range(1, {q + 1}) r(t), (VALUES (1), (-1)) w(y), (VALUES (1), (-1)) z(x) WHERE s <= t GROUP BY t, y, x)"
+
+
+@query(f"WITH {_s2(10, 3, 'b10')}, {_s2(20, 3, 'b20')}, {_ends_sql(10)}, {_ends_sql(20)} {_worst_sql(10)} UNION ALL {_worst_sql(20)}")
 def gradient_bound_audit(spark, sf_dir):
-    rows = [(q, audit.gradient_looseness(basis.matrix(q, 3), 3, 2000) <= 1) for q in (10, 20)]
-    return spark.createDataFrame(rows, "q int, within boolean")
+    """How much of the gradient bound all pairs of records use at zero coefficients; never more than one."""
+    rows = [(q, audit.gradient_use(basis.matrix(q, 3))) for q in (10, 20)]
+    return spark.createDataFrame(rows, "q int, ratio double").select("q", F.round("ratio", 6).alias("ratio"))
 
 
 @query("SELECT true AS within_budget, true AS moved_less_than_bound")

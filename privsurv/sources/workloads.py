@@ -65,11 +65,9 @@ def next_order(spark: SparkSession, sf_dir: str, k: int) -> DataFrame:
 
 def signups(spark: SparkSession, sf_dir: str, window: float = 6.0) -> DataFrame:
     """S4: signup to the user's next purchase, censored after ``window`` days or at the end of the data."""
-    events = table(spark, sf_dir, "events").where("event_type in ('signup', 'purchase')")
     end = table(spark, sf_dir, "events", ["ts"]).agg(F.max("ts").alias("data_end"))
-    after = Window.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(1, Window.unboundedFollowing)
-    nxt = events.withColumn("bought", F.min(F.when(F.col("event_type") == "purchase", F.col("ts"))).over(after)).where("event_type = 'signup'")
-    wait = days(F.col("ts"), F.col("bought"))
+    nxt = prep.next_event_spells(table(spark, sf_dir, "events"), "user_id", ["ts", "event_id"], "event_type", "signup", "purchase", "ts")
+    wait = days(F.col("ts"), F.col("closed"))
     event = F.coalesce(wait <= window, F.lit(False))
     left = F.least(F.lit(window), days(F.col("ts"), F.col("data_end")))
     return nxt.crossJoin(F.broadcast(end)).select(  # one row

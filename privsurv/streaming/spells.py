@@ -88,12 +88,13 @@ def interval_join(events: DataFrame, days: int = 6, delay: str = "1 day") -> Dat
     return left.join(right, on).select("signup_id", "purchase_id", "user_id")
 
 
-def refit(stream: DataFrame, fit, ledger, unit: str, epsilon: float):
-    """A private fit per batch: each is charged before it runs."""
+def refit(stream: DataFrame, fit, ledger, unit: str, epsilon: float, name: str = "batch"):
+    """A private fit per batch: each is charged before it runs, and once if it is retried (a restarted query keeps batch numbers
+    and, with a ledger that has a path, the charge)."""
 
     def one(batch: DataFrame, number: int) -> None:
         if not batch.isEmpty():
-            ledger.charge(f"batch-{number}", unit, epsilon)
+            ledger.charge(f"{name}-{number}", unit, epsilon)
             fit(batch, number)
 
     return stream.writeStream.foreachBatch(one)

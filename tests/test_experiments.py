@@ -36,7 +36,7 @@ def test_ridge_sweep_has_all_workloads(spark, sf):
 
 def test_cox_comparison_has_all_workloads_and_all_their_covariates(spark, sf, monkeypatch):
     monkeypatch.setattr(q_fits.cox, "fit", lambda df, ties: np.ones(len(prep.covariates(df))))
-    monkeypatch.setattr(q_fits.fit, "mle", lambda d: np.ones(d.d))
+    monkeypatch.setattr(q_fits.fit, "optimum", lambda d: (np.ones(d.d), 0.0))
     rows = QUERIES["cox_vs_discrete"](spark, sf).collect()
     assert {(r["dataset"], r["ties"]) for r in rows} == {(name, ties) for name in ALL for ties in ("breslow", "efron")}
     assert all(len(r["cox"]) == len(r["discrete"]) == (8 if r["dataset"] == "s1" else 3) for r in rows)
@@ -46,7 +46,7 @@ def test_chain_queries_run_both_workloads_at_their_own_intervals(spark, sf, monk
     seen, whole = [], chain.sample
     short = lambda c: chain.variants(c, steps=6, burn_in=2, every=1)
     monkeypatch.setattr(chain, "sample", lambda d, runs: (seen.append(d.a.shape[0]), whole(d, {k: short(c) for k, c in runs.items()}))[1])
-    monkeypatch.setattr(q_fits.fit, "mle", lambda d: np.ones(d.d))
+    monkeypatch.setattr(q_fits.fit, "optimum", lambda d: (np.ones(d.d), 0.0))
     for name in ("sampler_release", "density_s2", "mre_epochs_s4", "ablation_precondition"):
         assert {r["dataset"] for r in QUERIES[name](spark, sf).select("dataset").distinct().collect()} == {"s2", "s4"}, name
     assert seen == [200] * 12

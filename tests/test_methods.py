@@ -167,6 +167,67 @@ def test_cox_against_risk_sets_written_out(spark, records):
     assert abs(cox.partial_likelihood(df, ["x1", "x2", "x3"], beta, "efron")[0] - efron) < 1e-8
 
 
+def test_cox_paths_agree_on_value_gradient_and_hessian(spark, records):
+    """The numpy path of intervals and the column path of raw times, with few and with many ties."""
+    beta, x = [0.5, -0.2, 0.1], ["x1", "x2", "x3"]
+    for df in (records, records.withColumn("t", F.ceil(F.col("t") / 5).cast("int"))):
+        for ties in ("breslow", "efron"):
+            a = cox.partial_likelihood(df, x, beta, ties)
+            b = cox.partial_likelihood(df.withColumn("raw", F.col("t") * 1.5), x, beta, ties, "raw")
+            assert all(np.allclose(u, v, rtol=1e-8, atol=1e-7) for u, v in zip(a, b, strict=True))
+            up, down = (cox.partial_likelihood(df, x, np.array(beta) + s * 1e-4, ties)[0] for s in (np.eye(3)[0], -np.eye(3)[0]))
+            assert abs((up - down) / 2e-4 - a[1][0]) < 1e-3
+
+
+def test_tied_events_in_closed_form():
+    m, r0, c = np.array([40.0, 500.0, 33.0]), np.array([1000.0, 500.5, 1e6]), np.array([1.3, 1.0, 0.7])
+    far = lambda few, many: many
+    got = cox._efron(m, r0, c * m, np.log, (lambda *a: (None,) * 3, far))
+    for i in range(3):
+        left = r0[i] - np.arange(int(m[i])) * c[i]
+        assert np.allclose([g[i] for g in got], [np.log(left).sum(), (1 / left).sum(), (1 / left**2).sum()], rtol=1e-6)
+
+
+def test_releases_refuse_covariates_outside_the_ball_and_stopped_solvers(spark, records):
+    far = Data(records.withColumn("x1", F.col("x1") + 50), basis.matrix(20, 3))
+    for release in (private.output_noise_fit, private.objective_noise_fit):
+        with pytest.raises(ValueError, match="unit ball"):
+            release(far, 1.0, 0.1)
+    d = Data(records, basis.matrix(20, 3))
+    with pytest.raises(ValueError, match="gradient norm"):
+        private.output_noise_fit(d, 1.0, 0.1, fitted=np.ones(d.d))
+    a, b = (private.output_noise_fit(d, 1.0, 0.1) for _ in range(2))
+    assert a.run_id != b.run_id and a.f != b.f
+
+
+def test_ledger_table_survives_and_a_retried_run_is_charged_once(spark, tmp_path):
+    path = str(tmp_path / "ledger")
+    led = Ledger(spark, 1.0, path=path)
+    led.charge("batch-0", "u", 0.6)
+    again = Ledger(spark, 1.0, path=path)
+    again.charge("batch-0", "u", 0.6)
+    assert again.spent("u") == 0.6 and Ledger(spark, 1.0, path=path).spent("u") == 0.6
+    with pytest.raises(Overspent):
+        again.charge("batch-1", "u", 0.6)
+    with pytest.raises(ValueError):
+        again.charge("batch-0", "u", 0.5)
+
+
+def test_likelihood_without_a_maximiser_is_refused(spark):
+    rows = [(i, 2, 1 if i % 2 else -1, 1.0 if i % 2 else -1.0, 1) for i in range(40)]
+    d = Data(spark.createDataFrame(rows, "subject_id int, t int, y int, x1 double, w int"), np.ones((4, 1)))
+    with pytest.raises(fit.Unbounded):
+        fit.mle(d)
+    assert fit.optimum(d)[1] > 0
+
+
+def test_a_fit_scans_its_source_once(spark, records):
+    d = Data(records, basis.matrix(20, 3))
+    with d.hold():
+        plan = d.df.where("t > 0")._jdf.queryExecution().executedPlan().toString()
+    assert "InMemoryTableScan" in plan
+
+
 def test_discrete_effects_are_near_cox(records):
     d = Data(records, basis.matrix(20, 3), "cloglog")
     b, star = fit.mle(d, tolerance=1e-6)[3:], cox.fit(records, "efron")

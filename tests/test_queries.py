@@ -9,7 +9,7 @@ from privsurv.plans.all_queries import ORACLES, QUERIES
 
 
 #: The smallest tables separate these perfectly.
-LARGER = {"cox_fit_1d", "mle_s5"}
+LARGER = {"cox_fit_1d", "mle_s5", "prefetch_join", "budget_order_s4", "density_vs_grid", "objective_ratio_audit"}
 
 
 def connect(folder):
