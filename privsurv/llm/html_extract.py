@@ -17,6 +17,7 @@ from __future__ import annotations
 
 import random
 import re
+from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
 from functools import lru_cache
@@ -34,6 +35,7 @@ from .common import lean
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 BLOCKS = frozenset("address article aside blockquote body button caption center dd details dialog div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 head header hr html iframe legend li main menu nav object ol optgroup option p pre section select summary table tbody td textarea tfoot th thead title tr ul".split())
 SILENT = frozenset("script style noscript template head title iframe object svg math canvas audio video select datalist".split())
+IN_HEAD = frozenset("base link meta title style script noscript template".split())
 TAGS = tuple("a article aside blockquote body button div dl figure footer form h1 h2 h3 header label li main nav ol p pre section span table td ul dialog details menu address fieldset figcaption".split())
 #: An opening tag ends these open elements, unless one of the boundaries comes first.
 ENDS = {"li": {"li"}, "p": {"p"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}, "option": {"option"}}
@@ -45,12 +47,13 @@ HIDDEN = 24
 
 
 class Page(HTMLParser):
-    """Blocks of a page: path (tags with their names), text, characters inside links."""
+    """Blocks of a page: path (distinct open tags with their names), text, characters inside links."""
 
     def __init__(self) -> None:
         super().__init__(convert_charrefs=True)
         self.blocks: list[tuple[tuple[str, ...], str, int]] = []
         self.stack: list[tuple[str, str]] = []
+        self.steps: Counter[str] = Counter()  # of the stack
         self.held: list[str] = []
         self.links = self.quiet = self.inside = 0
 
@@ -58,14 +61,16 @@ class Page(HTMLParser):
         if self.held:
             text = " ".join("".join(self.held).split())
             if text:
-                path = self.stack if len(self.stack) <= 24 else self.stack[:12] + self.stack[-12:]
-                self.blocks.append((tuple(f"{t} {n}" if n else t for t, n in path), text, self.links))
+                self.blocks.append((tuple(sorted(self.steps)), text, self.links))
             self.held, self.links = [], 0
 
     def pop(self, at: int) -> None:
-        for tag, _ in self.stack[at:]:
+        for tag, step in self.stack[at:]:
             self.quiet -= tag in SILENT
             self.inside -= tag == "a"
+            self.steps[step] -= 1
+            if not self.steps[step]:
+                del self.steps[step]
         del self.stack[at:]
 
     def handle_starttag(self, tag: str, attrs: list[tuple[str, str | None]]) -> None:
@@ -85,10 +90,14 @@ class Page(HTMLParser):
                         break
             if tag == "body":
                 self.pop(0)  # a head that was not closed
+        if self.stack and self.stack[-1][0] == "head" and tag not in IN_HEAD:
+            self.pop(len(self.stack) - 1)  # its end tag may be left out
         if tag in VOID:
             return
         name = " ".join(v for k, v in attrs if v and k in ("class", "id", "role")).lower()
-        self.stack.append((tag, name[:200]))
+        step = f"{tag} {name}" if name else tag
+        self.stack.append((tag, step))
+        self.steps[step] += 1
         self.quiet += tag in SILENT
         self.inside += tag == "a"
 

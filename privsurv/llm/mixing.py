@@ -16,6 +16,7 @@ others; with one domain or none, all posteriors are one for it and rates scale t
 
 from __future__ import annotations
 
+import warnings
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
@@ -149,8 +150,13 @@ class Mix:
     targets: np.ndarray
     totals: np.ndarray
 
+    @property
+    def gap(self) -> float:
+        """Largest distance of a domain's expected tokens from its target, as a share of all target tokens."""
+        return float(np.abs(self.totals - self.targets).max(initial=0.0) / max(1e-300, self.targets.sum()))
 
-def solve(table: DataFrame, k: int, targets, least: float = 0.0, steps: int = 40, tolerance: float = 1e-5) -> tuple[list[np.ndarray], float, np.ndarray, np.ndarray]:
+
+def solve(table: DataFrame, k: int, targets, least: float = 0.0, steps: int = 200, tolerance: float = 1e-5) -> tuple[list[np.ndarray], float, np.ndarray, np.ndarray]:
     """``table``: n, p.  ``targets`` makes token totals into target totals.  Returns residuals, step size, targets, totals reached."""
     pairs = [F.sum(F.col("n") * F.get("p", i) * F.get("p", j)) for i in range(k) for j in range(i, k)]
     first = table.agg(F.sum("n"), *[F.sum(F.col("n") * F.get("p", i)) for i in range(k)], *pairs).first()
@@ -186,10 +192,14 @@ def solve(table: DataFrame, k: int, targets, least: float = 0.0, steps: int = 40
     for _ in range(steps):
         residual = (sums - want) / total
         history.append(metric @ residual)
-        sums = totals(0)
-        if np.abs(sums - want).max() <= tolerance * want.sum():
+        before, sums = sums, totals(0)
+        # Targets are met, or (where no rates meet them) steps change nothing any more.
+        if min(np.abs(sums - want).max(), np.abs(sums - before).max()) <= tolerance * want.sum():
             break
-    return history, size, want, totals(1)
+    reached = totals(1)
+    if np.abs(reached - want).max() > 0.01 * want.sum():
+        warnings.warn(f"no rates of at least {least:g} were found that meet the targets: reached {reached.round()}, wanted {want.round()}", stacklevel=2)
+    return history, size, want, reached
 
 
 def fit_mix(docs: DataFrame, labelled: DataFrame, weights: dict[str, float], budget: float | str | None = None, least: float = 0.0, c: Classifier | None = None) -> tuple[Mix, DataFrame]:

@@ -253,15 +253,17 @@ def pieces(docs: DataFrame, path: str, limit: int = LIMIT) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInPandas(lean(run), "doc_id long, piece int, start long, length long, ids_crc32 long")
 
 
-def knapsack(sizes: list[int], worth: np.ndarray, limit: int, most: list[int]) -> np.ndarray:
-    """The most valuable multiset of sizes (each at most limit // size times)."""
+def knapsack(sizes: list[int], worth: np.ndarray, limit: int) -> np.ndarray:
+    """The most valuable multiset of sizes that fits the limit, on the grid of single tokens."""
     best, took = np.zeros(limit + 1), np.full(limit + 1, -1)
-    order = [i for i in range(len(sizes)) if worth[i] > 1e-12]
-    for i in order:
+    for i in (i for i in range(len(sizes)) if worth[i] > 1e-12):
         s, v = sizes[i], worth[i]
-        for at in range(s, limit + 1):
-            if best[at - s] + v > best[at] + 1e-12:
-                best[at], took[at] = best[at - s] + v, i
+        for at in range(s, limit + 1, s):  # values a size apart depend on each other, those between don't
+            there = best[at : at + s]
+            tried = best[at - s : at - s + len(there)] + v
+            better = tried > there + 1e-12
+            there[better] = tried[better]
+            took[at : at + s][better] = i
     out, at = np.zeros(len(sizes), dtype=np.int64), int(np.argmax(best))
     while at > 0 and took[at] >= 0:
         out[took[at]] += 1
@@ -269,19 +271,19 @@ def knapsack(sizes: list[int], worth: np.ndarray, limit: int, most: list[int]) -
     return out
 
 
-def configurations(sizes: list[int], counts: list[int], limit: int, rounds: int = 300) -> list[tuple[np.ndarray, int]]:
-    """Configurations and how often each is used: the linear programme's solution, rounded down."""
+def configurations(sizes: list[int], counts: list[int], limit: int, rounds: int = 5000) -> list[tuple[np.ndarray, int]]:
+    """Configurations and how often each is used: the linear programme's solution, rounded down.
+
+    Columns are added until none improves the programme.  ``rounds`` only guards against cycling among equal solutions: any basis
+    gives a valid plan, and ``plan`` compares it with best fit.
+    """
     n = len(sizes)
     need = np.asarray(counts, dtype=float)
-    unit = max(1, int(np.gcd.reduce(np.asarray(sizes + [limit]))))
-    coarse = max(unit, limit // 1024)  # the knapsack's grid; sizes are rounded up to it
-    grid = [-(-s // coarse) for s in sizes]
     basis = np.diag([float(limit // s) for s in sizes])
-    level = need / np.diag(basis)
     for _ in range(rounds):
         inverse = np.linalg.inv(basis)
         price = np.maximum(np.ones(n) @ inverse, 0)
-        column = knapsack(grid, price, limit // coarse, counts).astype(float)
+        column = knapsack(sizes, price, limit).astype(float)
         if price @ column <= 1 + 1e-7:
             break
         level, step = inverse @ need, inverse @ column
@@ -308,7 +310,7 @@ class _Ranks:
 
 
 def plan(counts: dict[int, int], limit: int = LIMIT, groups: int = GROUPS, long: int = LONG) -> tuple[list[Interval], int]:
-    """The better of two plans: with configurations (priced on a grid, so that some exact fits are missed), and by best fit alone."""
+    """The better of two plans: with configurations, and by best fit alone (rounding up to group sizes can miss exact fits)."""
     return min(_plan(counts, limit, groups, long), _plan(counts, limit, groups, limit), key=lambda x: x[1])
 
 

@@ -248,37 +248,34 @@ def score(m: Model, texts: list[str], spans: bool = False) -> tuple[np.ndarray,
     for a, b in S.batches([len(t) for t in texts], S.BLOCK):
         raws = [S.lower(t).encode("utf-8", "surrogatepass") for t in texts[a:b]]
         split = list(S.pieces(raws[0])) if b - a == 1 else None
-        es, first = [], None
+        es, places, first, at = [], [], None, 0
         for part in split or [None]:
             w = S.words(raws if part is None else [part])
             es.append(emissions(m, features(w)))
-            first = w.first
+            places.append(np.stack((w.starts, w.ends)) + at)
+            first, at = w.first, at + len(part or b"")
         e = np.concatenate(es)
         first = np.array([0, len(e)]) if split else first
         p, *_ = marginals(m, e, first)
         out[a:b] = 1 / (1 + np.exp(-np.clip(summary(p, first) @ m.doc, -30, 30)))
-        if spans:
-            places = np.concatenate([np.stack((w.starts, w.ends)) + off for w, off in _placed(raws, split)], axis=1)
-            begins = np.cumsum([0, *[len(r) + 1 for r in raws]])
-            for i in np.flatnonzero(p > 0.5).tolist():
-                d = int(np.searchsorted(first, i, side="right")) - 1
-                lo, hi = (int(x) - int(begins[d]) for x in places[:, i])
-                lo, hi = (len(raws[d][:x].decode("utf-8", "surrogatepass")) for x in (lo, hi))
-                if found[a + d] and lo - found[a + d][-1][1] <= 1:
-                    found[a + d][-1] = (found[a + d][-1][0], hi)
-                else:
-                    found[a + d].append((lo, hi))
+        if spans and len(p):
+            _collect(found, a, raws, np.concatenate(places, axis=1), first, p > 0.5)
     return out, found
 
 
-def _placed(raws: list[bytes], split: list[bytes] | None) -> Iterator[tuple[S.Words, int]]:
-    if split is None:
-        yield S.words(raws), 0
-    else:
-        at = 0
-        for p in split:
-            yield S.words([p]), at
-            at += len(p)
+def _collect(found: list[list[tuple[int, int]]], a: int, raws: list[bytes], places: np.ndarray, first: np.ndarray, toxic: np.ndarray) -> None:
+    """Adds the toxic tokens' spans in code points; tokens at most one character apart make one span."""
+    begins = np.cumsum([0, *[len(r) + 1 for r in raws]])
+    hits = np.flatnonzero(toxic)
+    owner = np.searchsorted(first, hits, side="right") - 1
+    for d in np.unique(owner).tolist():
+        own = places[:, hits[owner == d]] - begins[d]
+        chars = np.concatenate(([0], np.cumsum((np.frombuffer(raws[d], dtype=np.uint8) & 0xC0) != 0x80)))  # code points before each byte
+        for lo, hi in chars[own].T.tolist():
+            if found[a + d] and lo - found[a + d][-1][1] <= 1:
+                found[a + d][-1] = (found[a + d][-1][0], hi)
+            else:
+                found[a + d].append((lo, hi))
 
 
 def fold(column: str = "doc_id"):
@@ -317,6 +314,7 @@ def score_documents(docs: DataFrame, model: Model, spans: bool = True) -> DataFr
 
 
 def toxicity(docs: DataFrame, labels: DataFrame, held_out: bool = True) -> DataFrame:
-    """doc_id, held_out, score, predicted."""
-    scored = score_documents(docs, train_on(docs, labels, held_out=held_out), spans=False)
-    return scored.select("doc_id", (F.coalesce(fold(), F.lit(1)) == 0).alias("held_out"), F.col("tox_score").alias("score"), (F.col("tox_score") >= 0.5).cast("int").alias("predicted"))
+    """doc_id, held_out, score, predicted, spans (code points of toxic tokens)."""
+    scored = score_documents(docs, train_on(docs, labels, held_out=held_out))
+    held, predicted = (F.coalesce(fold(), F.lit(1)) == 0).alias("held_out"), (F.col("tox_score") >= 0.5).cast("int").alias("predicted")
+    return scored.select("doc_id", held, F.col("tox_score").alias("score"), predicted, F.col("tox_spans").alias("spans"))

@@ -64,7 +64,7 @@ def test_pages(spark):
 
 
 def test_pipeline_stages_keep_columns_and_rows_without_faults(spark, tmp_path):
-    d = docs(spark).dropDuplicates(["doc_id", "text"])
+    d = docs(spark)
     folder = str(tmp_path)
     d.write.parquet(f"{folder}/documents.parquet")
     labels(spark).write.parquet(f"{folder}/labels.parquet")

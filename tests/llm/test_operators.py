@@ -343,3 +343,147 @@ def test_hypergeometric_draws():
     assert m.sum(axis=1).tolist() == [30, 0, 50, 20] and m.sum(axis=0).tolist() == [40, 35, 25]
     draws = [sharding.draw(g, 6 * 10**8, 9 * 10**8, 1000) for _ in range(3000)]
     assert abs(np.mean(draws) - 400) < 1.5 and abs(np.var(draws) - 240) < 30
+
+
+def complements(n):
+    """Two words of the same letters whose polynomials agree modulo 2^64 at every odd point, once they are long enough."""
+    a, b = "a", "b"
+    while len(a) < n:
+        a, b = a + b, b + a
+    return a, b
+
+
+@pytest.mark.parametrize("n", [1024, 2048, 4096])
+def test_words_are_told_apart_where_polynomials_modulo_powers_of_two_fail(spark, n):
+    a, b = complements(n)
+    tok = Tokenizer.from_file(queries.tokenizer())
+    for got, text in zip(packing.encode([a, b, f"{a} {b}"], queries.tokenizer()), (a, b, f"{a} {b}"), strict=True):
+        assert np.frombuffer(got, "<u4").tolist() == [*tok.encode(text, add_special_tokens=False).ids, 1]
+    one, two = " ".join([a] + ["same words here now"] * 1), " ".join([b] + ["same words here now"] * 1)
+    got = {r.doc_id: r.n_links for r in jaccard_join.jaccard_join(spark.createDataFrame([(1, one), (2, two), (3, one)], "doc_id long, text string")).collect()}
+    assert got == {1: 1, 2: 0, 3: 1}
+    assert (fingerprints.signatures([one]) != fingerprints.signatures([two])).mean() > 0.9
+
+
+def test_words_with_equal_hashes_are_still_told_apart(monkeypatch):
+    monkeypatch.setattr(packing.S, "mix", lambda x: x * packing.S.U(0))
+    tok, e = Tokenizer.from_file(queries.tokenizer()), packing.Encoder(queries.tokenizer())
+    for text in ("some words and some other words", "words again, and some new ones: some"):
+        (got,) = e.encode([text])
+        assert np.frombuffer(got, "<u4").tolist() == [*tok.encode(text, add_special_tokens=False).ids, 1]
+
+
+def test_long_words_and_zero_bytes():
+    tok = Tokenizer.from_file(queries.tokenizer())
+    texts = ["q" * 23 + " " + "q" * 24 + " " + "q" * 25, "a\0 a \0\0 a!\0 a!", "e" * 5000 + " x"]
+    for got, text in zip(packing.encode(texts, queries.tokenizer()), texts, strict=True):
+        assert np.frombuffer(got, "<u4").tolist() == [*tok.encode(text, add_special_tokens=False).ids, 1]
+
+
+def test_prime_field():
+    g = np.random.default_rng(0)
+    a, b = (g.integers(0, S.PRIME, 500, dtype=np.uint64) for _ in range(2))
+    assert [int(x) for x in S.times(a, b)] == [int(x) * int(y) % S.PRIME for x, y in zip(a, b, strict=True)]
+    assert [int(x) for x in S.less(a, b)] == [(int(x) - int(y)) % S.PRIME for x, y in zip(a, b, strict=True)]
+    raw = np.frombuffer(g.bytes(100_000), np.uint8)
+    h = S.Prefixes(raw)
+    for i, j in ((0, 9), (32_760, 32_790), (65_000, 99_999)):
+        want = sum((int(v) + 1) * pow(S._base, k, S.PRIME) for k, v in enumerate(raw[i:j])) % S.PRIME
+        assert int(h.span(np.array([i]), np.array([j]))[0]) == int(S.mix(np.array([want], dtype=np.uint64))[0])
+
+
+def test_recall_of_pairs_at_the_threshold(spark):
+    """Two thousand pairs a little above the threshold, each a document and an edit of it."""
+    r, rows, want = random.Random(4), [], 0
+    for i in range(2000):
+        w = [f"w{r.randrange(10**7)}" for _ in range(49)]
+        e = list(w)
+        e[r.randrange(5)] = "edit"  # few shingles see the beginning
+        rows += [(2 * i, " ".join(w)), (2 * i + 1, " ".join(e))]
+        a, b = ({tuple(x[k : k + 5]) for k in range(45)} for x in (w, e))
+        want += len(a & b) / len(a | b) >= 0.8
+    got = jaccard_join.jaccard_join(spark.createDataFrame(rows, "doc_id long, text string")).where("n_links = 1").count()
+    assert want > 1500 and 2 * want * 0.998 <= got <= 2 * want
+
+
+def test_rates_reach_what_a_dense_solver_reaches(spark):
+    """With targets that no nonnegative rates meet, totals are those of the least distance in the solver's metric."""
+    g = np.random.default_rng(3)
+    p = g.dirichlet([0.5, 0.5, 0.5], 60)
+    n = g.integers(5, 200, 60)
+    table = spark.createDataFrame([(int(a), [float(x) for x in b]) for a, b in zip(n, p, strict=True)], "n long, p array<double>")
+    for want, least in ((np.array([5000.0, 100.0, 2000.0]), 0.0), (np.array([9000.0, 0.0, 0.0]), 0.0), (np.array([9000.0, 500.0, 500.0]), 1.0)):
+        _, _, _, got = mixing.solve(table, 3, lambda have, want=want: want, least=least, steps=400, tolerance=1e-9)
+        total = n.sum()
+        gram = (p * n[:, None]).T @ p / total
+        metric = np.linalg.inv(gram + 1e-6 * np.trace(gram) * np.eye(3))
+        rate = np.ones(60)
+        for _ in range(20_000):
+            rate = np.maximum(least, rate - 0.5 * p @ (metric @ ((rate * n) @ p - want)) / total)
+        dense = (rate * n) @ p
+        loss = lambda x: float((x - want) @ metric @ (x - want))
+        assert loss(got) <= loss(dense) * 1.01 + 1e-4 * loss(np.zeros(3))
+
+
+def test_shard_columns_and_repeated_rows(spark):
+    rows = [(1, "ünï"), (1, "ünï"), (None, None), (2, ""), (3, "x" * 5000)]
+    got = sharding.shard(spark.createDataFrame(rows, "doc_id long, text string"), 2).collect()
+    want = Counter((i, len((t or "").encode()) + 16, zlib.crc32((t or "").encode())) for i, t in rows)
+    assert Counter((r.doc_id, r["size"], r.text_crc32) for r in got) == want
+    assert {r.law for r in got} == {"rows"} and {r.grown_shard for r in got} == {None}
+    assert sorted(Counter(r.shard for r in got).values()) == [2, 3]
+    assert all(sorted(r.slot for r in got if r.shard == k) == list(range(sum(r.shard == k for r in got))) for k in (0, 1))
+
+
+def test_one_of_repeated_rows_is_kept(spark):
+    rows = [(1, "a  b"), (1, "a b"), (1, "a b"), (0, "c"), (None, "c"), (None, "d"), (None, "d"), (2, None), (3, "")]
+    got = chunk_dedup.exact_dedup(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    kept = [r for r in got if r.kept]
+    assert len(got) == len(rows) and len(kept) == 4 and {r.keep_id for r in kept} == {1, 0, None, 2}
+    assert all(r.doc_id == r.keep_id for r in kept)
+
+
+def test_chunks_make_texts_again(spark, docs, texts):
+    ready(spark)
+    rows = chunk_dedup.recipes(docs).withColumn("row", F.col("doc_id"))
+    got = {r.row: r.norm for r in chunk_dedup.rebuild(rows, chunk_dedup.chunk_table(docs)).collect()}
+    assert got == {k: re.sub(r"[\x20\x09-\x0D]+", " ", t) for k, t in texts}
+
+
+def test_likeness_is_that_of_the_printed_fingerprints(docs):
+    rows = sorted(fingerprints.with_edits(docs).collect(), key=lambda r: r.doc_id)
+    share = lambda a, b: sum(a[i : i + 4] == b[i : i + 4] for i in range(0, len(a), 4)) / (len(a) / 4)
+    for r, after in zip(rows, rows[1:] + rows[:1], strict=True):
+        assert r.near_edited == share(r.fingerprint, r.edited_fingerprint) and r.near_next == share(r.fingerprint, after.fingerprint)
+
+
+def test_exact_fits_are_configurations():
+    assert packing.plan({2050: 1000, 2046: 1000, 3001: 500, 1095: 500})[1] == 1500
+    assert packing.knapsack([5, 3], np.array([0.5, 0.31]), 8).tolist() == [1, 1]
+
+
+def test_distrust_flows_far(spark):
+    """A chain of twenty hosts to a blocked one: no number of rounds cuts it off."""
+    ready(spark)
+    rows = [(i, f"http://h{i}.net/", f'<a href="http://h{i + 1}.net/">x</a>') for i in range(20)] + [(20, "http://h20.net/", '<a href="http://z.com/">x</a>'), (21, "http://z.com/de/", "")]
+    got = {r.page_id: r.verdict for r in url_trust.url_filter(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    assert set(got.values()) == {"block"}
+
+
+def test_open_heads_deep_paths_and_long_names():
+    text = "This is the article text that should be read in full by everyone who comes here."
+    page = lambda inner: f"<html><head><title>T</title><meta name=a>{inner}</html>"
+    assert text in " ".join(b[1] for b in html_extract.blocks(page(f"<article><p>{text}</p></article>")))
+    deep = "".join(f"<div class=c{i}>" for i in range(60)) + f"<p>{text}</p>"
+    (block,) = html_extract.blocks(deep)
+    assert {f"div c{i}" for i in range(60)} <= set(block[0])
+    (block,) = html_extract.blocks(f'<div class="{"k " * 300}" id=comments>{text}</div>')
+    assert block[0][0].endswith("comments")
+
+
+def test_spans_are_offsets_of_toxic_words(docs):
+    texts = ["Ünï some clean word there"] * 30 + [f"Ünï some vileword{i % 3} there" for i in range(30)]
+    model = toxicity.fit(texts, np.array([False] * 30 + [True] * 30))
+    _, spans = toxicity.score(model, texts, spans=True)
+    assert not any(spans[:30])
+    assert all(any("vileword" in t[a:b] and "Ü" not in t[a:b] for a, b in own) for t, own in zip(texts[30:], spans[30:], strict=True))
