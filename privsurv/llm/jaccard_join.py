@@ -84,7 +84,8 @@ def paths_of(rows: DataFrame, runs: int, threshold: float, seed: int) -> DataFra
     now = rows.select("key", "sig").mapInPandas(lean(first), kind)
     for depth in range(1, DEPTH + 1):
         now = cut(now, "paths")
-        sized = now.groupBy("leaf").agg(F.count(F.lit(1)).alias("members")).where("members > 1")
+        # Counts are written before they are joined back, so a leaf of very many sets can be split over tasks.
+        sized = cut(now.groupBy("leaf").agg(F.count(F.lit(1)).alias("members")).where("members > 1"), "paths-sized")
         shared = cut(now.join(sized, "leaf"), "paths-shared")
         small = shared if depth == DEPTH else shared.where(F.col("members") <= SMALL)
         out = small.select("key", "leaf") if out is None else out.union(small.select("key", "leaf"))

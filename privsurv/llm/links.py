@@ -203,9 +203,9 @@ def find_links(docs: DataFrame, rows: DataFrame, leaves: DataFrame, count: int,
     ``rows``: key, n, sig, copies, doc_id (of one copy), one per distinct set; ``leaves``: key, leaf, in which buckets of one member don't occur.
     """
     live = leaves.groupBy("key").agg(F.sort_array(F.collect_set("leaf")).alias("live"))  # as many as runs and bands, not as partners
-    sized = leaves.groupBy("leaf").agg(F.count(F.lit(1)).alias("members"))
+    sized = cut(leaves.groupBy("leaf").agg(F.count(F.lit(1)).alias("members")).where("members > 1"), "link-sizes")
     blocks = F.ceil(F.col("members") / BLOCK).cast("int")
-    placed = leaves.distinct().join(sized, "leaf").where("members > 1").select("key", "leaf", blocks.alias("blocks"), F.pmod(F.xxhash64("key"), blocks).cast("int").alias("block"))
+    placed = leaves.distinct().join(sized, "leaf").select("key", "leaf", blocks.alias("blocks"), F.pmod(F.xxhash64("key"), blocks).cast("int").alias("block"))
     spread = placed.select("key", "leaf", "block", F.explode(F.expr("transform(sequence(0, blocks - 1), o -> struct(least(block, o) AS i, greatest(block, o) AS j))")).alias("p")).select("key", "leaf", "block", "p.i", "p.j")
     full = spread.join(rows.join(live, "key").select("key", "n", "sig", "copies", "live"), "key")
     by = ["leaf", "i", "j"]
