@@ -156,7 +156,7 @@ class Mix:
         return float(np.abs(self.totals - self.targets).max(initial=0.0) / max(1e-300, self.targets.sum()))
 
 
-def solve(table: DataFrame, k: int, targets, least: float = 0.0, steps: int = 200, tolerance: float = 1e-5) -> tuple[list[np.ndarray], float, np.ndarray, np.ndarray]:
+def solve(table: DataFrame, k: int, targets, least: float = 0.0, steps: int = 60, tolerance: float = 1e-5, stall: float = 1e-4) -> tuple[list[np.ndarray], float, np.ndarray, np.ndarray]:
     """``table``: n, p.  ``targets`` makes token totals into target totals.  Returns residuals, step size, targets, totals reached."""
     pairs = [F.sum(F.col("n") * F.get("p", i) * F.get("p", j)) for i in range(k) for j in range(i, k)]
     first = table.agg(F.sum("n"), *[F.sum(F.col("n") * F.get("p", i)) for i in range(k)], *pairs).first()
@@ -193,11 +193,12 @@ def solve(table: DataFrame, k: int, targets, least: float = 0.0, steps: int = 20
         residual = (sums - want) / total
         history.append(metric @ residual)
         before, sums = sums, totals(0)
-        # Targets are met, or (where no rates meet them) steps change nothing any more.
-        if min(np.abs(sums - want).max(), np.abs(sums - before).max()) <= tolerance * want.sum():
+        # Targets are met, or (where no rates meet them) steps change next to nothing any more.
+        if np.abs(sums - want).max() <= tolerance * want.sum() or np.abs(sums - before).max() <= stall * want.sum():
             break
     reached = totals(1)
     if np.abs(reached - want).max() > 0.01 * want.sum():
+        # Said, since a caller may want other targets; the rates are the nearest that were found.
         warnings.warn(f"no rates of at least {least:g} were found that meet the targets: reached {reached.round()}, wanted {want.round()}", stacklevel=2)
     return history, size, want, reached
 

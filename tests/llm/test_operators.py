@@ -277,7 +277,7 @@ def test_mixing_reaches_its_targets(spark, sf):
 def test_mixing_solver_with_an_active_bound(spark):
     rows = [(100, [1.0, 0.0])] * 5 + [(50, [0.0, 1.0])] * 4
     table = spark.createDataFrame(rows, "n long, p array<double>")
-    history, size, want, got = mixing.solve(table, 2, lambda have: np.array([1000.0, 0.0]), steps=60)
+    history, size, want, got = mixing.solve(table, 2, lambda have: np.array([1000.0, 0.0]), steps=60, stall=0)
     assert np.allclose(got, [1000, 0], atol=2)
 
 
@@ -413,7 +413,7 @@ def test_rates_reach_what_a_dense_solver_reaches(spark):
     n = g.integers(5, 200, 60)
     table = spark.createDataFrame([(int(a), [float(x) for x in b]) for a, b in zip(n, p, strict=True)], "n long, p array<double>")
     for want, least in ((np.array([5000.0, 100.0, 2000.0]), 0.0), (np.array([9000.0, 0.0, 0.0]), 0.0), (np.array([9000.0, 500.0, 500.0]), 1.0)):
-        _, _, _, got = mixing.solve(table, 3, lambda have, want=want: want, least=least, steps=400, tolerance=1e-9)
+        _, _, _, got = mixing.solve(table, 3, lambda have, want=want: want, least=least, steps=400, tolerance=1e-9, stall=0)
         total = n.sum()
         gram = (p * n[:, None]).T @ p / total
         metric = np.linalg.inv(gram + 1e-6 * np.trace(gram) * np.eye(3))
