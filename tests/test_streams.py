@@ -27,3 +27,17 @@ def test_duplicates_are_dropped(spark, tmp_path):
     path = str(tmp_path / "events")
     write(spark, path, [(1, 1_700_000_000, 1, "view", 1.0, "{}")] * 3 + [(2, 1_700_000_100, 1, "view", 1.0, "{}")])
     assert runner.finish(spells.deduplicated(runner.events_stream(spark, path))).count() == 2
+
+
+def test_a_retried_refit_is_charged_once(spark, tmp_path):
+    """A new query over the same events, as after a crash before its checkpoint, meets the charge that the ledger's table keeps."""
+    from privsurv.operators.ledger import Ledger
+
+    path, seen = str(tmp_path / "events"), []
+    write(spark, path, [(1, 1_700_000_000, 1, "signup", 1.0, "{}")])
+    for attempt in range(2):
+        ledger = Ledger(spark, 1.0, path=str(tmp_path / "ledger"))
+        stream = runner.events_stream(spark, path)
+        query = spells.refit(stream, lambda batch, number: seen.append(number), ledger, "u", 0.7).option("checkpointLocation", str(tmp_path / f"c{attempt}")).trigger(availableNow=True).start()
+        query.awaitTermination()
+    assert seen == [0, 0] and Ledger(spark, 1.0, path=str(tmp_path / "ledger")).spent("u") == 0.7
