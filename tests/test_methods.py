@@ -299,3 +299,20 @@ def test_choices(spark, records):
     assert choose.evaluator(records, ["x1", "x2", "x3"], 200, 1e-6).name == "table"
     assert choose.evaluator(records.select("t", "y"), [], 20).name == "cells"
     assert choose.feeding(1e9, 3, 1000, 200).name == "prefetch" and "MB" in choose.feeding(1e9, 3, 1000, 200).explain()
+
+
+def test_laplace_vector_has_the_spread_of_its_sensitivity():
+    draws = np.array([noise.laplace_vector(np.array([1.0, -2.0, 3.0]), 0.5, 2.0, seed=i) for i in range(4000)]) - [1, -2, 3]
+    length = np.linalg.norm(draws, axis=1)  # Gamma of shape three and scale one quarter
+    assert abs(length.mean() - 0.75) < 0.03 and abs(length.var() - 3 / 16) < 0.02
+    assert np.abs((draws / length[:, None]).mean(axis=0)).max() < 0.04
+    with pytest.raises(ValueError):
+        noise.laplace_vector(np.zeros(2), 1.0, 0.0)
+
+
+def test_step_lengths_put_injected_noise_above_minibatch_noise():
+    for n in (500, 20_000, 10**7):
+        v = private.default_bound(n)
+        rms = (6.4 / (2 * v)) / 200**0.5  # of a minibatch gradient, per unit of a record's
+        h = chain.stable_scale(n, 6.4, v) * 10_000**-0.51
+        assert (h * n) ** 2 <= 0.2 * (2 * h / rms)

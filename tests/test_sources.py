@@ -47,3 +47,18 @@ def test_refit_charges_before_it_runs(spark, tmp_path):
         raise AssertionError("overspent")
     except Overspent:
         pass
+
+
+def test_bucketed_tables_join_without_a_shuffle(spark):
+    df = spark.range(200).select(F.col("id").alias("user_id"), (F.col("id") % 7).alias("v"))
+    limit = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    try:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+        for name in ("bucketed_a", "bucketed_b"):
+            tables.save_bucketed(df, name, "user_id", 4, "overwrite")
+        joined = spark.table("bucketed_a").join(spark.table("bucketed_b"), "user_id")
+        assert joined.count() == 200 and "Exchange hashpartitioning(user_id" not in joined._jdf.queryExecution().executedPlan().toString()
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", limit)
+        for name in ("bucketed_a", "bucketed_b"):
+            spark.sql(f"DROP TABLE IF EXISTS {name}")
