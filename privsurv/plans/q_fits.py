@@ -48,6 +48,17 @@ def ridge_s5(spark, sf_dir):
     return _row(spark, solver.newton(_linear(spark, sf_dir)))
 
 
+#: The same descent on S6: fifty intervals of document length, events if toxic, the quality flag as covariate.
+_CELLS_S6 = _CELLS.replace("s / 8.0", "s / 50.0").replace("least(8, ceil(duration / 8.0 * 8))", "least(50, ceil(duration / 50000.0 * 50))").replace("range(1, 9)", "range(1, 51)").replace(Q.SPELLS["s5"], Q.SPELLS["s6"])
+
+
+@query(_descent(1500, 0.3).replace(_CELLS, _CELLS_S6) + " " + _FINAL + "1500")
+def ridge_s6(spark, sf_dir):
+    """Lengths of labelled documents, fitted on compressed records."""
+    df = prep.discretize(W.lengths(spark, sf_dir), 50, 50_000.0).select("subject_id", "t", "y", "x1", F.lit(1).cast("long").alias("w"))
+    return _row(spark, fit.ridge(Data(prep.compress(df, ["x1"]), basis.matrix(50, 2)), 0.1))
+
+
 @query(_descent(400, 0.4) + " " + _FINAL + "400")
 def ridge_s5_bfgs(spark, sf_dir):
     return _row(spark, solver.bfgs(_linear(spark, sf_dir)))
