@@ -57,9 +57,34 @@ class PersonPeriods:
             yield s, int(s == t and y == 1)
 
 
+@udtf(returnType="s int, a array<double>")
+class SplineBasis:
+    """Basis rows of q intervals with e knots."""
+
+    def eval(self, q: int, e: int):
+        for s, row in enumerate(basis.matrix(q, e), 1):
+            yield s, row.tolist()
+
+
+@udtf(returnType="s int, hazard double, survival double")
+class SurvivalCurve:
+    """Hazard and survival of a record with covariate effect z, for lateral joins; null effects give no rows."""
+
+    def eval(self, z: float, alpha: list, q: int):
+        if z is None:
+            return
+        alive = 1.0
+        for s, eta in enumerate(basis.matrix(q, len(alpha)) @ np.asarray(alpha, float) + z, 1):
+            h = 0.5 * (1 + np.tanh(0.5 * eta))
+            alive *= 1 - h
+            yield s, float(h), float(alive)
+
+
 def register(spark: SparkSession) -> None:
     spark.udtf.register("spline_grid", SplineGrid)
     spark.udtf.register("person_periods", PersonPeriods)
+    spark.udtf.register("spline_basis", SplineBasis)
+    spark.udtf.register("survival_curve", SurvivalCurve)
 
 
 def norm(x: Column) -> Column:

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Sequence
 
 from pyspark.sql import Column, DataFrame, Window
@@ -50,6 +51,14 @@ def densities(trace: DataFrame, indices: Sequence[int], low: float, high: float,
     return counts.select("component", "bin", "n", (F.col("n") / all_ / ((high - low) / bins)).alias("density"))
 
 
+def kernel_density(trace: DataFrame, index: int, points: Sequence[float], width: float) -> DataFrame:
+    """Normal-kernel density of one coefficient at the given points; partial sums per point are made before the shuffle."""
+    at = F.explode(F.array(*[F.lit(float(p)) for p in points])).alias("point")
+    z = (F.col("point") - F.col("v")) / width
+    own = trace.select(F.get("f", index).alias("v"), at)
+    return own.groupBy("point").agg(F.avg(F.exp(-0.5 * z * z) / (width * math.sqrt(2 * math.pi))).alias("density"))
+
+
 def moments(trace: DataFrame, index: int, by: Sequence[str] = ()) -> DataFrame:
     """Mean, spread, skewness and kurtosis: near a normal law the last two are near zero."""
     v = F.get("f", index)

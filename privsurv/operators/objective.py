@@ -44,6 +44,10 @@ class Data:
         n, norm = self.df.agg(F.sum("w"), F.sqrt(F.max(squares))).first()
         self.n, self.norm = float(n or 0), float(norm or 0)
 
+    def kernel(self):
+        """What sums the records of a partition."""
+        return SumOfLogistic(self.a, self.link)
+
     @property
     def radius(self) -> float:
         """Length of the longest covariate vector."""
@@ -72,7 +76,7 @@ class Data:
 
     def sums(self, fs: Sequence[np.ndarray], hessian: bool = False) -> np.ndarray:
         """Per candidate: loss, gradient and if asked for the upper triangle of the Hessian, summed over records."""
-        kernel, x, fs = SumOfLogistic(self.a, self.link), list(self.x), [np.asarray(f, dtype=float) for f in fs]
+        kernel, x, fs = self.kernel(), list(self.x), [np.asarray(f, dtype=float) for f in fs]
         d = self.d
         size = 1 + d + (d * (d + 1) // 2 if hessian else 0)
 

@@ -10,6 +10,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from ..functions import basis
 from ..functions import loss as loss_
 from . import noise, sensitivity
 from .fit import ridge
@@ -36,6 +37,23 @@ class Release:
         row = asdict(self)
         return spark.createDataFrame([tuple(row[c] for c in ("run_id", "method", "epsilon", "f", "q", "e", "link", "params", "exact"))], "run_id string, method string, epsilon double, f array<double>, q int, e int, link string, params map<string,double>, exact boolean")
 
+    def register(self, spark: SparkSession, name: str) -> None:
+        """SQL access: a view ``name`` of the model, and temporary functions name_risk(x), name_hazard(s, x) and name_survival(s, x) of an
+        array of covariates.  They are expressions, compiled with the query that calls them."""
+        if not name.isidentifier():
+            raise ValueError("a model's name is an identifier")
+        if self.link != "logit":
+            raise ValueError("SQL functions are for the logit link")
+        self.frame(spark).createOrReplaceTempView(name)
+        number = lambda v: f"CAST('{float(v)!r}' AS DOUBLE)"
+        places = "array(" + ", ".join(number(g) for g in basis.matrix(self.q, self.e) @ self.f[: self.e]) + ")"
+        beta = "array(" + ", ".join(map(number, self.f[self.e :])) + ")"
+        risk = f"aggregate(zip_with(x, {beta}, (a, b) -> a * b), 0D, (acc, v) -> acc + v)"
+        make = "CREATE OR REPLACE TEMPORARY FUNCTION"
+        spark.sql(f"{make} {name}_risk(x ARRAY<DOUBLE>) RETURNS DOUBLE RETURN {risk}")
+        spark.sql(f"{make} {name}_hazard(s INT, x ARRAY<DOUBLE>) RETURNS DOUBLE RETURN 1 / (1 + exp(-({places}[s - 1] + {risk})))")
+        spark.sql(f"{make} {name}_survival(s INT, x ARRAY<DOUBLE>) RETURNS DOUBLE RETURN exp(-aggregate(slice({places}, 1, s), 0D, (acc, g) -> acc + log1p(exp(g + {risk}))))")
+
 
 def _check(epsilon: float, lam: float | None = None) -> None:
     if not epsilon > 0:

@@ -88,14 +88,14 @@ def newton(o: Objective, f0: np.ndarray | None = None, tolerance: float = 1e-9,
     return f
 
 
-def newton_many(os: list[Objective], f0: np.ndarray | None = None, tolerance: float = 1e-9, most: int = 100) -> list[np.ndarray]:
-    """Newton for several objectives on the same data: all that are not done share each pass.  Steps that do not descend are halved.
-    Raises if one of them does not reach the tolerance, since noise is calibrated to it."""
+def newton_many(os: list[Objective], f0: np.ndarray | None = None, tolerance: float = 1e-9, most: int = 100, second=second_many) -> list[np.ndarray]:
+    """Newton for several objectives on the same data (or, with another ``second``, each on its own): all that are not done share each
+    pass.  Steps that do not descend are halved.  Raises if one of them does not reach the tolerance, since noise is calibrated to it."""
     if not os:
         return []
     data = os[0].data
     fs = [np.zeros(data.d) if f0 is None else np.asarray(f0, float) for _ in os]
-    state, ways = second_many(os, fs), [np.zeros(data.d) for _ in os]
+    state, ways = second(os, fs), [np.zeros(data.d) for _ in os]
     scale, live = [1.0] * len(os), list(range(len(os)))
     for _ in range(most):
         live = [i for i in live if np.linalg.norm(state[i][1]) > tolerance and scale[i] > 1e-9]
@@ -105,7 +105,7 @@ def newton_many(os: list[Objective], f0: np.ndarray | None = None, tolerance: fl
             if scale[i] == 1.0:
                 ways[i] = -np.linalg.solve(state[i][2] + 1e-12 * np.eye(data.d), state[i][1])
         tries = [fs[i] + scale[i] * ways[i] for i in live]
-        for i, new, there in zip(live, tries, second_many([os[i] for i in live], tries), strict=True):
+        for i, new, there in zip(live, tries, second([os[i] for i in live], tries), strict=True):
             if np.isfinite(there[0]) and there[0] <= state[i][0] + 1e-12 + 1e-9 * abs(state[i][0]):
                 fs[i], state[i], scale[i] = new, there, 1.0
             else:

@@ -46,25 +46,51 @@ _CELLS = f"""recs AS (SELECT greatest(1, least(8, ceil(duration / 8.0 * 8)))::IN
 pp AS (SELECT row_number() OVER () AS dummy, r.rid, r.x1, s / 8.0 AS u, (s = t AND y = 1)::INT AS m FROM (SELECT *, row_number() OVER () AS rid FROM recs) r JOIN range(1, 9) g(s) ON s <= t)"""
 
 
-def _chain_sql(steps: int, precondition: bool, factor: float) -> str:
-    """Full-batch chain on three coefficients with digest noise."""
-    eta = "(d.f1 + d.f2 * p.u + d.f3 * p.x1)"
+def _slopes_sql(shift: tuple[float, ...] = (0, 0, 0), v: float = 4.0, clip: bool = False) -> str:
+    """Sums of bounded losses' gradients at d, moved by ``shift``."""
+    eta = f"((d.f1 + {shift[0]}) + (d.f2 + {shift[1]}) * p.u + (d.f3 + {shift[2]}) * p.x1)"
     soft = f"(greatest(CASE WHEN p.m = 1 THEN -{eta} ELSE {eta} END, 0) + ln(1 + exp(-abs({eta}))))"
     slope = f"(1 / (1 + exp(-{eta})) - p.m)"
-    v, eps, sigma = 4.0, 2.0, 0.05
+    own = f"(l < {v})::INT" if clip else f"(1 - power(tanh(l / {v}), 2))"
+    sums = ", ".join(f"sum({own} * g{i})" for i in range(3))
+    return f"(SELECT list_value({sums}) FROM (SELECT p.rid, sum({soft}) AS l, sum({slope}) AS g0, sum({slope} * p.u) AS g1, sum({slope} * p.x1) AS g2 FROM pp p GROUP BY p.rid))"
+
+
+_Z = [f"(sqrt(-2 * ln({_U.format(k=f"'3|' || (k + 1) || '|{i}|r'")})) * cos(2 * pi() * {_U.format(k=f"'3|' || (k + 1) || '|{i}|a'")}))" for i in range(3)]
+
+
+def _chain_sql(steps: int, precondition: bool, factor: float, sigma: float = 0.05, clip: bool = False, radius: float | None = None, drift: bool = False) -> str:
+    """Full-batch chain on three coefficients with digest noise."""
+    v, eps = 4.0, 2.0
     scale = eps / (2 * v)
-    z = lambda i: f"(sqrt(-2 * ln({_U.format(k=f"'3|' || (k + 1) || '|{i}|r'")})) * cos(2 * pi() * {_U.format(k=f"'3|' || (k + 1) || '|{i}|a'")}))"
-    grad = "(SELECT list_value(" + ", ".join(f"sum((1 - power(tanh(l / {v}), 2)) * g{i})" for i in range(3)) + f") FROM (SELECT p.rid, sum({soft}) AS l, sum({slope}) AS g0, sum({slope} * p.u) AS g1, sum({slope} * p.x1) AS g2 FROM pp p GROUP BY p.rid))"
+    moved = [_slopes_sql(tuple(1e-4 if i == j else 0 for j in range(3)), v, clip) for i in range(3)] if drift else []
     out = []
     for i in range(3):
         f = f"f{i + 1}"
         sec = f"(0.99 * v{i + 1} + 0.01 * b{i + 1} * b{i + 1})"
         gg = f"(1 / (1e-5 + sqrt({sec})))" if precondition else "1.0"
         h = "power(k + 1, -0.51) * 0.01"
-        out.append((f"{f} - {h} * {gg} * n * b{i + 1} + sqrt({h} * {gg} * {factor}) * {z(i)}", sec))
+        turn = f" - {h} * 0.01 * {gg} * {gg} * b{i + 1} * e{i + 1} / greatest(sqrt({sec}), 1e-12)" if drift else ""
+        out.append((f"{f} - {h} * {gg} * n * b{i + 1}{turn} + sqrt({h} * {gg} * {factor}) * {_Z[i]}", sec))
+    secants = "".join(f", ({scale} * ({sigma} * (f{i + 1} + 1e-4) / n + e[{i + 1}][{i + 1}] / n) - {scale} * ({sigma} * f{i + 1} / n + gr[{i + 1}] / n)) / 1e-4 AS e{i + 1}" for i in range(3)) if drift else ""
+    ends = f", list_value({', '.join(moved)}) AS e" if drift else ""
+    inside = f"least(1.0, {radius} / greatest(sqrt(w1 * w1 + w2 * w2 + w3 * w3), 1e-300))" if radius else "1.0"
     return f"""WITH RECURSIVE {_CELLS}, d AS (SELECT 0 AS k, 0.0::DOUBLE AS f1, 0.0::DOUBLE AS f2, 0.0::DOUBLE AS f3, 0.0::DOUBLE AS v1, 0.0::DOUBLE AS v2, 0.0::DOUBLE AS v3 UNION ALL
-    SELECT k + 1, {', '.join(o[0] for o in out)}, {', '.join(o[1] for o in out)} FROM
-    (SELECT q.*, n, {', '.join(f'{scale} * ({sigma} * f{i + 1} / n + gr[{i + 1}] / n) AS b{i + 1}' for i in range(3))} FROM (SELECT d.*, (SELECT n FROM size) AS n, {grad} AS gr FROM d WHERE k < {steps}) q))
+    SELECT k, w1 * {inside}, w2 * {inside}, w3 * {inside}, s1, s2, s3 FROM
+    (SELECT k + 1 AS k, {', '.join(f'{o[0]} AS w{i + 1}' for i, o in enumerate(out))}, {', '.join(f'{o[1]} AS s{i + 1}' for i, o in enumerate(out))} FROM
+    (SELECT q.*, n, {', '.join(f'{scale} * ({sigma} * f{i + 1} / n + gr[{i + 1}] / n) AS b{i + 1}' for i in range(3))}{secants}
+     FROM (SELECT d.*, (SELECT n FROM size) AS n, {_slopes_sql(v=v, clip=clip)} AS gr{ends} FROM d WHERE k < {steps}) q)))
+    SELECT k::BIGINT AS step, round(f1, 5) + 0.0 AS f1, round(f2, 5) + 0.0 AS f2, round(f3, 5) + 0.0 AS f3 FROM d WHERE k > 0"""
+
+
+def _thermostat_sql(steps: int) -> str:
+    """Momentum with a friction that follows its kinetic energy."""
+    h, scale = "(power(k + 1, -0.51) * 0.01)", 0.25
+    m = [f"(m{i + 1} - {h} * fr * m{i + 1} - {h} * n * {scale} * (0.05 * f{i + 1} / n + gr[{i + 1}] / n) + sqrt(2 * {h}) * {_Z[i]})" for i in range(3)]
+    zeros = ", ".join(f"0.0::DOUBLE AS {c}{i}" for c in "fm" for i in (1, 2, 3))
+    return f"""WITH RECURSIVE {_CELLS}, d AS (SELECT 0 AS k, {zeros}, 1.0::DOUBLE AS fr UNION ALL
+    SELECT k + 1, {', '.join(f'f{i} + {h} * w{i}' for i in (1, 2, 3))}, w1, w2, w3, fr + {h} * ((w1 * w1 + w2 * w2 + w3 * w3) / 3 - 1) FROM
+    (SELECT q.*, {', '.join(f'{m[i]} AS w{i + 1}' for i in range(3))} FROM (SELECT d.*, (SELECT n FROM size) AS n, {_slopes_sql()} AS gr FROM d WHERE k < {steps}) q))
     SELECT k::BIGINT AS step, round(f1, 5) + 0.0 AS f1, round(f2, 5) + 0.0 AS f2, round(f3, 5) + 0.0 AS f3 FROM d WHERE k > 0"""
 
 
@@ -74,7 +100,7 @@ def _data(spark, sf_dir) -> Data:
 
 
 def _replayed(spark, sf_dir, **more):
-    c = chain.Config(2.0, 4.0, 0.05, 12, k=None, seed=3, replay=True, step_scale=0.01, **more)
+    c = chain.Config(2.0, 4.0, more.pop("sigma", 0.05), 12, k=None, seed=3, replay=True, step_scale=0.01, **more)
     t = chain.sample(_data(spark, sf_dir), {"a": c})
     return t.select("step", *[R(F.get("f", i), 5).alias(f"f{i + 1}") for i in range(3)])
 
@@ -95,6 +121,40 @@ def chain_replay_plain(spark, sf_dir):
     return _replayed(spark, sf_dir, sampler="plain", precondition=False)
 
 
+@query(_chain_sql(12, True, 2, sigma=0.0))
+def chain_replay_uniform_prior(spark, sf_dir):
+    return _replayed(spark, sf_dir, sigma=0.0)
+
+
+@query(_chain_sql(12, True, 2, clip=True))
+def chain_replay_clipped(spark, sf_dir):
+    """Losses cut off at the bound."""
+    return _replayed(spark, sf_dir, bound="clip")
+
+
+@query(_chain_sql(12, True, 2, radius=0.5))
+def chain_replay_ball(spark, sf_dir):
+    """States kept in a ball, the older way to bound losses."""
+    return _replayed(spark, sf_dir, radius=0.5)
+
+
+@query(_chain_sql(12, True, 2, drift=True))
+def chain_replay_drift(spark, sf_dir):
+    """With the preconditioner's divergence in the drift."""
+    return _replayed(spark, sf_dir, drift_correction=True)
+
+
+@query(_thermostat_sql(12))
+def chain_replay_thermostat(spark, sf_dir):
+    return _replayed(spark, sf_dir, sampler="thermostat")
+
+
+@query(f"""SELECT 'c3' AS chain_id, step, slot, floor({_U.format(k="'c3|5|' || step || '|' || slot")} * 500)::BIGINT AS row_id FROM range(1, 21) a(step), range(0, 20) b(slot)""")
+def minibatch_with_replacement(spark, sf_dir):
+    ids = chain.minibatch_ids(spark, "c3", 5, 1, 20, 20, 500, replacement=True)
+    return ids.select("chain_id", "step", F.col("slot").cast("long").alias("slot"), "row_id")
+
+
 @query(f"""WITH recs AS (SELECT greatest(1, least(8, ceil(duration / 8.0 * 8)))::INT AS t, 2 * event - 1 AS y FROM ({Q.SPELLS['s5']})), g AS (SELECT i / 4.0::DOUBLE AS f1, j / 4.0::DOUBLE AS f2 FROM range(-16, 5) a(i), range(-8, 9) b(j)),
 l AS (SELECT f1, f2, rid, sum({Q.softplus('CASE WHEN s = t AND y = 1 THEN -(f1 + f2 * s / 8.0) ELSE f1 + f2 * s / 8.0 END')}) AS loss FROM g, (SELECT *, row_number() OVER () AS rid FROM recs), range(1, 9) r(s) WHERE s <= t GROUP BY ALL),
 u AS (SELECT f1, f2, 0.25 * (-0.5 * 0.05 * (f1 * f1 + f2 * f2) - sum(4 * tanh(loss / 4))) AS logp FROM l GROUP BY f1, f2), e AS (SELECT *, exp(logp - max(logp) OVER ()) AS rel FROM u)
@@ -152,6 +212,7 @@ def _trace(spark):
 
 
 _STAR = [1.0, -2.1]
+_POINTS = (0.7, 0.8, 0.9, 1.0, 1.1, 1.2, 1.3)
 _D = "sqrt(power(v1 - 1.0, 2) + power(v2 + 2.1, 2)) / sqrt(1.0 + 2.1 * 2.1)"
 
 
@@ -170,6 +231,11 @@ def density_histogram(spark, sf_dir):
     return metrics.density(_trace(spark), 0, 0.6, 1.4, 16).select("bin", "n", F.round("density", 8).alias("density"))
 
 
+@query(f"WITH {_trace_sql()} SELECT point, round(avg(exp(-0.5 * power((point - v1) / 0.03, 2)) / (0.03 * sqrt(2 * pi()))), 7) AS density FROM tr, (SELECT unnest([0.7::DOUBLE, 0.8, 0.9, 1.0, 1.1, 1.2, 1.3]) AS point) GROUP BY point")
+def density_kernel(spark, sf_dir):
+    return metrics.kernel_density(_trace(spark), 0, _POINTS, 0.03).select("point", F.round("density", 7).alias("density"))
+
+
 @query(f"WITH {_trace_sql()}, m AS (SELECT *, avg(v2) OVER (PARTITION BY chain_id) AS mu FROM tr) SELECT chain_id, round(any_value(mu), 7) AS mean, round(sqrt(avg(power(v2 - mu, 2))), 7) AS sd, round(avg(power(v2 - mu, 3)) / power(avg(power(v2 - mu, 2)), 1.5), 6) AS skewness, round(avg(power(v2 - mu, 4)) / power(avg(power(v2 - mu, 2)), 2) - 3, 6) AS kurtosis FROM m GROUP BY 1")
 def moments(spark, sf_dir):
     m = metrics.moments(_trace(spark), 1, ["chain_id"])

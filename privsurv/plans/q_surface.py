@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from ..sources.tables import table
 from .q_prep import R
+from . import spells_sql as Q
 from .registry import query
 
 T = table
@@ -293,10 +294,51 @@ def filter_pushdown(spark, sf_dir):
     return T(spark, sf_dir, "customer", ["c_custkey", "c_acctbal", "c_mktsegment"]).where(F.col("c_mktsegment").like("B%") & F.col("c_acctbal").isNotNull() & F.col("c_mktsegment").isin("BUILDING", "MACHINERY") & F.col("c_mktsegment").rlike("ING$")).select("c_custkey", "c_acctbal")
 
 
-@query()
+def _planted_sql(n: int, q: int) -> str:
+    """The planted law with digest numbers: an event when the cumulative hazard passes an exponential threshold, uniform censoring."""
+    u = lambda tag: f"((('0x' || substr(md5('1|{tag}|' || i), 1, 13))::BIGINT + 0.5) / 4503599627370496.0)"
+    x = ", ".join(f"(2 * {u(f'x{j}')} - 1) / sqrt(3) AS x{j + 1}" for j in range(3))
+    return f"""WITH {Q.basis(q)}, r AS (SELECT i, {x}, -ln({u('event')}) AS e, least({q}, ceil({u('censor')} * {q}))::INT AS cut FROM range(0, {n}) g(i)),
+h AS (SELECT i, s, e, sum({Q.softplus('-4.0 * a1 + 1.0 * a2 - 1.0 * a3 + 0.8 * x1 - 0.5 * x2 + 0.3 * x3')}) OVER (PARTITION BY i ORDER BY s) AS c FROM r, basis),
+t AS (SELECT i, min(s) AS t FROM h WHERE c >= e GROUP BY i)
+SELECT i AS subject_id, least(coalesce(t, {q + 1}), cut)::INT AS t, CASE WHEN coalesce(t, {q + 1}) <= cut THEN 1 ELSE -1 END AS y, {', '.join(f'round(x{j}, 9) + 0.0 AS x{j}' for j in (1, 2, 3))}
+FROM r LEFT JOIN t USING (i)"""
+
+
+@query(_planted_sql(500, 20))
 def planted_source(spark, sf_dir):
     """The Python data source of planted records."""
     from ..sources import planted
 
     planted.register(spark)
-    return spark.read.format("planted_survival").options(n="500", q="20").load()
+    df = spark.read.format("planted_survival").options(n="500", q="20").load()
+    return df.select("subject_id", "t", "y", *[(F.round(c, 9) + 0.0).alias(c) for c in ("x1", "x2", "x3")])
+
+
+@query(_planted_sql(500, 20))
+def planted_columns(spark, sf_dir):
+    """The same records by columns."""
+    from ..sources.planted import planted
+
+    df = planted(spark, 500, [-4.0, 1.0, -1.0], [0.8, -0.5, 0.3], 20)
+    return df.select("subject_id", "t", "y", *[(F.round(c, 9) + 0.0).alias(c) for c in ("x1", "x2", "x3")])
+
+
+_SAMPLE = "(('0x' || substr(md5('5|sample|' || c_custkey), 1, 13))::BIGINT + 0.5) / 4503599627370496.0"
+
+
+@query(f"SELECT c_custkey FROM customer WHERE {_SAMPLE} < 0.2")
+def sample_bernoulli(spark, sf_dir):
+    """A fifth of the rows, by a digest."""
+    from ..operators import sampling
+
+    return sampling.bernoulli(T(spark, sf_dir, "customer", ["c_custkey"]), "c_custkey", 0.2, 5)
+
+
+@query(f"SELECT c_mktsegment, c_custkey FROM customer WHERE {_SAMPLE} < CASE c_mktsegment WHEN 'BUILDING' THEN 0.5 WHEN 'MACHINERY' THEN 0.1 ELSE 0 END")
+def sample_stratified(spark, sf_dir):
+    """A share of its own for each stratum."""
+    from ..operators import sampling
+
+    rows = T(spark, sf_dir, "customer", ["c_custkey", "c_mktsegment"])
+    return sampling.stratified(rows, "c_mktsegment", "c_custkey", {"BUILDING": 0.5, "MACHINERY": 0.1}, 5)

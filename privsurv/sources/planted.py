@@ -2,13 +2,17 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Sequence
 
+import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 
-from ..functions import links, loss, rng
+from ..functions import basis, links, loss, rng
+
+ALPHA, BETA = "-4,1,-1", "0.8,-0.5,0.3"
 
 
 def planted(spark: SparkSession, n: int, alpha: Sequence[float], beta: Sequence[float], q: int, seed: int = 1, censor: float = 1.0) -> DataFrame:
@@ -34,33 +38,40 @@ class _Range(InputPartition):
         self.begin, self.end = begin, end
 
 
+def _numbers(text: str) -> list[float]:
+    return [float(v) for v in text.split(",")]
+
+
 class _Reader(DataSourceReader):
     def __init__(self, options: dict[str, str]):
         self.n, self.q, self.seed = int(options.get("n", 1000)), int(options.get("q", 20)), options.get("seed", "1")
-        self.parts = int(options.get("partitions", 4))
+        self.alpha, self.beta = _numbers(options.get("alpha", ALPHA)), _numbers(options.get("beta", BETA))
+        self.parts, self.censor = int(options.get("partitions", 4)), float(options.get("censor", 1.0))
 
     def partitions(self) -> Sequence[InputPartition]:
-        step = -(-self.n // self.parts)
+        step = max(1, -(-self.n // self.parts))
         return [_Range(a, min(a + step, self.n)) for a in range(0, self.n, step)]
 
     def read(self, partition: _Range):
-        import math
-
+        gamma, side = basis.matrix(self.q, len(self.alpha)) @ np.array(self.alpha), 1 / len(self.beta) ** 0.5
         for i in range(partition.begin, partition.end):
-            u, x = rng.value(self.seed, "event", i), 2 * rng.value(self.seed, "x", i) - 1
-            t = 1 + int(-math.log(u) * self.q / (2 * math.exp(0.5 * x)))
-            yield (i, min(t, self.q), 1 if t <= self.q else -1, x)
+            x = [(2 * rng.value(self.seed, f"x{j}", i) - 1) * side for j in range(len(self.beta))]
+            passed = np.cumsum(np.logaddexp(0, gamma + float(np.dot(x, self.beta)))) >= -math.log(rng.value(self.seed, "event", i))
+            t = int(passed.argmax()) + 1 if passed.any() else self.q + 1
+            cut = math.ceil(rng.value(self.seed, "censor", i) * self.q) if rng.value(self.seed, "whether", i) < self.censor else self.q
+            yield (i, min(t, cut), 1 if t <= cut else -1, *x)
 
 
 class PlantedSource(DataSource):
-    """``spark.read.format("planted_survival")`` with options n, q, seed, partitions."""
+    """``spark.read.format("planted_survival")``: the records of ``planted``, made in Python.  Options n, q, seed, censor, partitions, and
+    alpha and beta (numbers with commas between)."""
 
     @classmethod
     def name(cls) -> str:
         return "planted_survival"
 
     def schema(self) -> str:
-        return "subject_id long, t int, y int, x1 double"
+        return "subject_id long, t int, y int, " + ", ".join(f"x{j + 1} double" for j in range(len(_numbers(self.options.get("beta", BETA)))))
 
     def reader(self, schema) -> DataSourceReader:
         return _Reader(self.options)

@@ -9,7 +9,7 @@ from privsurv.plans.all_queries import ORACLES, QUERIES
 
 
 #: The smallest tables separate these perfectly.
-LARGER = {"cox_fit_1d", "mle_s5", "prefetch_join", "budget_order_s4", "density_vs_grid", "objective_ratio_audit"}
+LARGER = {"cox_fit_1d", "mle_s5", "prefetch_join", "budget_order_s4", "density_vs_grid", "objective_ratio_audit", "lambda_sweep_s5", "privacy_tradeoff_s5"}
 
 
 def connect(folder):
@@ -40,7 +40,7 @@ def test_oracle(spark, sf, con, name):
     assert rows(got) == rows(want)
 
 
-@pytest.mark.parametrize("name", ["output_noise_release", "risk_score_deciles", "planted_source", "aft"])
+@pytest.mark.parametrize("name", ["output_noise_release", "aft"])
 def test_rows_only(spark, sf, name):
     assert QUERIES[name](spark, sf).count() > 0
 
