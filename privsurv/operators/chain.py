@@ -27,7 +27,8 @@ from ..functions.loss import SumOfLogistic
 from .ledger import Ledger
 from .objective import Data
 from .prep import row_ids
-from .private import Release, default_bound, default_prior, run_name
+from .private import Release, default_bound, default_prior, require_ball, run_name
+from .sensitivity import ball_bound, require_bounded_gradient
 
 POOL = 5_000_000  # most numbers of a pool that is broadcast
 
@@ -241,18 +242,32 @@ def sample(d: Data, configs: dict[str, Config]) -> DataFrame:
     return ids.groupBy("chain_id").applyInPandas(run, "chain_id string, step long, last boolean, f array<double>")
 
 
+def _ball(d: Data, radius: float | None, v: float | None) -> float:
+    """The bound of losses in a ball; refuses what it does not hold for."""
+    if radius is None:
+        raise ValueError("an unbounded loss has no privacy guarantee; give a radius, or run it by sample() as a comparator")
+    require_bounded_gradient(d.link)
+    require_ball(d)
+    least = ball_bound(d.a, radius)
+    if v is not None and v < least:
+        raise ValueError(f"losses in the ball reach {least:.6g}, above the bound {v:g}")
+    return least if v is None else v
+
+
 def bounded_sampler_fit(d: Data, epsilon: float, v: float | None = None, sigma: float | None = None, steps: int = 20_000, ledger: Ledger | None = None, unit: str = "data", seed: int | None = None, step_scale: float | None = None, **more) -> Release:
     """One draw from the bounded-loss posterior: the last state of a chain of fixed length.  Never exact, since chains only converge.
 
-    ``step_scale`` one gives the published step lengths; by default ``stable_scale`` shortens them.
+    ``step_scale`` one gives the published step lengths; by default ``stable_scale`` shortens them.  With bound="none" and a
+    ``radius`` states stay in that ball, which bounds losses by itself (``sensitivity.ball_bound``, the default of ``v`` then): the
+    older mechanism, whose noise grows with the ball.
     """
+    if more.get("bound") == "none":
+        v = _ball(d, more.get("radius"), v)
     v = default_bound(d.n) if v is None else v
     scale = stable_scale(d.n, epsilon, v, more.get("k", 200)) if step_scale is None else step_scale
     prior = default_prior(v, epsilon) if sigma is None else sigma
     entropy = np.random.SeedSequence().entropy if seed is None else seed
     c = Config(epsilon, v, prior, steps, burn_in=steps - 1, seed=entropy, step_scale=scale, **more)
-    if c.bound == "none":
-        raise ValueError("an unbounded loss has no privacy guarantee; run it by sample() as a comparator")
     run = run_name("sampler", seed)
     if ledger:
         ledger.charge(run, unit, c.charged, exact=False)
