@@ -15,6 +15,10 @@ anchors' strings are equal.  Consecutive windows with one anchor make a segment.
   all windows of half of the distances share, again and again, until groups are small or windows equal: no task
   gets an unbounded group, and nothing is left out.
 
+With ``words`` the same anchors, over words in place of bytes, also find every passage of that many successive words which occurs
+in another row, whatever white space is between them.  Most such passages are under ``WIDTH`` bytes, so they stay in the text: their words
+are counted only.  Segments are equal by 128 bits of SHA-256, windows of small groups by their bytes, of large ones by SHA-256.
+
 Anchors and groups are found by plain 64-bit hashes, which only decide what meets; what is removed rests on SHA-256 of
 whole segments or on bytes that were compared.
 
@@ -36,11 +40,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import shingles as S
-from .common import cut, lean, parts, whole
+from .common import cut, drop, lean, parts, whole
 from .links import _groups
 
 WIDTH = 400
 GRAM = 64
+WORD_GRAM = 8  # words of an anchor's string
 MOST = 4_000  # different segments of one anchor string that are sorted together
 STEP = 1 << 18  # windows handled at a time; a place in a step fits 20 bits
 BATCH = 1 << 21  # bytes of segments sorted together
@@ -89,8 +94,53 @@ def segments(raws: list[bytes], width: int = WIDTH, gram: int = GRAM) -> tuple[n
     return owner, b.span(a, a + gram), np.frombuffer(b"".join(names), dtype=S.U).reshape(-1, 4), begin - first[owner], n, a - begin
 
 
-def anchors(docs: DataFrame, width: int, gram: int) -> DataFrame:
-    """gram, seg, doc_id, dh, n_win, delta, at (first windows of equal segments): one row per document and distinct segment."""
+def word_segments(raws: list[bytes], words: int, gram: int = WORD_GRAM) -> tuple[np.ndarray, ...]:
+    """As ``segments``, for windows of words: places and numbers count words, the distance is -1 to tell them apart, and
+    128 bits of SHA-256 are kept."""
+    none = (*(np.zeros(n, dtype=k) for n, k in ((0, np.int64), (0, S.U), ((0, 2), S.U), (0, np.int64), (0, np.int64), (0, np.int64))),)
+    lists = [r.split() for r in raws]
+    sizes = np.array([len(w) for w in lists], dtype=np.int64)
+    m = int(sizes.sum()) - words + 1
+    if m < 1:
+        return none
+    x = np.frombuffer(b" ".join(b" ".join(w) for w in lists if w), dtype=np.uint8)
+    del lists
+    gap = np.flatnonzero(x == 32)
+    starts, ends = np.append(0, gap + 1), np.append(gap, len(x))
+    hashes = np.empty(len(starts), dtype=S.U)
+    i = 0
+    while i < len(starts):  # whole words, about a step of bytes at a time
+        j = max(i + 1, int(np.searchsorted(ends, starts[i] + STEP, side="right")))
+        hashes[i:j] = S.Prefixes(x[starts[i] : ends[j - 1]]).span(starts[i:j] - starts[i], ends[i:j] - starts[i])
+        i = j
+    key = np.zeros(len(hashes) - gram + 1, dtype=S.U)
+    for k in range(gram):
+        key += hashes[k : k + len(key)] * S._mul[k]
+    key = S.mix(key)
+    anchor = np.empty(m, dtype=np.int64)
+    for at in range(0, m, STEP):
+        own = key[at : at + STEP + words - gram]
+        least = _least((own & S.U(2**64 - 2**20)) | np.arange(len(own)).astype(S.U), words - gram + 1)
+        anchor[at : at + STEP] = (least[:STEP] & S.U(2**20 - 1)).astype(np.int64) + at
+    first = np.cumsum(sizes) - sizes
+    owner = np.repeat(np.arange(len(raws)), sizes)
+    window = np.flatnonzero(owner[:m] == owner[words - 1 :])
+    if not len(window):
+        return none
+    a, owner = anchor[window], owner[window]
+    edge = np.flatnonzero(np.concatenate(([True], (a[1:] != a[:-1]) | (owner[1:] != owner[:-1]))))
+    n = np.diff(np.append(edge, len(a)))
+    a, begin, owner = a[edge], window[edge], owner[edge]
+    view = memoryview(x)
+    names = [hashlib.sha256(view[i:j]).digest()[:16] for i, j in zip(starts[begin].tolist(), ends[begin + n + words - 2].tolist(), strict=True)]
+    return owner, key[a], np.frombuffer(b"".join(names), dtype=S.U).reshape(-1, 2), begin - first[owner], n, np.full(len(n), -1)
+
+
+def anchors(docs: DataFrame, width: int, gram: int, words: int = 0) -> DataFrame:
+    """gram, seg, doc_id, dh, n_win, delta, at (first windows of equal segments): one row per document and distinct segment.
+
+    With ``words`` segments of words.
+    """
     kind = pa.schema([("gram", pa.int64()), ("seg", pa.binary()), ("doc_id", pa.int64()), ("dh", pa.int64()), ("n_win", pa.int32()), ("delta", pa.int32()), ("at", pa.list_(pa.int64()))])
 
     def rows(batch: pa.RecordBatch, owner, g, s, at, n, d) -> pa.RecordBatch:
@@ -99,7 +149,7 @@ def anchors(docs: DataFrame, width: int, gram: int) -> DataFrame:
         new = np.flatnonzero(np.concatenate(([True], (owner[1:] != owner[:-1]) | (s[1:] != s[:-1]).any(axis=1))))
         lists = pa.ListArray.from_arrays(pa.array(np.append(new, len(at)).astype(np.int32)), pa.array(at))
         ids = batch.column(0).take(pa.array(owner[new])), batch.column(1).take(pa.array(owner[new]))
-        names = pa.FixedSizeBinaryArray.from_buffers(pa.binary(32), len(new), [None, pa.py_buffer(s[new].tobytes())]).cast(pa.binary())
+        names = pa.FixedSizeBinaryArray.from_buffers(pa.binary(8 * s.shape[1]), len(new), [None, pa.py_buffer(s[new].tobytes())]).cast(pa.binary())
         columns = [pa.array(g[new].view(np.int64)), names, *ids, pa.array(n[new].astype(np.int32)), pa.array(d[new].astype(np.int32)), lists]
         return pa.RecordBatch.from_arrays(columns, schema=kind)
 
@@ -107,7 +157,10 @@ def anchors(docs: DataFrame, width: int, gram: int) -> DataFrame:
         for batch in batches:
             texts = batch.column(2).cast(pa.binary()).to_pylist()
             for lo, hi in S.batches([len(t) for t in texts], STEP):
-                if len(texts[lo]) > STEP:
+                if words:
+                    own = word_segments(texts[lo:hi], words)
+                    found = [own[0] + lo, *own[1:]]
+                elif len(texts[lo]) > STEP:
                     raw = texts[lo]
                     steps = []
                     for at in range(0, len(raw) - width + 1, STEP):
@@ -123,8 +176,8 @@ def anchors(docs: DataFrame, width: int, gram: int) -> DataFrame:
     return docs.select("doc_id", "dh", "text").mapInArrow(lean(run), "gram long, seg binary, doc_id long, dh long, n_win int, delta int, at array<long>")
 
 
-def _fetched(docs: DataFrame, wanted: DataFrame, width: int) -> DataFrame:
-    """The bytes of wanted segments."""
+def _fetched(docs: DataFrame, wanted: DataFrame, width: int, words: int = 0) -> DataFrame:
+    """The bytes of wanted segments; segments of words have one space between words."""
     lists = wanted.groupBy("doc_id", "dh").agg(F.collect_list(F.struct("gram", "pos", "n_win", "delta", "weight", "single", "seg")).alias("want"))
     same = docs["doc_id"].eqNullSafe(lists["doc_id"]) & (docs["dh"] == lists["dh"])
 
@@ -136,8 +189,10 @@ def _fetched(docs: DataFrame, wanted: DataFrame, width: int) -> DataFrame:
         for x in frames:
             for doc_id, dh, text, want in zip(x["doc_id"], x["dh"], x["text"], x["want"], strict=True):
                 raw, own = text.encode("utf-8", "surrogatepass"), None if pd.isna(doc_id) else int(doc_id)
+                split = raw.split() if any(w["delta"] < 0 for w in want) else []
                 for w in want:
-                    part = raw[w["pos"] : w["pos"] + w["n_win"] + width - 1]
+                    a, n = w["pos"], w["n_win"] - 1
+                    part = b" ".join(split[a : a + n + words]) if w["delta"] < 0 else raw[a : a + n + width]
                     rows.append((w["gram"], own, dh, w["pos"], w["n_win"], w["delta"], w["weight"], w["single"], w["seg"], part))
                     held += len(part)
                     if held > FETCH:
@@ -333,22 +388,110 @@ def _halved(rows: DataFrame, width: int) -> DataFrame:
     return rows.mapInPandas(lean(run), ROW + ", d0 int, d1 int")
 
 
-def _spans(rows: DataFrame, docs: DataFrame, width: int, gram: int, most: int) -> DataFrame:
-    """All repeated spans: doc_id, dh, begin, end."""
-    spark = docs.sparkSession
-    kind = "doc_id long, dh long, begin long, end long"
+def _met(rows: DataFrame, width: int, words: bool, used: list[DataFrame]) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """Spans of segments that occur more than once (of words: in more than one row), one copy of those to compare, and anchor strings with several.
+
+    The table of ``rows`` is given up when those with repeated anchor strings are written; ``used`` gets the tables that spans are read from.
+    """
+    each, own = F.count(F.lit(1)) if words else F.sum(F.size("at")), F.struct("doc_id", "dh")
     # Written first, so that the join stands alone and an anchor that very many texts share can be split.
-    sized = cut(rows.groupBy("gram").agg(F.sum(F.size("at")).alias("all")).where("all > 1").select("gram"), "repeat-grams")
-    rows = cut(rows.join(sized, "gram"), "repeat-anchors")
-    named = rows.groupBy("gram", "seg").agg(F.sum(F.size("at")).cast("long").alias("weight"), *[F.first(c).alias(c) for c in ("doc_id", "dh", "n_win", "delta")], F.first(F.get("at", 0)).alias("pos"))
+    sized = cut(rows.groupBy("gram").agg(each.alias("all")).where("all > 1").select("gram"), "repeat-grams")
+    met = cut(rows.join(sized, "gram"), "repeat-anchors")
+    drop(rows)
+    drop(sized)
+    named = met.groupBy("gram", "seg").agg(each.cast("long").alias("weight"), *[F.first(c).alias(c) for c in ("doc_id", "dh", "n_win", "delta")], F.first(F.get("at", 0)).alias("pos"))
     named = cut(named, "repeat-segments")
-    several = named.groupBy("gram").agg(F.count(F.lit(1)).alias("segs")).where("segs > 1")
+    used += [met, named]
+    several = named.groupBy("gram").agg(F.count(F.lit(1)).alias("segs"), F.min(own).alias("a"), F.max(own).alias("b"), F.max("weight").alias("most")).where("segs > 1")
+    several = several.where(~F.col("a").eqNullSafe(F.col("b")) | (F.col("most") > 1) | F.lit(not words)).select("gram", "segs")
     twice = named.where("weight > 1").select("gram", "seg")
-    spans = rows.join(twice, ["gram", "seg"]).select("doc_id", "dh", F.explode("at").alias("begin"), "n_win").select("doc_id", "dh", "begin", (F.col("begin") + F.col("n_win") + width - 1).alias("end"))
-    wanted = cut(named.join(several, "gram").withColumn("single", F.col("weight") == 1), "repeat-wanted")
+    spans = met.join(twice, ["gram", "seg"]).select("doc_id", "dh", F.explode("at").alias("begin"), "n_win").select("doc_id", "dh", "begin", (F.col("begin") + F.col("n_win") + width - 1).alias("end"))
+    return spans, cut(named.join(several, "gram").withColumn("single", F.col("weight") == 1), "repeat-wanted"), several
+
+
+def _windows(raw: bytes, n_win: int, words: int) -> list[bytes]:
+    """The windows of a segment of words."""
+    gap = np.flatnonzero(np.frombuffer(raw, dtype=np.uint8) == 32)
+    starts, ends = [0, *(gap[: n_win - 1] + 1).tolist()], [*gap[words - 1 :].tolist(), len(raw)]
+    return [raw[a:b] for a, b in zip(starts, ends, strict=True)]
+
+
+def _agreeing(group: list[tuple], words: int) -> list[tuple]:
+    """Spans (doc_id, dh, begin, end) of the windows that another row of a group has too; rows: doc_id, dh, pos, n_win, single, bytes."""
+    seen: dict[bytes, list[int]] = {}
+    windows = [_windows(r[5], r[3], words) for r in group]
+    for i, own in enumerate(windows):
+        for w in own:
+            seen.setdefault(w, []).append(i)
+    good = {w: len(v) > 1 and (len({group[i][:2] for i in v}) > 1 or not all(group[i][4] for i in v)) for w, v in seen.items()}
+    out = []
+    for (doc_id, dh, pos, _, single, _), own in zip(group, windows, strict=True):
+        if single:
+            out += [(doc_id, dh, pos + a, pos + b) for a, b in merged([(k, k + words) for k, w in enumerate(own) if good[w]])]
+    return out
+
+
+def _shared(rows: DataFrame, several: DataFrame, words: int, most: int) -> DataFrame:
+    """Spans of words (doc_id, dh, begin, end) whose windows are in another row too, of segments that are in one row only."""
+
+    names = ["doc_id", "dh", "begin", "end"]
+    frame = lambda out, names: pd.DataFrame(out, columns=names).astype({"doc_id": "Int64"})
+    ids = lambda x: [None if pd.isna(d) else d for d in x["doc_id"].tolist()]
+
+    def groups(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        gram, held = None, []
+        for x in frames:
+            out = []
+            columns = [x[c].tolist() for c in ("dh", "pos", "n_win", "single", "bytes")]
+            for g, *row in zip(x["gram"].tolist(), ids(x), *columns, strict=True):
+                if g != gram:
+                    out += _agreeing(held, words) if len(held) > 1 else []
+                    gram, held = g, []
+                held.append((*row[:5], bytes(row[5])))
+            yield frame(out, names)
+        if len(held) > 1:
+            yield frame(_agreeing(held, words), names)
+
+    def apart(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for x in frames:
+            columns = [x[c].tolist() for c in ("dh", "pos", "n_win", "single", "bytes")]
+            out = [(hashlib.sha256(w).digest(), i, h, at + k, one) for i, h, at, n, one, raw in zip(ids(x), *columns, strict=True) for k, w in enumerate(_windows(bytes(raw), n, words))]
+            yield frame(out, ["seg", "doc_id", "dh", "begin", "single"])
+
+    kind = "doc_id long, dh long, begin long, end long"
+    work = lambda few: few.repartition(parts(rows.sparkSession), "gram").sortWithinPartitions("gram").mapInPandas(lean(groups), kind)
+    large = several.where(F.col("segs") > most).select("gram")
+    if large.isEmpty():
+        return work(rows)
+    large = cut(large, "passage-large")
+    each = cut(rows.join(large, "gram").mapInPandas(lean(apart), "seg binary, doc_id long, dh long, begin long, single boolean"), "passage-windows")
+    own = F.struct("doc_id", "dh")
+    met = each.groupBy("seg").agg(F.min(own).alias("a"), F.max(own).alias("b"), F.min("single").alias("single")).where(~F.col("a").eqNullSafe(F.col("b")) | ~F.col("single")).select("seg")
+    rest = each.where("single").join(cut(met, "passage-met"), "seg").select("doc_id", "dh", "begin", (F.col("begin") + words).alias("end"))
+    return work(rows.join(large, "gram", "left_anti")).union(rest)
+
+
+def _spans(rows: DataFrame, docs: DataFrame, width: int, gram: int, most: int, words: int, used: list[DataFrame]) -> DataFrame:
+    """All repeated spans: doc_id, dh, begin, end, and whether they count words; ``used`` gets the tables they are read from."""
+    spans, wanted, several = _met(rows, width, False, used)
+    if not words:
+        used.append(fetched := cut(_fetched(docs, wanted, width), "repeat-bytes"))
+        drop(wanted)
+        return _sorted_spans(fetched, spans, several, width, gram, most).withColumn("words", F.lit(False))
+    alike, more, groups = _met(cut(anchors(docs, width, gram, words), "passage-places"), words, True, used)
+    used.append(fetched := cut(_fetched(docs, wanted.unionByName(more), width, words), "repeat-bytes"))
+    drop(wanted)
+    drop(more)
+    spans = _sorted_spans(fetched.where("delta >= 0"), spans, several, width, gram, most).withColumn("words", F.lit(False))
+    return spans.union(alike.union(_shared(fetched.where("delta < 0"), groups, words, most)).withColumn("words", F.lit(True)))
+
+
+def _sorted_spans(fetched: DataFrame, spans: DataFrame, several: DataFrame, width: int, gram: int, most: int) -> DataFrame:
+    """``spans``, and those of windows that only parts of segments share."""
+    spark = fetched.sparkSession
+    kind = "doc_id long, dh long, begin long, end long"
     work = lambda few: few.repartition(parts(spark), "gram").sortWithinPartitions("gram").mapInPandas(lean(lambda f: _sorted_groups(f, width, BATCH)), kind)
     columns = [c.split()[0] for c in ROW.split(", ")]
-    fetched = cut(_fetched(docs, wanted, width), "repeat-bytes")
     large = several.where(F.col("segs") > most)
     if large.isEmpty():
         return spans.union(work(fetched))
@@ -379,29 +522,39 @@ def merged(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
     return out
 
 
-def remove_repeats(docs: DataFrame, width: int = WIDTH, gram: int = GRAM, most: int = MOST, keep_text: bool = False) -> DataFrame:
-    """One row per document: doc_id, n_bytes, n_removed, n_spans, kept_sha256, and with ``keep_text`` spans and kept bytes."""
+def remove_repeats(docs: DataFrame, width: int = WIDTH, gram: int = GRAM, most: int = MOST, keep_text: bool = False, words: int = 0) -> DataFrame:
+    """One row per document: doc_id, n_bytes, n_removed, n_spans, kept_sha256, and with ``keep_text`` spans and kept bytes.
+
+    With ``words`` (at least ``WORD_GRAM``) also n_shared_words: how many words of the text are in passages of that many words which another row has too.
+    """
+    if 0 < words < WORD_GRAM:
+        raise ValueError(f"words must be 0 or at least {WORD_GRAM}")
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), whole().alias("text"))
     docs = docs.select("doc_id", "text", F.xxhash64("text").alias("dh"))
-    found = _spans(cut(anchors(docs, width, gram), "repeat-places"), docs, width, gram, most)
-    lists = found.groupBy("doc_id", "dh").agg(F.collect_set(F.struct("begin", "end")).alias("spans"))
+    used: list[DataFrame] = []
+    found = _spans(cut(anchors(docs, width, gram), "repeat-places"), docs, width, gram, most, words, used)
+    lists = found.groupBy("doc_id", "dh").agg(F.collect_set(F.struct("begin", "end", "words")).alias("spans"))
     lists = cut(lists, "repeat-spans")
-    kind = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + ", spans array<struct<begin:long,end:long>>, kept binary" * keep_text
+    for table in used:
+        drop(table)
+    kind = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + ", spans array<struct<begin:long,end:long>>, kept binary" * keep_text + ", n_shared_words long" * bool(words)
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for x in frames:
             rows = []
             for doc_id, text, spans in zip(x["doc_id"], x["text"], x["spans"], strict=True):
                 raw = text.encode("utf-8", "surrogatepass")
-                gone = merged([(s["begin"], s["end"]) for s in spans]) if spans is not None else []
+                spans = [] if spans is None else spans
+                gone = merged([(s["begin"], s["end"]) for s in spans if not s["words"]])
                 kept, at = [], 0
                 for a, b in gone:
                     kept.append(raw[at:a])
                     at = b
                 kept = b"".join([*kept, raw[at:]])
                 row = (None if pd.isna(doc_id) else int(doc_id), len(raw), len(raw) - len(kept), len(gone), hashlib.sha256(kept).hexdigest())
-                rows.append((*row, [{"begin": a, "end": b} for a, b in gone], kept) if keep_text else row)
-            names = ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256"] + ["spans", "kept"] * keep_text
+                row = (*row, [{"begin": a, "end": b} for a, b in gone], kept) if keep_text else row
+                rows.append((*row, sum(b - a for a, b in merged([(s["begin"], s["end"]) for s in spans if s["words"]]))) if words else row)
+            names = ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256"] + ["spans", "kept"] * keep_text + ["n_shared_words"] * bool(words)
             yield pd.DataFrame(rows, columns=names).astype({"doc_id": "Int64"})
 
     same = docs["doc_id"].eqNullSafe(lists["doc_id"]) & (docs["dh"] == lists["dh"])

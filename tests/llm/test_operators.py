@@ -141,6 +141,59 @@ def test_repeats_in_periodic_and_bordering_texts(spark, width, gram, most):
     assert {x.doc_id: tuple(x)[1:] for x in suffix_dedup.remove_repeats(df, width, gram, most).collect()} == brute_repeats(rows, width)
 
 
+def brute_shared_words(rows, words):
+    """Words in passages of ``words`` words that another row has too."""
+    split = [t.encode().split() for _, t in rows]
+    seen = defaultdict(set)
+    for i, w in enumerate(split):
+        for k in range(len(w) - words + 1):
+            seen[tuple(w[k : k + words])].add(i)
+    out = []
+    for (key, _), w in zip(rows, split, strict=True):
+        hit = set()
+        for k in range(len(w) - words + 1):
+            if len(seen[tuple(w[k : k + words])]) > 1:
+                hit.update(range(k, k + words))
+        out.append((key, len(hit)))
+    return sorted(out)
+
+
+def test_shared_words_in_planted_passages(spark, sf):
+    r = random.Random(8)
+    word = lambda: "".join(r.choice("aeiouklmn") for _ in range(r.randint(1, 6)))
+    plant, other = [[word() for _ in range(n)] for n in (55, 140)]
+    text = lambda n: [word() for _ in range(n)]
+    rows = [(0, " ".join(text(90) + plant + text(70))), (1, "\n ".join(text(30) + plant + text(60))), (2, " ".join(text(200))), (3, " ".join(plant[:50] + text(80)))]
+    rows += [(4, " ".join(other + text(9) + other)), (5, " ".join(text(100))), (6, ""), (7, rows[2][1]), (8, " ".join(text(20) + other[30:100])), (8, " ".join(other[60:] + text(3)))]
+    rows += [(9, " ".join((twin := text(60)) + text(5) + twin))]  # repeated in one document only
+    rows += [(20 + i, " ".join(text(r.randint(40, 60)) + other[r.randint(0, 50) : 140 - r.randint(0, 50)] + text(60))) for i in range(20)]
+    df = ready(spark).createDataFrame(rows, "doc_id long, text string")
+    want = brute_shared_words(rows, 51)
+    for most in (4000, 2):
+        assert sorted((x.doc_id, x.n_shared_words) for x in suffix_dedup.remove_repeats(df, most=most, words=51).collect()) == want
+    few = dict(want)
+    assert few[0] == few[1] == 55 and few[2] == 200 and few[3] == few[5] == few[9] == 0
+
+
+def test_repeats_query_tells_shared_passages_and_keeps_its_contract(spark, sf, texts):
+    got = queries.op4_suffix_dedup(spark, sf)
+    assert got.columns == ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", "n_shared_words"]
+    got = got.collect()
+    assert {x.doc_id: tuple(x)[1:5] for x in got} == brute_repeats(texts, 400)
+    assert sorted((x.doc_id, x.n_shared_words) for x in got) == brute_shared_words(texts, 51)
+
+
+def test_segments_of_words_do_not_depend_on_steps(monkeypatch):
+    r = random.Random(5)
+    raws = [" ".join(f"w{r.randrange(50)}" for _ in range(n)).encode() for n in (0, 3, 700, 51, 60)]
+    windows = lambda found: {(o, at + k) for o, at, n in zip(*(found[j].tolist() for j in (0, 3, 4)), strict=True) for k in range(n)}
+    want = suffix_dedup.word_segments(raws, 51)
+    assert windows(want) == {(i, k) for i, t in enumerate(raws) for k in range(len(t.split()) - 50)}
+    monkeypatch.setattr(suffix_dedup, "STEP", 100)
+    got = suffix_dedup.word_segments(raws, 51)
+    assert windows(got) == windows(want) and set(got[1].tolist()) >= set(want[1].tolist())
+
+
 def test_suffix_order_and_extensions():
     r = random.Random(1)
     rows = ["".join(r.choice("ab") for _ in range(r.randint(3, 30))).encode() for _ in range(80)]
