@@ -417,7 +417,7 @@ def _windows(raw: bytes, n_win: int, words: int) -> list[bytes]:
 
 
 def _agreeing(group: list[tuple], words: int) -> list[tuple]:
-    """Spans (doc_id, dh, begin, end) of the windows that another row of a group has too; rows: doc_id, dh, pos, n_win, single, bytes."""
+    """Spans (doc_id, dh, pos, begin, end; from pos on) of the windows that another row of a group has too; rows: doc_id, dh, pos, n_win, single, bytes."""
     seen: dict[bytes, list[int]] = {}
     windows = [_windows(r[5], r[3], words) for r in group]
     for i, own in enumerate(windows):
@@ -427,14 +427,14 @@ def _agreeing(group: list[tuple], words: int) -> list[tuple]:
     out = []
     for (doc_id, dh, pos, _, single, _), own in zip(group, windows, strict=True):
         if single:
-            out += [(doc_id, dh, pos + a, pos + b) for a, b in merged([(k, k + words) for k, w in enumerate(own) if good[w]])]
+            out += [(doc_id, dh, pos, a, b) for a, b in merged([(k, k + words) for k, w in enumerate(own) if good[w]])]
     return out
 
 
 def _shared(rows: DataFrame, several: DataFrame, words: int, most: int) -> DataFrame:
-    """Spans of words (doc_id, dh, begin, end) whose windows are in another row too, of segments that are in one row only."""
+    """Spans of words (doc_id, dh, pos, begin, end; from pos on) whose windows are in another row too, of segments that are in one row only."""
 
-    names = ["doc_id", "dh", "begin", "end"]
+    names = ["doc_id", "dh", "pos", "begin", "end"]
     frame = lambda out, names: pd.DataFrame(out, columns=names).astype({"doc_id": "Int64"})
     ids = lambda x: [None if pd.isna(d) else d for d in x["doc_id"].tolist()]
 
@@ -455,19 +455,19 @@ def _shared(rows: DataFrame, several: DataFrame, words: int, most: int) -> DataF
     def apart(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for x in frames:
             columns = [x[c].tolist() for c in ("dh", "pos", "n_win", "single", "bytes")]
-            out = [(hashlib.sha256(w).digest(), i, h, at + k, one) for i, h, at, n, one, raw in zip(ids(x), *columns, strict=True) for k, w in enumerate(_windows(bytes(raw), n, words))]
-            yield frame(out, ["seg", "doc_id", "dh", "begin", "single"])
+            out = [(hashlib.sha256(w).digest(), i, h, at, k, one) for i, h, at, n, one, raw in zip(ids(x), *columns, strict=True) for k, w in enumerate(_windows(bytes(raw), n, words))]
+            yield frame(out, ["seg", "doc_id", "dh", "pos", "begin", "single"])
 
-    kind = "doc_id long, dh long, begin long, end long"
+    kind = "doc_id long, dh long, pos long, begin long, end long"
     work = lambda few: few.repartition(parts(rows.sparkSession), "gram").sortWithinPartitions("gram").mapInPandas(lean(groups), kind)
     large = several.where(F.col("segs") > most).select("gram")
     if large.isEmpty():
         return work(rows)
     large = cut(large, "passage-large")
-    each = cut(rows.join(large, "gram").mapInPandas(lean(apart), "seg binary, doc_id long, dh long, begin long, single boolean"), "passage-windows")
+    each = cut(rows.join(large, "gram").mapInPandas(lean(apart), "seg binary, doc_id long, dh long, pos long, begin long, single boolean"), "passage-windows")
     own = F.struct("doc_id", "dh")
     met = each.groupBy("seg").agg(F.min(own).alias("a"), F.max(own).alias("b"), F.min("single").alias("single")).where(~F.col("a").eqNullSafe(F.col("b")) | ~F.col("single")).select("seg")
-    rest = each.where("single").join(cut(met, "passage-met"), "seg").select("doc_id", "dh", "begin", (F.col("begin") + words).alias("end"))
+    rest = each.where("single").join(cut(met, "passage-met"), "seg").select("doc_id", "dh", "pos", "begin", (F.col("begin") + words).alias("end"))
     return work(rows.join(large, "gram", "left_anti")).union(rest)
 
 
@@ -483,7 +483,13 @@ def _spans(rows: DataFrame, docs: DataFrame, width: int, gram: int, most: int, w
     drop(wanted)
     drop(more)
     spans = _sorted_spans(fetched.where("delta >= 0"), spans, several, width, gram, most).withColumn("words", F.lit(False))
-    return spans.union(alike.union(_shared(fetched.where("delta < 0"), groups, words, most)).withColumn("words", F.lit(True)))
+    part = _shared(fetched.where("delta < 0"), groups, words, most)
+    # A segment that one row has at several places was compared at the first.
+    again = used[2].where(F.size("at") > 1).select(F.col("doc_id").alias("i"), F.col("dh").alias("h"), F.get("at", 0).alias("p"), "at")
+    part = part.join(again, F.col("doc_id").eqNullSafe(F.col("i")) & (F.col("dh") == F.col("h")) & (F.col("pos") == F.col("p")), "left")
+    part = part.select("doc_id", "dh", F.explode(F.coalesce("at", F.array("pos"))).alias("pos"), "begin", "end")
+    part = part.select("doc_id", "dh", (F.col("pos") + F.col("begin")).alias("begin"), (F.col("pos") + F.col("end")).alias("end"))
+    return spans.union(alike.union(part).withColumn("words", F.lit(True)))
 
 
 def _sorted_spans(fetched: DataFrame, spans: DataFrame, several: DataFrame, width: int, gram: int, most: int) -> DataFrame:

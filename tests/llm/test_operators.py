@@ -175,6 +175,15 @@ def test_shared_words_in_planted_passages(spark, sf):
     assert few[0] == few[1] == 55 and few[2] == 200 and few[3] == few[5] == few[9] == 0
 
 
+def test_shared_words_of_a_line_repeated_in_one_document(spark):
+    line = [f"l{k}" for k in range(55)]
+    rows = [(0, " ".join(line * 13)), (1, " ".join([f"a{k}" for k in range(40)] + line + [f"b{k}" for k in range(40)])), (2, " ".join(line[2:] + [f"c{k}" for k in range(90)]))]
+    df = ready(spark).createDataFrame(rows, "doc_id long, text string")
+    for most in (4000, 1):
+        got = suffix_dedup.remove_repeats(df, most=most, words=51).collect()
+        assert sorted((x.doc_id, x.n_shared_words) for x in got) == brute_shared_words(rows, 51) == [(0, 715), (1, 55), (2, 53)]
+
+
 def test_repeats_query_tells_shared_passages_and_keeps_its_contract(spark, sf, texts):
     got = queries.op4_suffix_dedup(spark, sf)
     assert got.columns == ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", "n_shared_words"]
