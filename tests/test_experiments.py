@@ -89,3 +89,12 @@ def test_traces_come_in_pieces(monkeypatch):
     got = [(int(s), v) for p in pieces for s, v in zip(p["step"], p["f"], strict=True)]
     assert got == [(s, v.tolist()) for s, v in trace] and (got[-1][0], got[-1][1]) == (47, f.tolist())
     assert [bool(v) for p in pieces for v in p["last"]] == [False] * (len(got) - 1) + [True]
+
+
+def test_tradeoff_chains_run_all_epochs_after_the_burn_in(spark, sf, monkeypatch):
+    seen, whole = [], chain.sample
+    short = lambda c: chain.variants(c, steps=6, burn_in=2, every=1)
+    monkeypatch.setattr(q_chains, "DRAWS", 1)
+    monkeypatch.setattr(chain, "sample", lambda d, runs: (seen.extend((c.steps, c.burn_in, d.n) for c in runs.values()), whole(d, {k: short(c) for k, c in runs.items()}))[1])
+    assert {r["dataset"] for r in QUERIES["privacy_tradeoff"](spark, sf).collect()} == ALL
+    assert len(seen) == 28 and all((steps, burn_in) == (10_000 + 250 * n, 10_000) for steps, burn_in, n in seen)
